@@ -11,6 +11,9 @@ from pyspark.sql import functions as F
 #: Characters between words: space and the controls from tab to carriage return.
 WORD = r"[^\x20\x09-\x0D]+"
 
+#: Bytes of an Arrow batch on its way to Python.
+BATCH_BYTES = 4 << 20
+
 
 def documents(spark: SparkSession, sf_dir: str, table: str = "documents") -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
@@ -48,10 +51,18 @@ def map_rows(df: DataFrame, columns: list[str], schema: str, make: Callable[[],
                     kept = [piece.column(n_in + k).cast(out_type.field(k).type) for k in range(len(kinds))]
                     yield pa.RecordBatch.from_arrays([*kept, *cols], schema=out_type)
 
+    small_batches(df.sparkSession)
     inputs = [*[F.col(f"`{c}`").alias(f"i{n}") for n, c in enumerate(columns)], *[F.col(f"`{c}`").alias(f"k{n}") for n, c in enumerate(carry)]]
     return df.select(*inputs).mapInArrow(run, full)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Bound the bytes of an Arrow batch, whose buffers the JVM holds outside its heap (a runtime setting)."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if int(spark.conf.get(key).rstrip("b")) > BATCH_BYTES:
+        spark.conf.set(key, str(BATCH_BYTES))
+
+
 def numbered(docs: DataFrame, *needed: str) -> tuple[DataFrame, list[str]]:
     """``docs`` with its columns as c0, c1, ... beside copies of the needed ones, and the new names.
 
