@@ -28,14 +28,16 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densesql.llm.common import arrow_schema, bounded, documents
+from densesql.llm.common import arrow_schema, bounded, documents, small_batches
 from densesql.plans.staging import Staging
 
 TOKENIZER, END_ID = "word_bpe_49k.json", 2
 #: Longest code; ids between checkpoints; ids a segment aims at.
 MAX_BITS, STRIDE, SEGMENT_IDS = 18, 256, 1 << 17
-#: Words whose ids a worker remembers; beyond that the older half is forgotten.
-REMEMBERED = 600_000
+#: Pieces, and cores, whose ids a worker remembers; beyond that they are learnt anew, of cores the older half.
+REMEMBERED = 800_000
+#: Marks that are split off behind a letter (none that special tokens contain), and words encoded together.
+MARKS, JOINED = ".,;:!?*#$%&", 64
 
 ENCODED = "doc_id long, n_tokens long, ids_crc32 long, ids binary"
 SEGMENTS = "part int, seq int, ahead long, doc_ids array<long>, n_tokens array<long>, n_ids long, checkpoints array<long>, payload binary"
@@ -51,10 +53,13 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
 
 
 class WordEncoder:
-    """Encodes texts piece by piece, remembering pieces.
+    """Encodes texts piece by piece, remembering what it has encoded.
 
     The tokenizer's own pre-tokenisation never joins what a space, line feed or tab
-    separates, so a text's ids are the ids of its pieces in turn.
+    separates, nor a letter and a mark that follows it; and it lower-cases first.  So a
+    text's ids are the ids of its pieces in turn, and a piece's those of its lower-cased
+    core and its marks.  New cores of letters only are encoded many at a time: each is
+    one word to the tokenizer, whose last id alone ends a word.
     """
 
     def __init__(self, path: str):
@@ -62,27 +67,57 @@ class WordEncoder:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.tokenizer = Tokenizer.from_file(path)
+        vocabulary = self.tokenizer.get_vocab()
         if self.tokenizer.get_vocab_size() > 1 << 16:
             raise ValueError("ids need more than 16 bits")
+        self.ends_word = np.zeros(1 << 16, dtype=bool)
+        self.ends_word[[i for w, i in vocabulary.items() if w.endswith("</w>")]] = True
+        self.pieces: dict[str, bytes] = {}
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
+    def _parts(self, piece: str) -> tuple[str, str]:
+        """A piece's core and marks; marks are split off only behind a letter."""
+        core = piece.rstrip(MARKS)
+        if not core or not core[-1].isalpha():
+            return piece if "<" in piece or not piece.isascii() else piece.lower(), ""
+        return core if "<" in core or not core.isascii() else core.lower(), piece[len(core) :]
+
+    def _one_by_one(self, parts: list[str]) -> None:
+        for w, e in zip(parts, self.tokenizer.encode_batch_fast(parts, add_special_tokens=False), strict=True):
+            self.young[w] = np.array(e.ids, dtype="<u2").tobytes()
+
+    def _learn(self, parts: set[str]) -> None:
+        """Remember the ids of parts."""
+        words = [w for w in parts if w.isalpha()]
+        rest = [w for w in parts if not w.isalpha()]
+        for k in range(0, len(words), JOINED):
+            chunk = words[k : k + JOINED]
+            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(chunk)], add_special_tokens=False)[0].ids, dtype="<u2")
+            ends = 2 * (np.flatnonzero(self.ends_word[ids]) + 1)
+            if len(ends) == len(chunk):
+                raw, start = ids.tobytes(), 0
+                for w, end in zip(chunk, ends.tolist(), strict=True):
+                    self.young[w] = raw[start:end]
+                    start = end
+            else:
+                rest += chunk
+        self._one_by_one(rest)
+
     def encode(self, texts: list[str | None], end_id: int) -> list[bytes]:
         """Ids of each text with the end id, as little-endian 16-bit integers."""
         pieces = [(t or "").replace("\n", " ").replace("\t", " ").split(" ") for t in texts]
-        known = {"": b""}
-        for words in pieces:
-            for w in set(words).difference(known):
-                ids = self.young.get(w) or self.old.get(w)
-                if ids is not None:
-                    known[w] = self.young[w] = ids
-                else:
-                    known[w] = None
-        new = [w for w, ids in known.items() if ids is None]
-        for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            known[w] = self.young[w] = np.array(e.ids, dtype="<u2").tobytes()
-        if len(self.young) > REMEMBERED // 2:
-            self.young, self.old = {}, self.young
+        if len(self.pieces) > REMEMBERED:
+            self.pieces = {}
+        known = self.pieces
+        split = {w: self._parts(w) for w in set().union(*pieces).difference(known)}
+        young, old = self.young, self.old
+        new = {part for both in split.values() for part in both if part not in young}
+        young.update((part, old[part]) for part in new if part in old)
+        self._learn(new.difference(old))
+        known.update((w, young[core] + young[marks] if marks else young[core]) for w, (core, marks) in split.items())
+        if len(young) > REMEMBERED // 2:
+            self.young, self.old = {}, young
         end = np.array([end_id], dtype="<u2").tobytes()
         return [b"".join(map(known.__getitem__, words)) + end for words in pieces]
 
@@ -111,6 +146,7 @@ def encode_documents(docs: DataFrame, tokenizer: str, end_id: int = END_ID) -> D
                 cols = [piece.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(crcs, pa.int64()), pa.array(ids, pa.binary())]
                 yield pa.RecordBatch.from_arrays(cols, schema=schema)
 
+    small_batches(docs.sparkSession)
     return docs.select("doc_id", "text").mapInArrow(run, ENCODED)
 
 
