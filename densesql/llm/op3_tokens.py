@@ -12,7 +12,7 @@ n_tokens, n_ids, checkpoints, payload) and a folder ``code`` with one row (max_b
 ``part`` ascends with doc_id and ``seq`` within a part, where ``ahead`` ids precede.
 
 Defined results: a null or empty text is its end id alone; null doc_ids stand first;
-rows with equal doc_id follow by number and checksum of ids; repeated rows give one
+rows with equal doc_id follow by number of ids and place in the input; repeated rows give one
 result row each; an empty table gives empty files; other columns are ignored.
 """
 
@@ -24,22 +24,25 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densesql.llm.common import arrow_schema, bounded, documents, small_batches
+from densesql.llm.common import arrow_schema, documents, small_batches
 from densesql.plans.staging import Staging
 
 TOKENIZER, END_ID = "word_bpe_49k.json", 2
 #: Longest code; ids between checkpoints; ids a segment aims at.
-MAX_BITS, STRIDE, SEGMENT_IDS = 18, 256, 1 << 17
+MAX_BITS, STRIDE, SEGMENT_IDS = 18, 256, 1 << 19
 #: Pieces, and cores, whose ids a worker remembers; beyond that they are learnt anew, of cores the older half.
 REMEMBERED = 800_000
 #: Marks that are split off behind a letter (none that special tokens contain), and words encoded together.
 MARKS, JOINED = ".,;:!?*#$%&", 64
+#: Bytes of text encoded together.
+GATHERED_BYTES = 20 << 20
 
-ENCODED = "doc_id long, n_tokens long, ids_crc32 long, ids binary"
+ENCODED = "doc_id long, n_tokens long, ids binary"
 SEGMENTS = "part int, seq int, ahead long, doc_ids array<long>, n_tokens array<long>, n_ids long, checkpoints array<long>, payload binary"
 READ = "doc_id long, start long, n_tokens long, ids_crc32 long"
 
@@ -104,13 +107,29 @@ class WordEncoder:
                 rest += chunk
         self._one_by_one(rest)
 
-    def encode(self, texts: list[str | None], end_id: int) -> list[bytes]:
-        """Ids of each text with the end id, as little-endian 16-bit integers."""
-        pieces = [(t or "").replace("\n", " ").replace("\t", " ").split(" ") for t in texts]
+    def encode(self, texts: pa.Array) -> pa.Array:
+        """Ids of each text as little-endian 16-bit integers in a binary array.
+
+        Splitting, finding the distinct pieces and putting the ids together run inside Arrow;
+        Python sees each distinct piece of a batch once.
+        """
+        texts = pc.fill_null(texts.cast(pa.large_string()), "")
+        for blank in "\n\t":
+            texts = pc.replace_substring(texts, blank, " ")
+        lists = pc.split_pattern(texts, " ")
+        coded = lists.flatten().dictionary_encode()
+        found = pa.array(self._ids_of(coded.dictionary.to_pylist()), pa.large_binary()).take(coded.indices)
+        offsets = np.frombuffer(found.buffers()[1], dtype=np.int64)[found.offset :][: len(found) + 1]
+        ends = np.asarray(lists.offsets)
+        at = (offsets[ends - ends[0]] - offsets[0]).astype(np.int64)
+        data = found.buffers()[2].slice(int(offsets[0])) if found.buffers()[2] else pa.py_buffer(b"")
+        return pa.Array.from_buffers(pa.large_binary(), len(texts), [None, pa.py_buffer(at), data])
+
+    def _ids_of(self, pieces: list[str]) -> list[bytes]:
         if len(self.pieces) > REMEMBERED:
             self.pieces = {}
         known = self.pieces
-        split = {w: self._parts(w) for w in set().union(*pieces).difference(known)}
+        split = {w: self._parts(w) for w in set(pieces).difference(known)}
         young, old = self.young, self.old
         new = {part for both in split.values() for part in both if part not in young}
         young.update((part, old[part]) for part in new if part in old)
@@ -118,8 +137,7 @@ class WordEncoder:
         known.update((w, young[core] + young[marks] if marks else young[core]) for w, (core, marks) in split.items())
         if len(young) > REMEMBERED // 2:
             self.young, self.old = {}, young
-        end = np.array([end_id], dtype="<u2").tobytes()
-        return [b"".join(map(known.__getitem__, words)) + end for words in pieces]
+        return [known[w] for w in pieces]
 
 
 def encoder(path: str) -> WordEncoder:
@@ -128,23 +146,28 @@ def encoder(path: str) -> WordEncoder:
     return _ENCODERS[path]
 
 
-def crc_of(ids: np.ndarray) -> int:
-    return zlib.crc32(ids.astype("<u4").tobytes())
+def gathered(batches: Iterator[pa.RecordBatch], least_bytes: int = GATHERED_BYTES) -> Iterator[pa.RecordBatch]:
+    """Batches put together until they hold so many bytes: the more text, the fewer distinct pieces a word."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        held.append(batch)
+        if sum(b.nbytes for b in held) >= least_bytes:
+            yield pa.concat_batches(held)
+            held = []
+    if held:
+        yield pa.concat_batches(held)
 
 
-def encode_documents(docs: DataFrame, tokenizer: str, end_id: int = END_ID) -> DataFrame:
-    """(doc_id, n_tokens, ids_crc32, ids) with the ids of the whole text and the end id."""
+def encode_documents(docs: DataFrame, tokenizer: str) -> DataFrame:
+    """(doc_id, n_tokens, ids): the ids of the whole text; n_tokens counts the end id too, which is not stored."""
     schema = arrow_schema(docs.sparkSession, ENCODED)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = encoder(tokenizer)
-        for batch in batches:
-            for piece in bounded(batch, 4 << 20):
-                ids = words.encode(piece.column(1).to_pylist(), end_id)
-                crcs = [crc_of(np.frombuffer(x, dtype="<u2")) for x in ids]
-                sizes = [len(x) // 2 for x in ids]
-                cols = [piece.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(crcs, pa.int64()), pa.array(ids, pa.binary())]
-                yield pa.RecordBatch.from_arrays(cols, schema=schema)
+        for batch in gathered(batches):
+            ids = words.encode(batch.column(1))
+            sizes = pc.add(pc.divide(pc.binary_length(ids), 2), 1)
+            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), sizes.cast(pa.int64()), ids.cast(pa.binary())], schema=schema)
 
     small_batches(docs.sparkSession)
     return docs.select("doc_id", "text").mapInArrow(run, ENCODED)
@@ -240,14 +263,17 @@ class Decoder:
         return out.T.reshape(-1)[:n_ids]
 
 
-def count_ids(encoded: DataFrame, n_ids: int = 1 << 16, max_tasks: int = 2048) -> np.ndarray:
+def count_ids(encoded: DataFrame, end_id: int = END_ID, n_ids: int = 1 << 16, max_tasks: int = 2048) -> np.ndarray:
     """How often each id occurs in all documents; what reaches the driver is one row an id."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(n_ids, dtype=np.int64)
         for batch in batches:
-            for ids in batch.column(0):
-                total += np.bincount(np.frombuffer(ids.as_buffer(), dtype="<u2"), minlength=n_ids) if ids.is_valid else 0
+            data = batch.column(0)
+            at = np.frombuffer(data.buffers()[1], dtype=np.int32)[data.offset :][: len(data) + 1]
+            if len(data) and at[-1] > at[0]:
+                total += np.bincount(np.frombuffer(data.buffers()[2], dtype="<u2")[at[0] // 2 : at[-1] // 2], minlength=n_ids)
+            total[end_id] += len(data)
         used = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(total[used])], names=["id", "n"])
 
@@ -260,37 +286,40 @@ def count_ids(encoded: DataFrame, n_ids: int = 1 << 16, max_tasks: int = 2048) -
 # --- files ------------------------------------------------------------------------------
 
 
-def write_token_files(encoded: DataFrame, path: str, max_bits: int = MAX_BITS) -> None:
+def write_token_files(encoded: DataFrame, path: str, end_id: int = END_ID, max_bits: int = MAX_BITS) -> None:
     """Write a staged table of encoded documents in ascending doc_id order; see the format above."""
     spark = encoded.sparkSession
-    lengths = limited_lengths(count_ids(encoded), max_bits)
+    lengths = limited_lengths(count_ids(encoded, end_id), max_bits)
     codes = canonical_codes(lengths)
     schema = arrow_schema(spark, SEGMENTS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, seq = TaskContext.get().partitionId(), 0
+        end = np.array([end_id], dtype="<u2")
         doc_ids: list[int | None] = []
+        sizes: list[int] = []
         ids: list[np.ndarray] = []
         held = ahead = 0
 
         def close() -> pa.RecordBatch:
-            flat = np.concatenate(ids)
+            flat = np.concatenate(ids).astype(np.int64)
             payload, checkpoints = pack(flat, lengths, codes)
-            row = ([part], [seq], [ahead], [doc_ids], [[len(x) for x in ids]], [len(flat)], [checkpoints], [payload])
+            row = ([part], [seq], [ahead], [doc_ids], [sizes], [len(flat)], [checkpoints], [payload])
             return pa.RecordBatch.from_arrays([pa.array(v, type=f.type) for v, f in zip(row, schema, strict=True)], schema=schema)
 
         for batch in batches:
             for doc_id, raw in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 doc_ids.append(doc_id)
-                ids.append(np.frombuffer(raw.as_buffer(), dtype="<u2").astype(np.int64))
-                held += len(ids[-1])
+                ids += [np.frombuffer(raw.as_buffer(), dtype="<u2"), end]
+                sizes.append(len(ids[-2]) + 1)
+                held += sizes[-1]
                 if held >= SEGMENT_IDS:
                     yield close()
-                    doc_ids, ids, held, seq, ahead = [], [], 0, seq + 1, ahead + held
+                    doc_ids, sizes, ids, held, seq, ahead = [], [], [], 0, seq + 1, ahead + held
         if ids:
             yield close()
 
-    keys = [F.col("doc_id").asc_nulls_first(), "n_tokens", "ids_crc32", "row_id"]
+    keys = [F.col("doc_id").asc_nulls_first(), "n_tokens", "row_id"]
     ordered = encoded.repartitionByRange(*keys).sortWithinPartitions(*keys).select("doc_id", "ids")
     ordered.mapInArrow(run, SEGMENTS).write.mode("overwrite").parquet(f"{path}/segments")
     code = spark.createDataFrame([(max_bits, bytearray(lengths.tobytes()))], "max_bits int, lengths binary")
@@ -325,8 +354,8 @@ def read_token_files(spark: SparkSession, path: str) -> DataFrame:
 def token_files(docs: DataFrame, tokenizer: str | None = None, end_id: int = END_ID) -> DataFrame:
     """Encode, write, read back: (doc_id, start, n_tokens, ids_crc32)."""
     staging = Staging(docs.sparkSession, "tokens")
-    encoded = staging.table(encode_documents(docs, tokenizer or tokenizer_path(), end_id), "encoded", row_id="row_id")
-    write_token_files(encoded, staging.path("files"))
+    encoded = staging.table(encode_documents(docs, tokenizer or tokenizer_path()), "encoded", row_id="row_id")
+    write_token_files(encoded, staging.path("files"), end_id)
     staging.drop("encoded")
     return read_token_files(docs.sparkSession, staging.path("files"))
 
