@@ -93,7 +93,7 @@ def _grouped(docs: DataFrame, radius: int, shingle: int, keep: tuple[str, ...] =
     printed = staging.table(map_rows(docs, ["doc_id", "text"], "doc_id long, fp long", make, keep), "printed", row_id="row_id")
     first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_id")).alias("first")
     distinct = staging.table(printed.groupBy("fp").agg(first), "distinct")
-    roots = staging.table(connected_components(links(distinct, "fp", radius), staging), "roots")
+    roots = connected_components(links(distinct, "fp", radius), staging)
     rooted = distinct.join(roots, distinct["fp"] == roots["node"])
     named = rooted.join(rooted.groupBy("root").agg(F.min("first").alias("least")), "root").select("fp", F.col("least").alias("first"))
     alone = distinct.join(roots, distinct["fp"] == roots["node"], "left_anti")
