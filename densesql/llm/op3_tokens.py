@@ -35,12 +35,12 @@ from densesql.plans.staging import Staging
 TOKENIZER, END_ID = "word_bpe_49k.json", 2
 #: Longest code; ids between checkpoints; ids a segment aims at.
 MAX_BITS, STRIDE, SEGMENT_IDS = 18, 256, 1 << 19
-#: Pieces, and cores, whose ids a worker remembers; beyond that they are learnt anew, of cores the older half.
-REMEMBERED = 800_000
+#: Cores whose ids a worker remembers; beyond that the older half is forgotten.
+REMEMBERED = 600_000
 #: Marks that are split off behind a letter (none that special tokens contain), and words encoded together.
 MARKS, JOINED = ".,;:!?*#$%&", 64
-#: Bytes of text encoded together.
-GATHERED_BYTES = 20 << 20
+#: Bytes of text encoded together, and distinct pieces that Python holds at once.
+GATHERED_BYTES, DISTINCT = 20 << 20, 1 << 15
 
 ENCODED = "doc_id long, n_tokens long, ids binary"
 SEGMENTS = "part int, seq int, ahead long, doc_ids array<long>, n_tokens array<long>, n_ids long, checkpoints array<long>, payload binary"
@@ -75,7 +75,6 @@ class WordEncoder:
             raise ValueError("ids need more than 16 bits")
         self.ends_word = np.zeros(1 << 16, dtype=bool)
         self.ends_word[[i for w, i in vocabulary.items() if w.endswith("</w>")]] = True
-        self.pieces: dict[str, bytes] = {}
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
@@ -113,12 +112,14 @@ class WordEncoder:
         Splitting, finding the distinct pieces and putting the ids together run inside Arrow;
         Python sees each distinct piece of a batch once.
         """
-        texts = pc.fill_null(texts.cast(pa.large_string()), "")
+        texts = pc.fill_null(texts, "")
         for blank in "\n\t":
             texts = pc.replace_substring(texts, blank, " ")
         lists = pc.split_pattern(texts, " ")
         coded = lists.flatten().dictionary_encode()
-        found = pa.array(self._ids_of(coded.dictionary.to_pylist()), pa.large_binary()).take(coded.indices)
+        words = coded.dictionary
+        cuts = (self._ids_of(words.slice(k, DISTINCT).to_pylist()) for k in range(0, max(1, len(words)), DISTINCT))
+        found = pa.concat_arrays([pa.array(ids, pa.large_binary()) for ids in cuts]).take(coded.indices)
         offsets = np.frombuffer(found.buffers()[1], dtype=np.int64)[found.offset :][: len(found) + 1]
         ends = np.asarray(lists.offsets)
         at = (offsets[ends - ends[0]] - offsets[0]).astype(np.int64)
@@ -126,18 +127,17 @@ class WordEncoder:
         return pa.Array.from_buffers(pa.large_binary(), len(texts), [None, pa.py_buffer(at), data])
 
     def _ids_of(self, pieces: list[str]) -> list[bytes]:
-        if len(self.pieces) > REMEMBERED:
-            self.pieces = {}
-        known = self.pieces
-        split = {w: self._parts(w) for w in set(pieces).difference(known)}
+        split = list(map(self._parts, pieces))
         young, old = self.young, self.old
-        new = {part for both in split.values() for part in both if part not in young}
+        new = {core for core, _ in split}
+        new.update(marks for _, marks in split)
+        new.difference_update(young)
         young.update((part, old[part]) for part in new if part in old)
         self._learn(new.difference(old))
-        known.update((w, young[core] + young[marks] if marks else young[core]) for w, (core, marks) in split.items())
+        ids = [young[core] + young[marks] if marks else young[core] for core, marks in split]
         if len(young) > REMEMBERED // 2:
             self.young, self.old = {}, young
-        return [known[w] for w in pieces]
+        return ids
 
 
 def encoder(path: str) -> WordEncoder:
@@ -168,6 +168,7 @@ def encode_documents(docs: DataFrame, tokenizer: str) -> DataFrame:
             ids = words.encode(batch.column(1))
             sizes = pc.add(pc.divide(pc.binary_length(ids), 2), 1)
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), sizes.cast(pa.int64()), ids.cast(pa.binary())], schema=schema)
+            pa.default_memory_pool().release_unused()
 
     small_batches(docs.sparkSession)
     return docs.select("doc_id", "text").mapInArrow(run, ENCODED)
