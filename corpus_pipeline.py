@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from densesql.llm import op2_simhash, op3_tokens, op4_mix, op9_quality, op10_benchmark
 from densesql.llm.common import documents
-from densesql.plans.staging import Staging
+from densesql.plans.staging import Staging, released_before
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,12 +41,13 @@ def token_files(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return op3_tokens.token_files(docs)
 
 
+#: A stage's result is written before the next one begins, which then drops what the earlier one had staged.
 STAGES = [
-    ("quality_rules", quality_rules),
-    ("simhash_near_dedup", near_duplicates),
-    ("benchmark_decontamination", decontaminate),
-    ("mix_to_targets", mix_sources),
-    ("token_files", token_files),
+    ("quality_rules", released_before(quality_rules)),
+    ("simhash_near_dedup", released_before(near_duplicates)),
+    ("benchmark_decontamination", released_before(decontaminate)),
+    ("mix_to_targets", released_before(mix_sources)),
+    ("token_files", released_before(token_files)),
 ]
 
 #: The stages use xxHash fingerprints and a tokenizer, which SQL cannot express; tests hold them against brute force.
