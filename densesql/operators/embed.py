@@ -36,6 +36,6 @@ def encode(df: DataFrame, key: str, text: str, dims: int = 256, ngrams: tuple[in
             vectors = [encode_text(t, dims, ngrams).astype(np.float32) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(vectors, pa.list_(pa.float32()))], names=["digest", "embedding"])
 
-    keyed = df.select(key, *keep, F.col(text).alias("_text"), digest.alias("digest"))
+    keyed = df.select(*dict.fromkeys((key, *keep)), F.col(text).alias("_text"), digest.alias("digest"))
     distinct = keyed.groupBy("digest").agg(F.first("_text").alias("_text")).mapInArrow(run, "digest string, embedding array<float>")
     return keyed.drop("_text").join(distinct, "digest").drop("digest")

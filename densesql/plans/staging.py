@@ -11,6 +11,8 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Callable
+from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -72,6 +74,27 @@ class Staging:
         _LIVE.discard(self)
 
 
+_EARLIER: list[Staging] = []
+
+
+def released_before(step: Callable) -> Callable:
+    """A step of a chain whose results are each written before the next step begins.
+
+    What the step before staged has been read by then, and is deleted.
+    """
+
+    @wraps(step)
+    def run(*args):
+        while _EARLIER:
+            _EARLIER.pop().release()
+        known = set(_LIVE)
+        out = step(*args)
+        _EARLIER.extend(_LIVE - known)
+        return out
+
+    return run
+
+
 @atexit.register
 def _release_all() -> None:
     for staging in list(_LIVE):
