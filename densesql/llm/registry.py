@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from densesql.llm import op1_secrets, op2_simhash, op3_tokens, op4_mix, op5_shards, op7_rollups, op8_links, op9_quality, op10_benchmark
+from densesql.llm import op1_secrets, op2_simhash, op3_tokens, op4_mix, op5_shards, op6_lines, op7_rollups, op8_links, op9_quality, op10_benchmark
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_token_files": op3_tokens.op3_token_files,
         "op4_mix": op4_mix.op4_mix,
         "op5_shards": op5_shards.op5_shards,
+        "op6_line_dedup": op6_lines.op6_line_dedup,
         "op7_token_rollups": op7_rollups.op7_token_rollups,
         "op8_url_filter": op8_links.op8_url_filter,
         "op9_quality": op9_quality.op9_quality,

@@ -12,7 +12,7 @@ import pytest
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from densesql.llm import op1_secrets, op2_simhash, op3_tokens, op4_mix, op5_shards, op7_rollups, op8_links, op9_quality, op10_benchmark
+from densesql.llm import op1_secrets, op2_simhash, op3_tokens, op4_mix, op5_shards, op6_lines, op7_rollups, op8_links, op9_quality, op10_benchmark
 from densesql.llm.common import documents
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
@@ -314,6 +314,51 @@ def test_communication_matrix_law():
     assert abs(mean - 3) < 0.15 and abs(var - 6 * 0.25 * 6 / 11) < 0.15  # hypergeometric(12, 6, 6)
 
 
+# --- lines
+
+
+def brute_lines(given):
+    """(doc_id, n_lines, n_exact, n_similar, kept) in table order for rows (doc_id, text)."""
+    every, out = [], []
+    order = sorted(range(len(given)), key=lambda k: (given[k][0] is None, given[k][0] or 0, k))
+    for k in order:
+        n = exact = similar = 0
+        kept = []
+        for no, line in enumerate((given[k][1] or "").split("\n") if given[k][1] is not None else []):
+            w = words(line)
+            if w:
+                n += 1
+                shown, bag = " ".join(w), set(w)
+                if any(shown == x for x, _ in every):
+                    exact += 1
+                elif any(5 * len(bag & y) >= 4 * len(bag | y) for _, y in every):
+                    similar += 1
+                else:
+                    kept.append(no)
+                every.append((shown, bag))
+        out.append((given[k][0], n, exact, similar, kept))
+    return sorted(out, key=repr)
+
+
+def test_lines_match_brute_force(spark, docs, odd, empty, sf_dir):
+    cols = ("doc_id", "n_lines", "n_exact", "n_similar", "kept_lines")
+    rng = random.Random(4)
+    vocabulary = [f"v{k}" for k in range(40)]
+    base = [rng.sample(vocabulary, 12) for _ in range(8)]
+    near = [(100 + k, "\n".join(" ".join(rng.choice(vocabulary) if rng.random() < 0.08 else w for w in rng.choice(base)) for _ in range(3)), "en", "a", 0) for k in range(60)]
+    planted = spark.createDataFrame(near, SCHEMA).coalesce(1)
+    given = documents(spark, sf_dir)
+    for df in (planted, given.coalesce(1)):
+        rows_ = [(r["doc_id"], r["text"]) for r in df.collect()]
+        assert rows(op6_lines.line_report(df), *cols) == brute_lines(rows_)
+    distinct = [r for k, r in enumerate(ROWS) if r[0] is not None and k != 8]
+    small = spark.createDataFrame(distinct, SCHEMA)
+    assert rows(op6_lines.line_report(small), *cols) == brute_lines([(r[0], r[1]) for r in distinct])
+    assert op6_lines.line_report(odd).count() == len(ROWS) and op6_lines.line_report(empty).count() == 0
+    cut = {r["doc_id"]: r["text"] for r in op6_lines.drop_similar_lines(odd).collect()}
+    assert cut[2] is None and cut[1] == "" and cut[0] == ROWS[0][1] and op6_lines.drop_similar_lines(odd).columns == odd.columns
+
+
 # --- rollups
 
 
