@@ -16,7 +16,7 @@ def latency(log: DataFrame, by: tuple[str, ...] = (), seconds: str = "seconds",
 
 def vram_gb(params_b: Column, width: Column, layers: Column, kv_heads: Column, head_dim: Column, context: Column, batch: Column, other: Column) -> Column:
     """Weights, key-value cache and the rest, in GB of 10^9 bytes."""
-    return params_b * width + 2 * layers * kv_heads * head_dim * context * width * batch / 1e9 + other
+    return params_b * width + layers.cast("double") * 2 * kv_heads * head_dim * context * width * batch / 1e9 + other
 
 
 #: Policies as (name, billions of parameters, layers, key-value heads, head dimension), at typical shapes.

@@ -169,7 +169,8 @@ def self_bleu(traces: DataFrame, by: str, text: str = "trace", order: int = 4, s
 
 def self_overlap(traces: DataFrame, by: str, key: str, text: str, n: int = 2) -> DataFrame:
     """(by, k, overlap): the relational form for one n: clipped n-gram precision against the group's other texts."""
-    grams = traces.select(by, key, F.explode(ngrams(tokens(F.col(text)), n)).alias("g")).groupBy(by, key, "g").agg(F.count(F.lit(1)).alias("c"))
+    split = traces.withColumn("_toks", tokens(F.col(text)))  # a column of its own, so that it is computed once
+    grams = split.select(by, key, F.explode(ngrams(F.col("_toks"), n)).alias("g")).groupBy(by, key, "g").agg(F.count(F.lit(1)).alias("c"))
     w = Window.partitionBy(by, "g")
     order = w.orderBy(F.desc("c"), key)
     tops = grams.withColumns({"top": F.max("c").over(w), "r": F.row_number().over(order)})

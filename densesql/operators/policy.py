@@ -16,7 +16,8 @@ FEATURES = ("bias", "parsed", "format", "joins", "filters", "nesting", "trace_to
 
 def featurise(scored: DataFrame) -> DataFrame:
     """Add ``x`` from what is seen without the gold; needs ops, trace, style, format_ok, parsed, logp and mem_score."""
-    toks = T.tokens(F.col("trace"))
+    scored = scored.withColumn("_toks", T.tokens(F.col("trace")))  # a column of its own, so that it is computed once
+    toks = F.col("_toks")
     kinds = lambda *names: F.size(F.filter("ops", lambda o: o["kind"].isin(*names))).cast("double")
     flag = lambda c: c.cast("double")
     return scored.withColumn(
@@ -26,7 +27,7 @@ def featurise(scored: DataFrame) -> DataFrame:
             kinds("scope_open") / 2, F.least(F.log1p(F.size(toks).cast("double")) / 8, F.lit(1.0)), T.diversity(toks), F.coalesce("mem_score", F.lit(0.0)),
             F.coalesce("logp", F.lit(0.0)), flag(F.col("style") == "plan"), flag(F.col("style") == "story"), flag(F.col("style") == "clauses"),
         ),
-    )
+    ).drop("_toks")
 
 
 def fit_supervised(cands: DataFrame, target: str = "in_bank", epochs: int = 10, lr: float = 0.5) -> np.ndarray:

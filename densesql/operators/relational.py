@@ -16,16 +16,16 @@ def asof_join(left: DataFrame, right: DataFrame, by: str, on: str, value: str, t
     seen = both.withColumns({at: F.last(F.when(F.col("_side") == 0, F.struct(on, "_v")), ignorenulls=True).over(w)})
     fresh = F.col(at)["_v"]
     if tolerance_s is not None:
-        fresh = F.when(F.col(on).cast("double") - F.col(at)[on].cast("double") <= tolerance_s, fresh)
+        fresh = F.when(F.col(on).cast("timestamp").cast("double") - F.col(at)[on].cast("timestamp").cast("double") <= tolerance_s, fresh)
     return seen.where("_side = 1").withColumn(f"asof_{value}", fresh).select(*left.columns, f"asof_{value}")
 
 
 def range_join(left: DataFrame, right: DataFrame, by: str, left_on: str, right_on: str, width_s: int) -> DataFrame:
     """Pairs with ``right_on`` in [left_on, left_on + width]; time buckets make it an equi-join of linear size."""
-    bucket = lambda c: F.floor(F.unix_seconds(F.col(c)) / width_s)
+    bucket = lambda c: F.floor(F.unix_seconds(F.col(c).cast("timestamp")) / width_s)
     a = left.withColumn("_b", F.explode(F.array(bucket(left_on), bucket(left_on) + 1)))
     b = right.withColumn("_b", bucket(right_on))
-    late = F.unix_micros(right_on) - F.unix_micros(left_on)
+    late = F.unix_micros(F.col(right_on).cast("timestamp")) - F.unix_micros(F.col(left_on).cast("timestamp"))
     return a.join(b, [by, "_b"]).where((late >= 0) & (late <= width_s * 1_000_000)).drop("_b")
 
 

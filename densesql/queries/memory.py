@@ -65,7 +65,7 @@ for _scope in M.SCOPES:
 @query("mem_lookup_join_plan", f"with {sims('same')} select query_id, entry_id, round(cos, 6) as cos, cast(rank as integer) as rank from ranked where rank <= 5")
 def mem_lookup_join_plan(spark: SparkSession, sf_dir: str) -> DataFrame:
     q, m = vectors(spark, sf_dir)
-    return M.lookup_join(q, m, 5, "same").select("query_id", "entry_id", F.round("cos", 6).alias("cos"), "rank")
+    return M.lookup_join(q, m, 5, "same").select("query_id", "entry_id", F.round(F.round("cos", 9), 6).alias("cos"), "rank")
 
 
 @query(

@@ -33,10 +33,10 @@ def grpo_advantage(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "grpo_mean_only",
-    f"with {_REWARDS} select question_id, rollout_id, round(total - avg(total) over (partition by question_id), 6) as advantage from g",
+    f"with {_REWARDS} select question_id, rollout_id, round(total - avg(total) over (partition by question_id), 9) as advantage from g",
 )
 def grpo_mean_only(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return grpo.advantages(grouped(spark, sf_dir), normalise=False).select("question_id", "rollout_id", F.round("advantage", 6).alias("advantage"))
+    return grpo.advantages(grouped(spark, sf_dir), normalise=False).select("question_id", "rollout_id", F.round("advantage", 9).alias("advantage"))
 
 
 @query("grpo_value_baseline")

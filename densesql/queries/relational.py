@@ -62,9 +62,9 @@ def rollout_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.format("derived_rollouts").option("group", 4).load().select("question_id", "rollout_id")
 
 
-@query("project_expr", "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 4) as charge from lineitem")
+@query("project_expr", "select l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 6) as charge from lineitem")
 def project_expr(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "lineitem").selectExpr("l_orderkey", "l_linenumber", "round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 4) as charge")
+    return table(spark, sf_dir, "lineitem").selectExpr("l_orderkey", "l_linenumber", "round(l_extendedprice * (1 - l_discount) * (1 + l_tax), 6) as charge")
 
 
 @query("filter_forms", "select p_partkey from part where p_brand in ('Brand#1', 'Brand#2', 'Brand#11', 'Brand#12', 'Brand#13') and p_size between 5 and 30 and p_type like '%E%' and p_name is not null")
@@ -330,13 +330,13 @@ def win_running_moving(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("win_range_interval", "select event_id, count(*) over (partition by user_id order by ts range between interval 1 day preceding and current row) as last_day from events")
 def win_range_interval(spark: SparkSession, sf_dir: str) -> DataFrame:
-    w = Window.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-86_400_000_000, 0)
+    w = Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-86_400_000_000, 0)
     return table(spark, sf_dir, "events").select("event_id", F.count(F.lit(1)).over(w).alias("last_day"))
 
 
-@query("win_group_stats", "select o_orderkey, round(o_totalprice - avg(o_totalprice) over (partition by o_custkey), 4) as above from orders")
+@query("win_group_stats", "select o_orderkey, round(o_totalprice - avg(o_totalprice) over (partition by o_custkey), 7) as above from orders")
 def win_group_stats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return table(spark, sf_dir, "orders").select("o_orderkey", F.round(F.col("o_totalprice") - F.avg("o_totalprice").over(Window.partitionBy("o_custkey")), 4).alias("above"))
+    return table(spark, sf_dir, "orders").select("o_orderkey", F.round(F.col("o_totalprice") - F.avg("o_totalprice").over(Window.partitionBy("o_custkey")), 7).alias("above"))
 
 
 # --- sorts, samples, sets

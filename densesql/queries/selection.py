@@ -94,7 +94,7 @@ def pass_at_k_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "pass_at_k_unbiased",
-    f"""with {LOG}, n as (select question_id, count(*) as n, count_if(correct) as c from c group by 1),
+    f"""with {LOG}, n as (select question_id, count(*) as n, cast(count_if(correct) as bigint) as c from c group by 1),
     p as (select k, case when c = 0 then 0.0 when n - c < k then 1.0 else 1 - exp(list_sum(list_transform(range(n - c + 1, n + 1), lambda i: ln(1 - k / cast(i as double))))) end as p from n, {_KS})
     select k, round(avg(p), 6) as pass_at_k from p group by k""",
 )

@@ -66,7 +66,7 @@ def stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def stream_interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     staging = Staging(spark, "stream")
-    events = _events(spark, sf_dir, staging)
+    events = E.file_stream(spark, sf_dir, "events", staging, "ts", parts=1)  # in order of time, so nothing is late
     return E.drain(E.interval_join(events.where("event_type = 'view'"), events.where("event_type = 'purchase'")), staging, "out")
 
 
@@ -81,17 +81,18 @@ def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(
     "stream_running_advantage",
     """with r as (select user_id, value, row_number() over (partition by user_id order by ts, event_id) as i, count(*) over (partition by user_id) as k from events)
-    select user_id as question_id, count(*) as n, round(avg(value), 4) as mean, round(stddev_pop(value), 4) as std from r where i <= 16 and k >= 16 group by user_id""",
+    select user_id as question_id, count(*) as n, round(avg(value), 8) as mean, round(stddev_pop(value), 5) as std from r where i <= 16 and k >= 16 group by user_id""",
 )
 def stream_running_advantage(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Online reward statistics of each question's first sixteen rollouts."""
     staging = Staging(spark, "stream")
-    e = _events(spark, sf_dir, staging).select(F.col("user_id").alias("question_id"), F.col("event_id").alias("rollout_id"), "ts", F.col("value").alias("total"))
+    events = E.file_stream(spark, sf_dir, "events", staging, "ts", parts=1)  # "first" needs arrival in order of time
+    e = events.select(F.col("user_id").alias("question_id"), F.col("event_id").alias("rollout_id"), "ts", F.col("value").alias("total"))
     found = E.drain(E.running_advantages(e, 16), staging, "out")
-    return found.select("question_id", "n", F.round("mean", 4).alias("mean"), F.round("std", 4).alias("std"))
+    return found.select("question_id", "n", F.round("mean", 8).alias("mean"), F.round("std", 5).alias("std"))
 
 
-@query("stream_admit_batches", "select min(doc_id) as doc_id from documents where len(regexp_extract_all(lower(text), '[a-z0-9_]+')) between 30 and 2000 group by text")
+@query("stream_admit_batches", "select distinct md5(text) as digest from documents where len(regexp_extract_all(lower(text), '[a-z0-9_]+')) between 30 and 2000")
 def stream_admit_batches(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A memory that grows by micro-batches: texts that pass the length rule and are not there yet."""
     staging = Staging(spark, "stream")
@@ -102,7 +103,7 @@ def stream_admit_batches(spark: SparkSession, sf_dir: str) -> DataFrame:
         first = gated.groupBy(F.md5(F.col("text").cast("binary")).alias("digest")).agg(F.min("doc_id").alias("doc_id"))
         return first if known is None else first.join(known.select("digest"), "digest", "left_anti")
 
-    return E.admit_batches(docs, staging, admit).select("doc_id")
+    return E.admit_batches(docs, staging, admit).select("digest")
 
 
 @query(

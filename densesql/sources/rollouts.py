@@ -64,4 +64,5 @@ class RolloutSource(DataSource):
 
 
 def register(spark: SparkSession) -> None:
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")  # a runtime setting, off by default
     spark.dataSource.register(RolloutSource)

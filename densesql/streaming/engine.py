@@ -21,6 +21,7 @@ WATERMARK = "2 hours"
 def file_stream(spark: SparkSession, sf_dir: str, name: str, staging: Staging, order: str | None = None, parts: int = 3, per_trigger: int = 1) -> DataFrame:
     """A given table as a stream of ``parts`` files, in the order of a column where one is named."""
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    df = df.withColumns({f.name: F.col(f.name).cast("timestamp") for f in df.schema if f.dataType.typeName() == "timestamp_ntz"})
     df = df.repartitionByRange(parts, order).sortWithinPartitions(order) if order else df.repartition(parts)
     df.write.mode("overwrite").parquet(staging.path(f"in-{name}"))
     return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", per_trigger).parquet(staging.path(f"in-{name}"))
