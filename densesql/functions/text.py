@@ -15,11 +15,12 @@ def tokens(text: Column) -> Column:
 
 
 def ngrams(toks: Column, n: int) -> Column:
-    """Runs of ``n`` tokens, each joined by one blank, repeats kept."""
-    starts = F.sequence(F.lit(1), F.greatest(F.size(toks) - (n - 1), F.lit(1)))
-    return F.when(F.size(toks) < n, F.array().cast("array<string>")).otherwise(
-        F.transform(starts, lambda i: F.array_join(F.slice(toks, i, n), " "))
-    )
+    """Runs of ``n`` tokens, each joined by one blank, repeats kept: shifted copies zipped together, one pass each."""
+    whole = F.greatest(F.size(toks) - (n - 1), F.lit(0))
+    out = F.slice(toks, 1, whole)
+    for k in range(1, n):
+        out = F.zip_with(out, F.slice(toks, k + 1, whole), lambda a, b: F.concat(a, F.lit(" "), b))
+    return out
 
 
 def gate_length(toks: Column, lo: int = MIN_TOKENS, hi: int = MAX_TOKENS) -> Column:
