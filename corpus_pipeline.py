@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densesql.llm import op2_simhash, op3_tokens, op4_mix, op9_quality, op10_benchmark
+from densesql.llm import near_copies, op3_tokens, op4_mix, op9_quality, op10_benchmark
 from densesql.llm.common import documents
 from densesql.plans.staging import Staging, released_before
 
@@ -22,8 +22,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates the row with the smallest doc_id stays."""
-    return op2_simhash.keep_one(docs)
+    """Of each group of near-duplicates (5-word shingles, Jaccard of 0.8 or more) the row with the smallest doc_id stays."""
+    return near_copies.keep_one(docs)
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,7 +50,7 @@ STAGES = [
     ("token_files", released_before(token_files)),
 ]
 
-#: The stages use xxHash fingerprints and a tokenizer, which SQL cannot express; tests hold them against brute force.
+#: The stages use xxHash shingles and a tokenizer, which SQL cannot express; tests hold them against brute force.
 ORACLE_SQL = None
 
 
