@@ -150,17 +150,18 @@ def search_pipelines(cands: DataFrame, question_text: DataFrame) -> DataFrame:
     return scored.withColumn("best", F.round("ex", 9) == top)
 
 
-def preference_pairs(scored: DataFrame, per_question: int = 16) -> DataFrame:
-    """(question_id, chosen, rejected, margin): correct against wrong candidates, the first ``per_question`` in hash order.
+def preference_pairs(scored: DataFrame, per_question: int | None = None) -> DataFrame:
+    """(question_id, chosen, rejected, margin): every correct against every wrong candidate of a question.
 
-    The limit is the sampling size of the method, not a filter of its input.
+    ``per_question`` keeps so many of a question's pairs in hash order, where a method samples them.
     """
     good = scored.where("correct").select("question_id", F.col("rollout_id").alias("chosen"), F.col("logp").alias("up"))
     bad = scored.where("not correct").select("question_id", F.col("rollout_id").alias("rejected"), F.col("logp").alias("down"))
     pairs = good.join(bad, "question_id")
-    order = Window.partitionBy("question_id").orderBy(F.xxhash64("chosen", "rejected"), "chosen", "rejected")
-    kept = pairs.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= per_question)
-    return kept.select("question_id", "chosen", "rejected", (F.col("up") - F.col("down")).alias("margin"))
+    if per_question is not None:
+        order = Window.partitionBy("question_id").orderBy(F.xxhash64("chosen", "rejected"), "chosen", "rejected")
+        pairs = pairs.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= per_question)
+    return pairs.select("question_id", "chosen", "rejected", (F.col("up") - F.col("down")).alias("margin"))
 
 
 def preference_loss(pairs: DataFrame, beta: float = 0.1) -> DataFrame:
@@ -168,6 +169,15 @@ def preference_loss(pairs: DataFrame, beta: float = 0.1) -> DataFrame:
     return pairs.agg(F.count(F.lit(1)).alias("n"), F.avg(F.log1p(F.exp(-F.lit(beta) * F.col("margin")))).alias("loss"))
 
 
+def preference_loss_whole(scored: DataFrame, beta: float = 0.1) -> DataFrame:
+    """``preference_loss`` over all pairs, from a question's different log-probabilities and how often each occurs."""
+    good = scored.where("correct").groupBy("question_id", F.col("logp").alias("up")).agg(F.count(F.lit(1)).alias("a"))
+    bad = scored.where("not correct").groupBy("question_id", F.col("logp").alias("down")).agg(F.count(F.lit(1)).alias("b"))
+    both = good.join(bad, "question_id").withColumn("n", F.col("a") * F.col("b"))
+    loss = F.log1p(F.exp(-F.lit(beta) * (F.col("up") - F.col("down"))))
+    return both.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), (F.sum(loss * F.col("n")) / F.sum("n")).alias("loss"))
+
+
 def step_check(trace: Column, sql: Column) -> Column:
     """A rule-based process check: the share of a trace's steps that name something in the statement."""
     steps = F.filter(F.split(trace, r"[.;]"), lambda s: F.trim(s) != "")
