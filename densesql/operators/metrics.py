@@ -6,11 +6,11 @@ import math
 from collections import Counter
 from collections.abc import Iterable
 
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from densesql.functions.text import ngrams, tokens
+from densesql.plans.staging import Staging
 
 
 def execution_accuracy(selected: DataFrame, by: tuple[str, ...] = (), cube: bool = False) -> DataFrame:
@@ -150,21 +150,37 @@ def self_bleu_of(texts: list[list[str]], order: int = 4, smooth: float = 0.1) ->
     return sum(scores) / len(scores)
 
 
-def self_bleu(traces: DataFrame, by: str, text: str = "trace", order: int = 4, smooth: float = 0.1, group_cap: int = 64) -> DataFrame:
-    """(by, k, self_bleu) for groups of up to ``group_cap`` traces, by grouped Arrow.
+def _nearest_sizes(rows: DataFrame, by: str) -> DataFrame:
+    """(by, c, r): for each size of a group's texts the nearest size among the group's others, the smaller of two."""
+    sizes = rows.groupBy(by, "c").agg(F.count(F.lit(1)).alias("n"))
+    order = Window.partitionBy(by).orderBy("c")
+    near = sizes.withColumns({"low": F.lag("c").over(order), "high": F.lead("c").over(order)})
+    lower = F.col("high").isNull() | (F.col("c") - F.col("low") <= F.col("high") - F.col("c"))
+    return near.select(by, "c", F.when(F.col("n") > 1, F.col("c")).when(lower, F.col("low")).otherwise(F.coalesce("high", "c")).alias("r"))
 
-    Groups are rollouts of one question and so bounded by their sampling; a larger group is
-    cut in hash order into parts of that size, which are averaged by their traces.
-    """
 
-    def run(table: pa.Table) -> pa.Table:
-        rows = [(t or "").lower().split() for t in table.column("_t").to_pylist()]
-        return pa.table({by: table.column(by)[:1], "k": [len(rows)], "s": [self_bleu_of(rows, order, smooth)]})
+def self_bleu(traces: DataFrame, by: str, text: str = "trace", order: int = 4, smooth: float = 0.1) -> DataFrame:
+    """(by, k, self_bleu): the mean BLEU of each text against all others of its group, of any size.
 
-    kind = traces.schema[by].dataType.simpleString()
-    cut = traces.select(by, F.col(text).alias("_t")).withColumn("_part", F.pmod(F.xxhash64("_t"), F.ceil(F.count(F.lit(1)).over(Window.partitionBy(by)) / group_cap)))
-    per = cut.groupBy(by, "_part").applyInArrow(run, f"{by} {kind}, k long, s double")
-    return per.groupBy(by).agg(F.sum("k").alias("k"), (F.sum(F.col("s") * F.col("k")) / F.sum("k")).alias("self_bleu"))
+    As in ``self_bleu_of`` the two largest counts of every n-gram of a group are enough.
+    """
+    words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"(?U)[\s\x1c-\x1f]+"), lambda w: w != "")
+    rows = Staging(traces.sparkSession, "self-bleu").table(traces.select(F.col(by).alias("_by"), words.alias("_toks")), "rows", row_id="_id")
+    rows = rows.withColumn("c", F.size("_toks"))
+    runs = F.array(*[F.struct(F.lit(n).alias("n"), ngrams(F.col("_toks"), n).alias("gs")) for n in range(1, order + 1)])
+    grams = rows.select("_by", "_id", F.inline(runs)).select("_by", "_id", "n", F.explode("gs").alias("g")).groupBy("_by", "_id", "n", "g").agg(F.count(F.lit(1)).alias("x"))
+    w = Window.partitionBy("_by", "n", "g").orderBy(F.desc("x"), "_id")
+    whole = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    tops = grams.withColumns({"at": F.row_number().over(w), "top": F.first("x").over(whole), "second": F.nth_value("x", 2).over(whole)})
+    others = F.when(F.col("at") == 1, F.coalesce("second", F.lit(0))).otherwise(F.col("top"))
+    hits = tops.groupBy("_id").agg(*[F.sum(F.when(F.col("n") == n, F.least("x", others)).otherwise(0)).alias(f"h{n}") for n in range(1, order + 1)])
+    near = _nearest_sizes(rows, "_by").select(F.col("_by").alias("_b"), F.col("c").alias("_c"), "r")
+    each = rows.drop("_toks").join(hits, "_id", "left").join(near, F.col("_by").eqNullSafe(F.col("_b")) & (F.col("c") == F.col("_c")))
+    logs = [F.log(F.when(F.col(f"h{n}") > 0, F.col(f"h{n}").cast("double")).otherwise(smooth) / F.greatest(F.lit(1), F.col("c") - (n - 1))) for n in range(1, order + 1)]
+    penalty = F.when(F.col("c") > F.col("r"), 1.0).otherwise(F.exp(1 - F.col("r") / F.nullif("c", F.lit(0))))
+    score = F.when(F.col("c") == 0, 0.0).otherwise(penalty * F.exp(sum(logs[1:], logs[0]) / order))
+    per = each.select("_by", score.alias("s")).groupBy("_by").agg(F.count(F.lit(1)).alias("k"), F.avg("s").alias("s"))
+    return per.select(F.col("_by").alias(by), "k", F.when(F.col("k") > 1, F.col("s")).otherwise(0.0).alias("self_bleu"))
 
 
 def self_overlap(traces: DataFrame, by: str, key: str, text: str, n: int = 2) -> DataFrame:
