@@ -11,12 +11,16 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 from functools import wraps
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: The runtime setting by which an execution's shuffle files end with it.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 _LOCAL_ROOT: list[str] = []
 _LIVE: set[Staging] = set()
 
@@ -44,6 +48,17 @@ def path_exists(spark: SparkSession, path: str) -> bool:
     return bool(target.getFileSystem(spark._jsc.hadoopConfiguration()).exists(target))
 
 
+@contextmanager
+def shuffles_released(spark: SparkSession) -> Iterator[None]:
+    """Shuffle files of the executions inside go when each ends: what they wrote is in the shared folder by then."""
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
+
+
 class Staging:
     """One operator run's staged tables, below one folder that ``release`` deletes.
 
@@ -63,7 +78,8 @@ class Staging:
         """Write ``df`` once and return a reader of it; ``row_id`` adds a unique long per row."""
         if row_id:
             df = df.withColumn(row_id, F.monotonically_increasing_id())
-        df.write.mode("overwrite").parquet(self.path(name))
+        with shuffles_released(self.spark):
+            df.write.mode("overwrite").option("compression", "zstd").parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
     def drop(self, name: str) -> None:
