@@ -6,15 +6,19 @@ sets with Jaccard similarity of at least 0.8 share a word among the first few of
 of the set bound the overlap inside the join; what is left is verified on the words.
 Rarity comes from counts of all words in 65,536 hash classes, a table of fixed size:
 any one order of words keeps the join exact, and a rarer word still comes earlier.
+Sets of up to three words are similar to equal sets only and have one entry, the set.
 
 A line goes if an earlier one (by doc_id, then place in the table and the text) has the
-same words in the same order, or is similar.  Equal lines count once from the start.
-Groups of similar lines are not expanded: each line first meets the earliest line of
-every prefix word's group, and only lines that stay open meet the others.
+same words in the same order, or is similar.  Equal lines are folded first.  Groups of
+similar lines are not expanded: each line first meets the earliest line of every prefix
+word's group, and only lines that stay open meet the others.  Groups of words whose
+counts are large are dealt over several tasks, whose earliest lines then meet.
 
 All of it is DataFrame functions.  Defined results: a null text has no lines; lines
 without a word always stay and do not count; null doc_ids come last; repeated rows give
-one result row each, the later losing its lines; other columns are ignored.
+one result row each, the later losing its lines; other columns are ignored.  Where a
+doc_id is null or repeated the rows are staged to fix their place in the table;
+otherwise ``docs`` is read twice and must give the same rows both times.
 """
 
 from __future__ import annotations
@@ -27,101 +31,150 @@ from densesql.plans.staging import Staging
 
 #: Hash classes of words whose counts give rarity.
 CLASSES = 1 << 16
-#: Similarity of at least this many fifths.
-FIFTHS = 4
+#: Similarity of at least this many fifths; sets of up to so many words match equal sets only.
+FIFTHS, EQUAL_ONLY = 4, 3
+#: A prefix word's group is dealt to tasks of about two to this power lines.
+GROUP_BITS = 17
+
+LINE = ["d", "r", "l"]
+EARLY = ["ed", "er", "el"]
+#: Bits of a word's key below its level.
+KEY_BITS = 56
 
 
 def _lines(rows: DataFrame) -> DataFrame:
-    """(p, a, b, words, line_no, row_id) of every line with a word: its place, 128-bit class and words."""
-    each = rows.select("row_id", "doc_id", F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
-    shown = each.select("row_id", "doc_id", "line_no", squeezed(F.col("line")).alias("words")).where("words != ''")
-    place = F.struct(F.coalesce("doc_id", F.lit((1 << 63) - 1)).alias("d"), F.col("row_id").alias("r"), F.col("line_no").alias("l"))
-    return shown.select(
-        place.alias("p"), F.xxhash64(F.lit(1), "words").alias("a"), F.xxhash64(F.lit(2), "words").alias("b"), "words", "row_id", "line_no"
-    )
+    """(d, r, l, words): every line with a word, its place and its words with one blank between them."""
+    each = rows.select("d", "r", F.posexplode(F.split("text", "\n")).alias("l", "line"))
+    plain = ~F.col("line").rlike(r"[\x09-\x0D]|\x20\x20|^\x20|\x20$")
+    return each.select(*LINE, F.when(plain, F.col("line")).otherwise(squeezed(F.col("line"))).alias("words")).where("words != ''")
+
 
+def _distinct(lines: DataFrame) -> DataFrame:
+    """(d, r, l, words) of the first of equal lines."""
+    keyed = lines.select(F.struct(*LINE).alias("p"), F.xxhash64(F.lit(1), "words").alias("a"), F.xxhash64(F.lit(2), "words").alias("b"), "words")
+    return keyed.groupBy("a", "b").agg(F.min("p").alias("p"), F.first("words").alias("words")).select("p.*", "words")
 
-def _levels(lines: DataFrame) -> bytes:
-    """One character for each hash class of words: higher for commoner ones."""
+
+def _levels(lines: DataFrame) -> list[int]:
+    """A number from 1 to 126 for each hash class of words: twice the bits of its count, and the bit below the highest."""
     found = lines.select(F.explode(F.split("words", " ")).alias("w")).groupBy(F.xxhash64("w").bitwiseAND(F.lit(CLASSES - 1)).alias("c")).count()
-    out = bytearray(b"\x01" * CLASSES)
+    out = [1] * CLASSES
     for c, n in found.collect():  # as many rows as there are hash classes
-        out[c] = min(126, 1 + 3 * n.bit_length() + (n >> max(0, n.bit_length() - 3) & 3))
-    return bytes(out)
+        out[c] = min(126, 1 + 2 * n.bit_length() + (n >> max(0, n.bit_length() - 2) & 1))
+    return out
 
 
-def _members(words: Column, levels: bytes) -> Column:
+def _members(words: Column, levels: list[int]) -> Column:
     """The distinct words as ordered numbers, rarest first: 7 bits of level above 56 bits of hash."""
-    table = F.lit(bytearray(levels))
+    table = F.split(F.lit(",".join(map(str, levels))), ",").cast("array<long>")  # folded to a constant by the optimizer
+    low = F.lit((1 << KEY_BITS) - 1)
+
+    def key(h: Column) -> Column:
+        return F.shiftleft(F.get(table, h.bitwiseAND(F.lit(CLASSES - 1)).cast("int")), KEY_BITS).bitwiseOR(h.bitwiseAND(low))
 
-    def key(w: Column) -> Column:
-        h = F.xxhash64(w)
-        level = F.ascii(F.substring(table, h.bitwiseAND(F.lit(CLASSES - 1)).cast("int") + 1, F.lit(1)).cast("string"))
-        return F.shiftleft(level.cast("long"), 56).bitwiseOR(h.bitwiseAND(F.lit((1 << 56) - 1)))
+    return F.sort_array(F.transform(F.array_distinct(F.transform(F.split(words, " "), lambda x: F.xxhash64(x))), key))
 
-    return F.array_sort(F.array_distinct(F.transform(F.split(words, " "), key)))
 
+def _fits() -> Column:
+    """Whether two prefix entries, the earlier with names in e, may belong to similar lines."""
+    least = F.expr(f"({FIFTHS} * (n + en) + {FIFTHS + 4}) div {FIFTHS + 5}")
+    sizes = F.expr(f"5 * least(n, en) >= {FIFTHS} * greatest(n, en)")
+    room = F.least(F.col("n") - F.col("i"), F.col("en") - F.col("ei"))
+    apart = F.bit_count(F.col("s").bitwiseXOR(F.col("es")))
+    return sizes & (room >= least) & (apart <= F.col("n") + F.col("en") - 2 * least)
 
-def _least(n: Column, m: Column) -> Column:
-    """The least overlap of two similar sets of these sizes."""
-    return F.ceil((n + m) * FIFTHS / (FIFTHS + 5)).cast("int")
 
+def _entries(lines: DataFrame, levels: list[int]) -> DataFrame:
+    """(w, d, r, l, n, i, s): each line's entries under its rarest words, or under its set."""
+    sets = lines.select(*LINE, _members(F.col("words"), levels).alias("m")).withColumn("n", F.size("m"))
+    bit = lambda h: F.call_function("shiftleft", F.lit(1).cast("long"), h.bitwiseAND(F.lit(63)).cast("int"))
+    sign = F.aggregate("m", F.lit(0).cast("long"), lambda s, h: s.bitwiseOR(bit(h)))
+    low = F.lit((1 << KEY_BITS) - 1)
+    whole = F.element_at("m", -1).bitwiseAND(F.bitwise_not(low)).bitwiseOR(F.xxhash64("m").bitwiseAND(low))
+    short = F.expr(f"cast(n - ({FIFTHS} * n + 4) div 5 + 1 as int)")
+    under = F.when(F.col("n") <= EQUAL_ONLY, F.array(whole)).otherwise(F.slice("m", 1, short))
+    return sets.select(*LINE, "n", sign.alias("s"), F.posexplode(under).alias("i", "w"))
 
-def _fits(early: str, late: str) -> Column:
-    """Whether two prefix entries may belong to similar lines, ``early`` standing first."""
-    c = lambda side, name: F.col(f"{side}{name}")
-    n, m = c(early, "n"), c(late, "n")
-    need = _least(n, m)
-    room = F.least(n - c(early, "i"), m - c(late, "i"))
-    apart = F.bit_count(c(early, "s").bitwiseXOR(c(late, "s")))
-    return (c(early, "p") < c(late, "p")) & (5 * F.least(n, m) >= FIFTHS * F.greatest(n, m)) & (room >= need) & (apart <= n + m - 2 * need)
 
+def _grouped(entries: DataFrame) -> DataFrame:
+    """Entries in company, with their part's earliest entry (ed, er, el, en, ei, es), their ``turn`` and whether the word is dealt out."""
+    bits = F.greatest(F.shiftright(F.shiftright("w", KEY_BITS) - 1, 1) - GROUP_BITS, F.lit(0))
+    parts = F.call_function("shiftleft", F.lit(1).cast("long"), bits.cast("int"))
+    dealt = entries.withColumns({"part": F.pmod(F.xxhash64(*LINE), parts), "dealt": bits > 0})
+    part = Window.partitionBy("w", "part").orderBy(*LINE)
+    whole = part.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    first = {f"e{x}": F.first(x).over(part) for x in (*LINE, "n", "i", "s")}
+    grouped = dealt.withColumns(first | {"size": F.count(F.lit(1)).over(whole), "turn": F.row_number().over(part)})
+    return grouped.where("size > 1 or dealt").drop("part")
 
-def _prefixes(lines: DataFrame, levels: bytes) -> DataFrame:
-    """(w, i, n, s, a, b, p): each distinct line's entries under its rarest words."""
-    sets = lines.select("p", "a", "b", _members(F.col("words"), levels).alias("m")).withColumn("n", F.size("m"))
-    sign = F.aggregate("m", F.lit(0).cast("long"), lambda s, k: s.bitwiseOR(_bit(k)))
-    short = F.col("n") - F.ceil(F.col("n") * FIFTHS / 5).cast("int") + 1
-    entries = sets.select("p", "a", "b", "n", sign.alias("s"), F.posexplode(F.slice("m", 1, short)).alias("i", "w"))
-    return entries.groupBy("w", "a", "b").agg(F.min("p").alias("p"), F.first("n").alias("n"), F.first("s").alias("s"), F.first("i").alias("i"))
 
+def _first_pairs(shared: DataFrame) -> DataFrame:
+    """(ed, er, el, d, r, l): lines and the earliest of their groups, where they may be similar."""
+    tops = shared.where("dealt and turn = 1")
+    among = Window.partitionBy("w").orderBy(*LINE)
+    tops = tops.withColumns({f"e{x}": F.first(x).over(among) for x in (*LINE, "n", "i", "s")})
+    later = F.struct(*EARLY) < F.struct(*LINE)
+    return shared.unionByName(tops).where(later & _fits()).select(*EARLY, *LINE).distinct()
 
-def _bit(k: Column) -> Column:
-    return F.call_function("shiftleft", F.lit(1).cast("long"), k.bitwiseAND(F.lit(63)).cast("int"))
 
+def _rest_pairs(shared: DataFrame, gone: DataFrame) -> DataFrame:
+    """The pairs of open lines and any earlier line of a group."""
+    late = shared.where("turn > 2 or dealt").select("w", *LINE, "n", "i", "s").join(gone, LINE, "left_anti")
+    early = shared.where("(turn > 1 and size > 2) or dealt").select("w", *[F.col(x).alias(f"e{x}") for x in (*LINE, "n", "i", "s")])
+    return late.join(early, "w").where((F.struct(*EARLY) < F.struct(*LINE)) & _fits()).select(*EARLY, *LINE).distinct()
 
-def _verify(pairs: DataFrame, lines: DataFrame, levels: bytes) -> DataFrame:
-    """(a, b): the later lines of pairs (ea, eb, a, b) that are similar indeed."""
-    ids = pairs.select("a", "b").union(pairs.select(F.col("ea").alias("a"), F.col("eb").alias("b"))).distinct()
-    texts = lines.join(ids, ["a", "b"]).groupBy("a", "b").agg(F.first("words").alias("words"))
-    sets = texts.select("a", "b", _members(F.col("words"), levels).alias("m"))
-    both = pairs.join(sets, ["a", "b"]).join(sets.select(F.col("a").alias("ea"), F.col("b").alias("eb"), F.col("m").alias("em")), ["ea", "eb"])
-    same = F.size(F.array_intersect("m", "em"))
-    return both.where(5 * same >= FIFTHS * (F.size("m") + F.size("em") - same)).select("a", "b").distinct()
+
+def _verify(pairs: DataFrame, lines: DataFrame) -> DataFrame:
+    """(d, r, l): the later lines of pairs that are similar indeed, word by word."""
+    sets = lines.select(*LINE, F.split("words", " ").alias("m"))
+    early = sets.select(*[F.col(x).alias(f"e{x}") for x in (*LINE, "m")])
+    both = pairs.join(sets, LINE).join(early, EARLY).select(*LINE, F.array_distinct("m").alias("m"), F.array_distinct("em").alias("em"))
+    both = both.withColumn("same", F.size(F.array_intersect("m", "em")))
+    return both.where(5 * F.col("same") >= FIFTHS * (F.size("m") + F.size("em") - F.col("same"))).select(*LINE).distinct()
 
 
 def _decide(rows: DataFrame, staging: Staging) -> DataFrame:
-    """(row_id, line_no, exact, similar) of every line that goes."""
-    lines = _lines(rows)
-    levels = _levels(lines)
-    group = Window.partitionBy("w")
-    entry = F.struct("p", "a", "b", "n", "s", "i")
-    grouped = _prefixes(lines, levels).withColumns({"size": F.count(F.lit(1)).over(group), "e": F.min(entry).over(group)})
-    shared = staging.table(grouped.where("size > 1").drop("size"), "shared")
-    flat = shared.select("*", *[F.col("e")[x].alias(f"e{x}") for x in ("p", "a", "b", "n", "s", "i")])
-    first = staging.table(flat.where(_fits("e", "")).select("ea", "eb", "a", "b").distinct(), "first")
-    gone = staging.table(_verify(first, lines, levels), "gone")
-    own = shared.drop("e")
-    still = own.join(gone, ["a", "b"], "left_anti")
-    early = own.select("w", *[F.col(x).alias(f"e{x}") for x in ("p", "a", "b", "n", "s", "i")])
-    rest = still.join(early, "w").where(_fits("e", "")).select("ea", "eb", "a", "b").distinct()
-    rest = staging.table(rest.join(first, ["ea", "eb", "a", "b"], "left_anti"), "rest")
-    similar = gone.union(_verify(rest, lines, levels)).withColumn("similar", F.lit(True))
-    narrow = lines.select("p", "a", "b", "row_id", "line_no")
-    firsts = narrow.groupBy("a", "b").agg(F.min("p").alias("fp")).join(similar, ["a", "b"], "left")
-    judged = narrow.join(firsts, ["a", "b"])
-    exact, alike = F.col("p") != F.col("fp"), F.coalesce("similar", F.lit(False))
-    return judged.select("row_id", "line_no", exact.alias("exact"), alike.alias("similar"))
+    """(d, r, n_first, n_similar, kept_lines) of every row with a line: firsts of equal lines, similar ones, those that stay."""
+    lines = staging.table(_distinct(_lines(rows)), "distinct")
+    shared = staging.table(_grouped(_entries(lines, _levels(lines))), "shared")
+    gone = staging.table(_verify(_first_pairs(shared), lines), "gone")
+    more = staging.table(_verify(_rest_pairs(shared, gone), lines), "more")
+    staging.drop("shared")
+    similar = gone.union(more).withColumn("similar", F.lit(True))
+    marked = staging.table(lines.select(*LINE).join(similar, LINE, "left"), "marked")
+    for name in ("distinct", "gone", "more"):
+        staging.drop(name)
+    return marked.groupBy("d", "r").agg(
+        F.count(F.lit(1)).alias("n_first"), F.count("similar").alias("n_similar"),
+        F.sort_array(F.collect_list(F.when(F.col("similar").isNull(), F.col("l")))).alias("kept_lines"),
+    )
+
+
+def _placed(docs: DataFrame, staging: Staging) -> DataFrame:
+    """``docs`` with a place (d, r) of its own for each row."""
+    place = F.coalesce("doc_id", F.lit((1 << 63) - 1))
+    repeated = docs.groupBy(place.alias("d")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1).count()
+    if repeated:
+        return staging.table(docs, "rows", row_id="r").withColumn("d", place)
+    return docs.withColumns({"d": place, "r": F.lit(0).cast("long")})
+
+
+def _report(rows: DataFrame, staging: Staging) -> DataFrame:
+    """``rows`` with n_lines, n_exact, n_similar, n_kept and kept_lines."""
+    decided = _decide(rows.select("d", "r", "text"), staging)
+    with_word = F.filter(F.split("text", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+    joined = rows.withColumn("n_lines", F.coalesce(F.size(with_word), F.lit(0)).cast("long")).join(decided, ["d", "r"], "left")
+    zero = F.lit(0).cast("long")
+    firsts, similar = F.coalesce("n_first", zero), F.coalesce("n_similar", zero)
+    return joined.withColumns(
+        {
+            "n_lines": F.greatest("n_lines", zero),
+            "n_exact": F.greatest("n_lines", zero) - firsts,
+            "n_similar": similar,
+            "n_kept": firsts - similar,
+            "kept_lines": F.coalesce("kept_lines", F.array().cast("array<int>")),
+        }
+    )
 
 
 def line_report(docs: DataFrame) -> DataFrame:
@@ -131,28 +184,15 @@ def line_report(docs: DataFrame) -> DataFrame:
     one; ``kept_lines`` lists the numbers (from 0) of the lines with words that stay.
     """
     staging = Staging(docs.sparkSession, "lines")
-    rows = staging.table(docs.select("doc_id", "text"), "rows", row_id="row_id")
-    return _report(rows, _decide(rows, staging)).select("doc_id", "n_lines", "n_exact", "n_similar", "n_kept", "kept_lines")
-
-
-def _report(rows: DataFrame, judged: DataFrame) -> DataFrame:
-    stays = ~(F.col("exact") | F.col("similar"))
-    per = judged.groupBy("row_id").agg(
-        F.count(F.lit(1)).alias("n_lines"), F.count_if("exact").alias("n_exact"), F.count_if(F.col("similar") & ~F.col("exact")).alias("n_similar"),
-        F.count_if(stays).alias("n_kept"), F.array_sort(F.collect_list(F.when(stays, F.col("line_no")))).alias("kept_lines"),
-    )
-    joined = rows.join(per, "row_id", "left")
-    zero = F.lit(0).cast("long")
-    counts = {c: F.coalesce(c, zero) for c in ("n_lines", "n_exact", "n_similar", "n_kept")}
-    return joined.withColumns(counts | {"kept_lines": F.coalesce("kept_lines", F.array().cast("array<int>"))})
+    rows = _placed(docs.select("doc_id", "text"), staging)
+    return _report(rows, staging).select("doc_id", "n_lines", "n_exact", "n_similar", "n_kept", "kept_lines")
 
 
 def drop_similar_lines(docs: DataFrame) -> DataFrame:
     """``docs`` with the later of equal and similar lines taken out of the text."""
     staging = Staging(docs.sparkSession, "lines")
     own, names = numbered(docs, "doc_id", "text")
-    rows = staging.table(own, "rows", row_id="row_id")
-    reported = _report(rows, _decide(rows.select("row_id", "doc_id", "text"), staging))
+    reported = _report(_placed(own, staging), staging)
     lines = F.split("text", "\n")
     blank = lambda x: squeezed(x) == ""
     kept = F.array_join(F.filter(lines, lambda x, i: blank(x) | F.array_contains("kept_lines", i)), "\n")
