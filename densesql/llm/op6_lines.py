@@ -1,10 +1,11 @@
 """Line dedup by an exact set-similarity join.
 
 A line is the set of its words.  Words are ordered by rarity, the commonest last; two
-sets with Jaccard similarity of at least 0.8 share a word among the first few of each
-(the prefix), so prefixes are joined by word.  Length, position and a 64-bit signature
-of the set bound the overlap inside the join; what is left is verified on the words.
-Rarity comes from counts of all words in 65,536 hash classes, a table of fixed size:
+sets with Jaccard similarity of at least 0.8 share two words among the first few of each
+(a prefix that is one word longer than one shared word would take), so prefixes are joined
+by word.  Lengths and positions bound the overlap inside the join, pairs that met in one
+word only go, and what is left is verified on the words.
+Rarity comes from counts of all words in hash classes, a table of fixed size:
 any one order of words keeps the join exact, and a rarer word still comes earlier.
 Sets of up to three words are similar to equal sets only and have one entry, the set.
 
@@ -30,14 +31,13 @@ from densesql.llm.common import documents, numbered, squeezed
 from densesql.plans.staging import Staging
 
 #: Hash classes of words whose counts give rarity.
-CLASSES = 1 << 16
+CLASSES = 1 << 18
 #: Similarity of at least this many fifths; sets of up to so many words match equal sets only.
 FIFTHS, EQUAL_ONLY = 4, 3
 #: A prefix word's group is dealt to tasks of about two to this power lines.
 GROUP_BITS = 17
 
-LINE = ["d", "r", "l"]
-EARLY = ["ed", "er", "el"]
+LINE, EARLY, ENTRY = ["d", "r", "l"], ["ed", "er", "el"], ["d", "r", "l", "n", "i"]
 #: Bits of a word's key below its level.
 KEY_BITS = 56
 
@@ -75,74 +75,85 @@ def _members(words: Column, levels: list[int]) -> Column:
     return F.sort_array(F.transform(F.array_distinct(F.transform(F.split(words, " "), lambda x: F.xxhash64(x))), key))
 
 
-def _fits() -> Column:
-    """Whether two prefix entries, the earlier with names in e, may belong to similar lines."""
-    least = F.expr(f"({FIFTHS} * (n + en) + {FIFTHS + 4}) div {FIFTHS + 5}")
-    sizes = F.expr(f"5 * least(n, en) >= {FIFTHS} * greatest(n, en)")
+def _meets() -> Column:
+    """Whether a shared prefix word of two entries, the earlier with names in e, may be the first or second word of similar lines."""
+    earlier = (F.col("ed") < F.col("d")) | ((F.col("ed") == F.col("d")) & ((F.col("er") < F.col("r")) | ((F.col("er") == F.col("r")) & (F.col("el") < F.col("l")))))
+    sizes = (5 * F.col("n") >= FIFTHS * F.col("en")) & (5 * F.col("en") >= FIFTHS * F.col("n"))
+    return sizes & (_slack() >= -(FIFTHS + 5)) & earlier
+
+
+def _slack() -> Column:
+    """What is left of the overlap that similarity needs, in (FIFTHS + 5)ths, were this word the first in common."""
     room = F.least(F.col("n") - F.col("i"), F.col("en") - F.col("ei"))
-    apart = F.bit_count(F.col("s").bitwiseXOR(F.col("es")))
-    return sizes & (room >= least) & (apart <= F.col("n") + F.col("en") - 2 * least)
+    return (FIFTHS + 5) * room - FIFTHS * (F.col("n") + F.col("en"))
+
+
+def _counted(met: DataFrame) -> DataFrame:
+    """(ed, er, el, d, r, l): the pairs that meet in two words, the first of them with room for the rest."""
+    weight = F.when(F.col("n") <= EQUAL_ONLY, F.lit(2)).otherwise(F.lit(1))
+    each = met.select(*EARLY, *LINE, weight.alias("weight"), _slack().alias("slack"))
+    return each.groupBy(*EARLY, *LINE).agg(F.sum("weight").alias("met"), F.max("slack").alias("slack")).where("met > 1 and slack >= 0").select(*EARLY, *LINE)
 
 
 def _entries(lines: DataFrame, levels: list[int]) -> DataFrame:
-    """(w, d, r, l, n, i, s): each line's entries under its rarest words, or under its set."""
+    """(w, d, r, l, n, i): each line's entries under its rarest words, or under its set."""
     sets = lines.select(*LINE, _members(F.col("words"), levels).alias("m")).withColumn("n", F.size("m"))
-    bit = lambda h: F.call_function("shiftleft", F.lit(1).cast("long"), h.bitwiseAND(F.lit(63)).cast("int"))
-    sign = F.aggregate("m", F.lit(0).cast("long"), lambda s, h: s.bitwiseOR(bit(h)))
     low = F.lit((1 << KEY_BITS) - 1)
     whole = F.element_at("m", -1).bitwiseAND(F.bitwise_not(low)).bitwiseOR(F.xxhash64("m").bitwiseAND(low))
-    short = F.expr(f"cast(n - ({FIFTHS} * n + 4) div 5 + 1 as int)")
+    short = F.expr(f"cast(n - ({FIFTHS} * n + 4) div 5 + 2 as int)")
     under = F.when(F.col("n") <= EQUAL_ONLY, F.array(whole)).otherwise(F.slice("m", 1, short))
-    return sets.select(*LINE, "n", sign.alias("s"), F.posexplode(under).alias("i", "w"))
+    return sets.select(*LINE, "n", F.posexplode(under).alias("i", "w"))
 
 
 def _grouped(entries: DataFrame) -> DataFrame:
-    """Entries in company, with their part's earliest entry (ed, er, el, en, ei, es), their ``turn`` and whether the word is dealt out."""
+    """Entries in company, with their part's earliest entry (ed, er, el, en, ei) and whether the word is dealt out."""
     bits = F.greatest(F.shiftright(F.shiftright("w", KEY_BITS) - 1, 1) - GROUP_BITS, F.lit(0))
     parts = F.call_function("shiftleft", F.lit(1).cast("long"), bits.cast("int"))
     dealt = entries.withColumns({"part": F.pmod(F.xxhash64(*LINE), parts), "dealt": bits > 0})
     part = Window.partitionBy("w", "part").orderBy(*LINE)
-    whole = part.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    first = {f"e{x}": F.first(x).over(part) for x in (*LINE, "n", "i", "s")}
-    grouped = dealt.withColumns(first | {"size": F.count(F.lit(1)).over(whole), "turn": F.row_number().over(part)})
-    return grouped.where("size > 1 or dealt").drop("part")
+    size = F.count(F.lit(1)).over(part.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    grouped = dealt.withColumns({f"e{x}": F.first(x).over(part) for x in ENTRY} | {"size": size})
+    return grouped.where("size > 1 or dealt").drop("part", "size")
 
 
 def _first_pairs(shared: DataFrame) -> DataFrame:
     """(ed, er, el, d, r, l): lines and the earliest of their groups, where they may be similar."""
-    tops = shared.where("dealt and turn = 1")
+    tops = shared.where("dealt and ed = d and er = r and el = l")
     among = Window.partitionBy("w").orderBy(*LINE)
-    tops = tops.withColumns({f"e{x}": F.first(x).over(among) for x in (*LINE, "n", "i", "s")})
-    later = F.struct(*EARLY) < F.struct(*LINE)
-    return shared.unionByName(tops).where(later & _fits()).select(*EARLY, *LINE).distinct()
+    tops = tops.withColumns({f"e{x}": F.first(x).over(among) for x in ENTRY})
+    return _counted(shared.unionByName(tops).where(_meets()))
 
 
 def _rest_pairs(shared: DataFrame, gone: DataFrame) -> DataFrame:
-    """The pairs of open lines and any earlier line of a group."""
-    late = shared.where("turn > 2 or dealt").select("w", *LINE, "n", "i", "s").join(gone, LINE, "left_anti")
-    early = shared.where("(turn > 1 and size > 2) or dealt").select("w", *[F.col(x).alias(f"e{x}") for x in (*LINE, "n", "i", "s")])
-    return late.join(early, "w").where((F.struct(*EARLY) < F.struct(*LINE)) & _fits()).select(*EARLY, *LINE).distinct()
+    """The pairs of open lines and any earlier line of their groups."""
+    late = shared.where("ed != d or er != r or el != l or dealt").select("w", *ENTRY).join(gone, LINE, "left_anti")
+    early = shared.select("w", *[F.col(x).alias(f"e{x}") for x in ENTRY])
+    return _counted(late.join(early, "w").where(_meets()))
 
 
-def _verify(pairs: DataFrame, lines: DataFrame) -> DataFrame:
-    """(d, r, l): the later lines of pairs that are similar indeed, word by word."""
-    sets = lines.select(*LINE, F.split("words", " ").alias("m"))
-    early = sets.select(*[F.col(x).alias(f"e{x}") for x in (*LINE, "m")])
-    both = pairs.join(sets, LINE).join(early, EARLY).select(*LINE, F.array_distinct("m").alias("m"), F.array_distinct("em").alias("em"))
-    both = both.withColumn("same", F.size(F.array_intersect("m", "em")))
-    return both.where(5 * F.col("same") >= FIFTHS * (F.size("m") + F.size("em") - F.col("same"))).select(*LINE).distinct()
+def _verify(pairs: DataFrame, lines: DataFrame, staging: Staging, name: str) -> DataFrame:
+    """(d, r, l): the later lines of staged pairs that are similar indeed, word by word."""
+    ends = pairs.select(F.explode(F.array(F.struct(*LINE), F.struct(*[F.col(f"e{x}").alias(x) for x in LINE]))).alias("p")).select("p.*").distinct()
+    texts = staging.table(lines.join(ends, LINE, "left_semi"), f"{name}-texts")
+    early = texts.select(*[F.col(x).alias(f"e{x}") for x in (*LINE, "words")])
+    sets = F.array(F.struct(F.array_distinct(F.split("words", " ")).alias("m"), F.array_distinct(F.split("ewords", " ")).alias("em")))
+    both = pairs.join(texts, LINE).join(early, EARLY).select(*LINE, F.inline(sets))
+    same = both.select(*LINE, (F.size("m") + F.size("em")).alias("sizes"), F.explode(F.array(F.size(F.array_intersect("m", "em")))).alias("same"))
+    return same.where(5 * F.col("same") >= FIFTHS * (F.col("sizes") - F.col("same"))).select(*LINE).distinct()
 
 
 def _decide(rows: DataFrame, staging: Staging) -> DataFrame:
     """(d, r, n_first, n_similar, kept_lines) of every row with a line: firsts of equal lines, similar ones, those that stay."""
     lines = staging.table(_distinct(_lines(rows)), "distinct")
     shared = staging.table(_grouped(_entries(lines, _levels(lines))), "shared")
-    gone = staging.table(_verify(_first_pairs(shared), lines), "gone")
-    more = staging.table(_verify(_rest_pairs(shared, gone), lines), "more")
+    near = staging.table(_first_pairs(shared), "near")
+    gone = staging.table(_verify(near, lines, staging, "near"), "gone")
+    rest = staging.table(_rest_pairs(shared, gone), "rest")
     staging.drop("shared")
+    more = staging.table(_verify(rest, lines, staging, "rest"), "more")
     similar = gone.union(more).withColumn("similar", F.lit(True))
     marked = staging.table(lines.select(*LINE).join(similar, LINE, "left"), "marked")
-    for name in ("distinct", "gone", "more"):
+    for name in ("distinct", "near", "near-texts", "gone", "rest", "rest-texts", "more"):
         staging.drop(name)
     return marked.groupBy("d", "r").agg(
         F.count(F.lit(1)).alias("n_first"), F.count("similar").alias("n_similar"),
