@@ -11,19 +11,25 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from densesql.plans.staging import Staging
+
 #: The range of the uniform integer that cuts a group.
 UNIFORM_BITS = 31
 
 
-def prefix_within_groups(df: DataFrame, group: str, uniform: str, order: list[str], amount: str, before: str, rank: str) -> DataFrame:
+def prefix_within_groups(df: DataFrame, staging: Staging, group: str, uniform: str, order: list[str], amount: str, before: str, rank: str) -> DataFrame:
     """Add ``before`` (sum of ``amount`` over the earlier rows of the group) and ``rank`` (from 0).
 
     ``uniform`` is an integer in [0, 2**31) that leads the order within a group; ``order``
     breaks its ties.  The group column must not be null.  ``df`` is read three times, so it
     should be a staged table.
+
+    Group sizes are staged, so that their measured size decides how they are joined.  Rows
+    are dealt by group and range whatever that join left behind: the window would accept
+    rows dealt by group alone, which puts a hot group into one task.
     """
     sizes = df.groupBy(group).agg(F.count(F.lit(1)).alias("_rows"))
-    sizes = sizes.select(F.col(group).alias("_g"), F.ceil(F.sqrt("_rows")).cast("long").alias("_cuts"))
+    sizes = staging.table(sizes.select(F.col(group).alias("_g"), F.ceil(F.sqrt("_rows")).cast("long").alias("_cuts")), f"sizes-by-{group}")
     cut = df.join(sizes, F.col(group) == F.col("_g")).drop("_g")
     cut = cut.withColumn("_cut", F.shiftright(F.col(uniform).cast("long") * F.col("_cuts"), UNIFORM_BITS)).drop("_cuts")
     totals = cut.groupBy(group, "_cut").agg(F.sum(amount).alias("_sum"), F.count(F.lit(1)).alias("_n"))
@@ -36,7 +42,7 @@ def prefix_within_groups(df: DataFrame, group: str, uniform: str, order: list[st
     )
     within = Window.partitionBy(group, "_cut").orderBy(uniform, *order)
     local_before = F.coalesce(F.sum(amount).over(within.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    ranked = cut.withColumns({before: local_before, rank: F.row_number().over(within) - 1})
+    ranked = cut.repartition(group, "_cut").withColumns({before: local_before, rank: F.row_number().over(within) - 1})
     both = ranked.join(totals, (F.col(group) == F.col("_g")) & (F.col("_cut") == F.col("_c")))
     return both.withColumns(
         {before: (F.col(before) + F.col("_sum_before")).cast("long"), rank: (F.col(rank) + F.col("_n_before")).cast("long")}

@@ -14,6 +14,7 @@ import uuid
 from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 from functools import wraps
+from threading import get_ident, local
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,8 +22,13 @@ from pyspark.sql import functions as F
 #: The runtime setting by which an execution's shuffle files end with it.
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
+#: How staged tables are written: a writer holds a row group in memory until it is full.
+FORMAT = {"compression": "zstd", "parquet.block.size": str(32 << 20)}
+
 _LOCAL_ROOT: list[str] = []
 _LIVE: set[Staging] = set()
+#: The running steps' lists of what they have staged, by thread.
+_OPENED = local()
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -70,6 +76,8 @@ class Staging:
         self.spark = spark
         self.root = f"{shared_root(spark)}/{purpose}-{uuid.uuid4().hex}"
         _LIVE.add(self)
+        for opened in getattr(_OPENED, "lists", []):
+            opened.append(self)
 
     def path(self, name: str) -> str:
         return f"{self.root}/{name}"
@@ -79,7 +87,7 @@ class Staging:
         if row_id:
             df = df.withColumn(row_id, F.monotonically_increasing_id())
         with shuffles_released(self.spark):
-            df.write.mode("overwrite").option("compression", "zstd").parquet(self.path(name))
+            df.write.mode("overwrite").options(**FORMAT).parquet(self.path(name))
         return self.spark.read.schema(df.schema).parquet(self.path(name))
 
     def drop(self, name: str) -> None:
@@ -90,25 +98,31 @@ class Staging:
         _LIVE.discard(self)
 
 
-_EARLIER: list[Staging] = []
-
+class StepChain:
+    """Steps whose results are each written before the next step begins.
 
-def released_before(step: Callable) -> Callable:
-    """A step of a chain whose results are each written before the next step begins.
-
-    What the step before staged has been read by then, and is deleted.
+    What a step staged has been read once the next one begins, and is deleted then.  Only
+    tables of the same chain in the same thread are touched.
     """
 
-    @wraps(step)
-    def run(*args):
-        while _EARLIER:
-            _EARLIER.pop().release()
-        known = set(_LIVE)
-        out = step(*args)
-        _EARLIER.extend(_LIVE - known)
-        return out
-
-    return run
+    def __init__(self):
+        self.earlier: dict[int, list[Staging]] = {}
+
+    def step(self, function: Callable) -> Callable:
+        @wraps(function)
+        def run(*args):
+            me = get_ident()
+            for staging in self.earlier.pop(me, []):
+                staging.release()
+            opened: list[Staging] = []
+            _OPENED.lists = [*getattr(_OPENED, "lists", []), opened]
+            try:
+                return function(*args)
+            finally:
+                _OPENED.lists = _OPENED.lists[:-1]
+                self.earlier[me] = opened
+
+        return run
 
 
 @atexit.register
