@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from densesql.llm import near_copies, op3_tokens, op4_mix, op9_quality, op10_benchmark
 from densesql.llm.common import documents
-from densesql.plans.staging import Staging, released_before
+from densesql.plans.staging import Staging, StepChain
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,13 +41,15 @@ def token_files(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return op3_tokens.token_files(docs)
 
 
+_CHAIN = StepChain()
+
 #: A stage's result is written before the next one begins, which then drops what the earlier one had staged.
 STAGES = [
-    ("quality_rules", released_before(quality_rules)),
-    ("simhash_near_dedup", released_before(near_duplicates)),
-    ("benchmark_decontamination", released_before(decontaminate)),
-    ("mix_to_targets", released_before(mix_sources)),
-    ("token_files", released_before(token_files)),
+    ("quality_rules", _CHAIN.step(quality_rules)),
+    ("simhash_near_dedup", _CHAIN.step(near_duplicates)),
+    ("benchmark_decontamination", _CHAIN.step(decontaminate)),
+    ("mix_to_targets", _CHAIN.step(mix_sources)),
+    ("token_files", _CHAIN.step(token_files)),
 ]
 
 #: The stages use xxHash shingles and a tokenizer, which SQL cannot express; tests hold them against brute force.
