@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterable, Iterator
+from functools import wraps
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -30,6 +32,25 @@ def word_count(text: Column, breaks: str = r"[\x20\x09-\x0D]+") -> Column:
     return F.when(words == "", F.lit(0)).otherwise(F.length(words) - F.length(F.translate(words, " ", "")) + 1).cast("long")
 
 
+def trimmed(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """An Arrow function whose worker gives its free memory back at the end of a task.
+
+    Workers are kept for later stages, where what they hold on to counts against the executor.
+    """
+
+    @wraps(run)
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+            if trim is not None:
+                trim(0)
+
+    return task
+
+
 def map_rows(df: DataFrame, columns: list[str], schema: str, make: Callable[[], Callable[..., Iterable[tuple]]], carry: tuple[str, ...] = ()) -> DataFrame:
     """One output row per input row, from a plain function over Arrow batches.
 
@@ -53,7 +74,7 @@ def map_rows(df: DataFrame, columns: list[str], schema: str, make: Callable[[],
 
     small_batches(df.sparkSession)
     inputs = [*[F.col(f"`{c}`").alias(f"i{n}") for n, c in enumerate(columns)], *[F.col(f"`{c}`").alias(f"k{n}") for n, c in enumerate(carry)]]
-    return df.select(*inputs).mapInArrow(run, full)
+    return df.select(*inputs).mapInArrow(trimmed(run), full)
 
 
 def small_batches(spark: SparkSession) -> None:

@@ -1,24 +1,27 @@
-"""Near-duplicates by an exact set-similarity join of word shingles.
+"""Near-duplicates of 5-word shingles: SimHash with covering tables, then an exact set-similarity join.
 
 A text is the set of its 5-word shingles, as 64-bit hashes; two texts are near copies
 where the Jaccard similarity of their sets is at least 0.8, and groups are the connected
-components of that relation.  Shingles have one order, rarer hash classes first; similar
+components of that relation.  The covering tables of the SimHash operator first link the
+closest copies, each link verified on whole sets.  Fingerprints of near copies of 0.8 may
+differ in some ten of 64 bits, beyond any radius that covering tables can afford, so an
+exact join finds the rest.  Shingles have one order, rarer hash classes first; similar
 sets share one among the first fifth of each (the prefix), so prefixes are joined by
 shingle under length and position filters and what is left is verified on whole sets.
 
 Equal sets count once from the start.  Groups under a shingle are not expanded at first:
-in some rounds each set meets only the next one of its group in a shuffled order, which
+in a round each set meets only the next one of its group in a shuffled order, which
 joins most of a large group of near copies.  At the end every pair that shares a prefix
 shingle and is still in different components is compared, so none is missed.
 
 Defined results: a text of fewer words than a shingle is one shingle, a null or blank one
-has the empty set, and both are near copies of equal sets only; null doc_ids come last.
+has the empty set, and both are near copies of equal sets only; null doc_ids come last;
+repeated rows are equal sets; an empty table gives no rows; other columns go along.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +29,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from densesql.llm.common import bounded, map_rows, numbered, small_batches
+from densesql.llm.common import bounded, map_rows, numbered, small_batches, trimmed
+from densesql.llm.op2_simhash import links, majority, shingle_hashes, signed
 from densesql.plans.components import connected_components
 from densesql.plans.staging import Staging
 
@@ -35,17 +39,13 @@ SEED, SHINGLE = 42, 5
 FIFTHS = 4
 #: Hash classes of shingles whose counts give rarity.
 CLASSES = 1 << 16
-#: Rounds in which a set meets one other per shingle.
-ROUNDS = 2
+#: Rounds in which a set meets one other per shingle, after the round of fingerprints.
+ROUNDS = 1
 
 
 def shingles(text: str | None, size: int = SHINGLE) -> np.ndarray:
     """The distinct shingles of a text as ordered unsigned hashes."""
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    if not words:
-        return np.empty(0, dtype=np.uint64)
-    runs = map(b" ".join, zip(*(words[k:] for k in range(size)), strict=False)) if len(words) >= size else [b" ".join(words)]
-    return np.unique(np.fromiter(map(xxh64_intdigest, runs, repeat(SEED)), dtype=np.uint64))
+    return np.unique(shingle_hashes(text, size).astype(np.uint64))
 
 
 def _levels(docs: DataFrame, size: int) -> bytes:
@@ -61,7 +61,7 @@ def _levels(docs: DataFrame, size: int) -> bytes:
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(seen[at])], names=["c", "n"])
 
     small_batches(docs.sparkSession)
-    counts = docs.select("text").mapInArrow(run, "c long, n long").groupBy("c").agg(F.sum("n").alias("n"))
+    counts = docs.select("text").mapInArrow(trimmed(run), "c long, n long").groupBy("c").agg(F.sum("n").alias("n"))
     out = bytearray(b"\x01" * CLASSES)
     for c, n in counts.collect():  # as many rows as there are hash classes
         out[c] = min(255, 1 + 4 * n.bit_length() + (n >> max(0, n.bit_length() - 3) & 3))
@@ -93,23 +93,35 @@ def _verify(pairs: DataFrame, texts: DataFrame, size: int) -> DataFrame:
     return both.where(5 * F.col("same") >= FIFTHS * (F.size("mu") + F.size("mv") - F.col("same"))).select("u", "v")
 
 
+def _close_pairs(distinct: DataFrame, staging: Staging) -> DataFrame:
+    """(u, v): sets of equal fingerprints, and one set each of fingerprints that the covering tables link."""
+    by_fp = staging.table(distinct.groupBy("fp").agg(F.min("sid").alias("low")), "prints")
+    equal = distinct.join(by_fp, "fp").where("sid != low").select("sid", "low")
+    ends = [by_fp.select(F.col("fp").alias(x), F.col("low").alias(f"{x}_low")) for x in "uv"]
+    linked = links(by_fp, "fp").join(ends[0], "u").join(ends[1], "v").select(F.col("u_low").alias("sid"), F.col("v_low").alias("low"))
+    both = equal.union(linked)
+    return both.select(F.least("sid", "low").alias("u"), F.greatest("sid", "low").alias("v")).distinct()
+
+
 def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int = ROUNDS) -> tuple[DataFrame, DataFrame]:
     """(sid, first) of every distinct set, and (node, root) of those with a near copy.
 
-    ``printed`` has (row_id, doc_id, text, sid, n, prefix).
+    ``printed`` has (row_id, doc_id, text, sid, fp, n, prefix).
     """
     first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_id")).alias("first")
-    distinct = staging.table(printed.groupBy("sid").agg(first, F.first("n").alias("n"), F.first("prefix").alias("prefix")), "distinct")
+    whole = [F.first(c).alias(c) for c in ("fp", "n", "prefix")]  # equal sets may differ in repeats, so in fp: any one will do
+    distinct = staging.table(printed.groupBy("sid").agg(first, *whole), "distinct")
     entries = distinct.select("sid", "n", F.posexplode("prefix").alias("i", "w"))
     company = entries.withColumn("size", F.count(F.lit(1)).over(Window.partitionBy("w"))).where("size > 1").drop("size")
     shared = staging.table(company, "shared")
-    ids = distinct.join(shared.select("sid").distinct(), "sid", "left_semi").select("sid", "first.row_id")
+    close = staging.table(_close_pairs(distinct.where("n > 0"), staging), "close")
+    needed = shared.select("sid").union(close.select(F.explode(F.array("u", "v")))).distinct()
+    ids = distinct.join(needed, "sid", "left_semi").select("sid", "first.row_id")
     texts = staging.table(printed.select("row_id", "text").join(ids, "row_id").select("sid", "text"), "texts")
-    found, roots = None, None
+    found = staging.table(_verify(close, texts, size), "similar")
+    roots = connected_components(found, Staging(printed.sparkSession, "copies"))
     for k in range(rounds + 1):
-        rooted = shared.withColumn("root", F.col("sid"))
-        if roots is not None:
-            rooted = shared.join(roots, shared["sid"] == roots["node"], "left").select("sid", "n", "i", "w", F.coalesce("root", "sid").alias("root"))
+        rooted = shared.join(roots, shared["sid"] == roots["node"], "left").select("sid", "n", "i", "w", F.coalesce("root", "sid").alias("root"))
         if k < rounds:
             order = Window.partitionBy("w").orderBy(F.xxhash64(F.lit(k), "w", "sid"))
             flat = rooted.withColumn("e", F.lead(F.struct("sid", "n", "i", "root")).over(order)).where("e is not null")
@@ -120,7 +132,7 @@ def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int =
             met = left.join(left.select("w", *[F.col(x).alias(f"e{x}") for x in ("sid", "n", "i", "root")]), "w").where("root < eroot")
         pairs = met.where(_fits("e") & (F.col("root") != F.col("eroot"))).select(F.least("sid", "esid").alias("u"), F.greatest("sid", "esid").alias("v"))
         new = staging.table(_verify(staging.table(pairs.distinct(), f"pairs-{k}"), texts, size), f"similar-{k}")
-        found = new if found is None else found.union(new)
+        found = found.union(new)
         roots = connected_components(found, Staging(printed.sparkSession, f"copies-{k}"))
     return distinct.select("sid", "first"), roots
 
@@ -134,16 +146,17 @@ def keep_one(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     def make() -> Callable:
         table = np.frombuffer(levels, dtype=np.uint8)
 
-        def one(text: str | None) -> tuple[int, int, list[int]]:
-            own = shingles(text, size)
+        def one(text: str | None) -> tuple[int, int, int, list[int]]:
+            hashes = shingle_hashes(text, size)
+            own = np.unique(hashes.astype(np.uint64))
             n = len(own)
             order = np.lexsort((own, table[(own % CLASSES).astype(np.int64)]))[: n + FIFTHS * -n // 5 + 1 if n else 0]
             sid = xxh64_intdigest(own.tobytes(), SEED)
-            return sid - (1 << 64) if sid >> 63 else sid, n, own[order].view(np.int64).tolist()
+            return signed(sid), signed(majority(hashes)), n, own[order].view(np.int64).tolist()
 
         return lambda ids, texts: [(i, *one(t)) for i, t in zip(ids, texts, strict=True)]
 
-    printed = staging.table(map_rows(own, ["doc_id", "text"], "doc_id long, sid long, n int, prefix array<long>", make, tuple(names)), "printed", row_id="row_id")
+    printed = staging.table(map_rows(own, ["doc_id", "text"], "doc_id long, sid long, fp long, n int, prefix array<long>", make, tuple(names)), "printed", row_id="row_id")
     text = printed.withColumn("text", F.col(f"k{docs.columns.index('text')}"))
     distinct, roots = similar_sets(text, staging, size)
     rooted = distinct.join(roots, distinct["sid"] == roots["node"], "left").withColumn("group", F.coalesce("root", "sid"))

@@ -1,13 +1,14 @@
 """Benchmark decontamination with one Aho-Corasick automaton.
 
 Benchmark items are normalised to words; every run of ten words (a shorter item: all
-its words) is a window.  All windows, with a blank at either end, form one automaton,
-and each normalised document is scanned by it once.  Matches give word positions;
-where a document has any, positions are mapped to code points of the original text.
+its words) is a window.  All windows form one automaton whose symbols are words, and
+each normalised document is scanned by it once.  Matches give word positions; where a
+document has any, positions are mapped to code points of the original text.
 
-Items are read to the driver only below a stated number of characters; a larger
+A worker builds the automaton from the items, which are read to the driver only below a
+stated number of characters: an automaton takes some 130 bytes a character.  A larger
 benchmark is cut into blocks by a hash of the item, one automaton and one scan each,
-and the matches of the scans are merged by document.
+and the matches of the scans are united by document, so that block size changes nothing.
 
 Defined results: a null text, or one without words, has no hits; an item without words
 has no window; a null item_id counts as the empty id; items with equal id count once;
@@ -18,10 +19,9 @@ from __future__ import annotations
 
 import hashlib
 import re
-from bisect import bisect_left
 from collections.abc import Callable, Iterable
+from itertools import repeat
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -32,14 +32,14 @@ from densesql.plans.staging import Staging
 WINDOW = 10
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
-#: Characters of items that one automaton takes.
-BLOCK_CHARS = 32_000_000
+#: Characters of items that one automaton takes, which makes it about 200 MB in a worker.
+BLOCK_CHARS = 1_500_000
 
 _ORIGINAL_WORD = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 _TABLE = bytes(
     c + 32 if 0x41 <= c <= 0x5A else c if 0x30 <= c <= 0x39 or 0x61 <= c <= 0x7A or c > 0x7F else 0x20 for c in range(256)
 )
-_AUTOMATA: dict[str, object] = {}
+_AUTOMATA: dict[str, "Windows"] = {}
 
 HITS = "doc_id long, n_words long, hits array<struct<first:int,last:int>>, items array<string>, spans array<struct<start:int,end:int>>"
 
@@ -65,52 +65,55 @@ def patterns(items: Iterable[tuple[str, str | None]], window: int = WINDOW) -> d
     return {k: (n, sorted(ids)) for k, (n, ids) in found.items()}
 
 
-def automaton(table: dict[bytes, tuple[int, list[str]]], key: str):
-    """The automaton over the patterns, built once in each Python worker."""
-    if key not in _AUTOMATA:
+class Windows:
+    """The automaton over the items' windows; a word's symbol is its number, 0 for words that no item has."""
+
+    def __init__(self, items: Iterable[tuple[str, str | None]], window: int = WINDOW):
         import ahocorasick
 
-        built = ahocorasick.Automaton()
-        for joined, value in table.items():
-            built.add_word(f" {joined.decode('utf-8', 'surrogatepass')} ", value)
-        if table:
-            built.make_automaton()
+        self.numbers: dict[bytes, int] = {}
+        self.built = ahocorasick.Automaton(ahocorasick.STORE_ANY, ahocorasick.KEY_SEQUENCE)
+        for joined, value in patterns(items, window).items():
+            self.built.add_word(tuple(self.numbers.setdefault(w, len(self.numbers) + 1) for w in joined.split(b" ")), value)
+        if len(self.built):
+            self.built.make_automaton()
+
+    def scan(self, words: list[bytes], text: str | None) -> tuple[list[tuple[int, int]], list[str], list[tuple[int, int]]]:
+        """Matched word ranges (both ends included), item ids, and the ranges' code points in the text."""
+        if not words or not len(self.built):
+            return [], [], []
+        found = list(self.built.iter(tuple(map(self.numbers.get, words, repeat(0)))))
+        if not found:
+            return [], [], []
+        merged: list[tuple[int, int]] = []
+        for first, last in sorted({(at - size + 1, at) for at, (size, _) in found}):
+            if merged and first <= merged[-1][1] + 1:
+                merged[-1] = (merged[-1][0], max(last, merged[-1][1]))
+            else:
+                merged.append((first, last))
+        places = [m.span() for m in _ORIGINAL_WORD.finditer(text or "")]
+        return merged, sorted({i for _, (_, ids) in found for i in ids}), [(places[a][0], places[b][1]) for a, b in merged]
+
+
+def windows(items: list[tuple[str, str | None]], window: int, key: str) -> Windows:
+    """The automaton of a block, built once in each Python worker, which keeps the last one."""
+    if key not in _AUTOMATA:
         _AUTOMATA.clear()
-        _AUTOMATA[key] = built
+        _AUTOMATA[key] = Windows(items, window)
     return _AUTOMATA[key]
 
 
-def scan_text(words: list[bytes], built, text: str | None) -> tuple[list[tuple[int, int]], list[str], list[tuple[int, int]]]:
-    """Matched word ranges (both ends included), item ids, and the ranges' code points in the text."""
-    if not words or not len(built):
-        return [], [], []
-    found = list(built.iter(f" {b' '.join(words).decode('utf-8', 'surrogatepass')} "))
-    if not found:
-        return [], [], []
-    ends = np.cumsum([len(w.decode("utf-8", "surrogatepass")) + 1 for w in words])
-    ranges = sorted({(at - size + 1, at) for at, size in ((bisect_left(ends, end), size) for end, (size, _) in found)})
-    merged: list[tuple[int, int]] = []
-    for first, last in ranges:
-        if merged and first <= merged[-1][1] + 1:
-            merged[-1] = (merged[-1][0], max(last, merged[-1][1]))
-        else:
-            merged.append((first, last))
-    places = [m.span() for m in _ORIGINAL_WORD.finditer(text or "")]
-    return merged, sorted({i for _, (_, ids) in found for i in ids}), [(places[a][0], places[b][1]) for a, b in merged]
-
-
 def _scan(docs: DataFrame, items: list[tuple[str, str | None]], window: int, carry: tuple[str, ...]) -> DataFrame:
-    table = patterns(items, window)
-    key = hashlib.sha256(repr(sorted(table.items())).encode()).hexdigest()
-    shared = docs.sparkSession.sparkContext.broadcast(table)
+    key = hashlib.sha256(repr((window, sorted(items, key=repr))).encode("utf-8", "surrogatepass")).hexdigest()
+    shared = docs.sparkSession.sparkContext.broadcast(items)  # no more than block_chars, or one item
 
     def make() -> Callable:
-        built = automaton(shared.value, key)
+        known = windows(shared.value, window, key)
 
         def step(ids, texts):
             for doc_id, text in zip(ids, texts, strict=True):
                 words = words_of(text)
-                hits, items, spans = scan_text(words, built, text)
+                hits, items, spans = known.scan(words, text)
                 yield (
                     doc_id, len(words), [{"first": a, "last": b} for a, b in hits], items, [{"start": a, "end": b} for a, b in spans]
                 )
@@ -121,22 +124,29 @@ def _scan(docs: DataFrame, items: list[tuple[str, str | None]], window: int, car
 
 
 def _merge(scans: list[DataFrame], staging: Staging, carry: int) -> DataFrame:
-    """One row a document from the scans of several blocks; hits and spans become unions of ranges."""
+    """One row a document from the scans of several blocks; hits and their spans become unions of ranges."""
     first = scans[0]
     rest = scans[0].select("row_id", "hits", "items", "spans")
     for other in scans[1:]:
         rest = rest.union(other.select("row_id", "hits", "items", "spans"))
-    both = rest.where(F.size("hits") > 0).groupBy("row_id").agg(*[F.array_sort(F.flatten(F.collect_list(c))).alias(c) for c in ("hits", "items", "spans")])
-
-    def union(ranges, a: str, b: str, gap: int):
-        empty = F.slice(ranges, 1, 0)
-        step = lambda done, x: F.when(
-            (F.size(done) > 0) & (x[a] <= F.element_at(done, -1)[b] + gap),
-            F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(F.element_at(done, -1)[a].alias(a), F.greatest(x[b], F.element_at(done, -1)[b]).alias(b)))),
-        ).otherwise(F.concat(done, F.array(x)))
-        return F.aggregate(ranges, empty, step)
-
-    both = both.select("row_id", union(F.col("hits"), "first", "last", 1).alias("hits"), F.array_distinct("items").alias("items"), "spans")
+    whole = F.transform(
+        F.arrays_zip(F.col("hits").alias("h"), F.col("spans").alias("s")),
+        lambda x: F.struct(x["h"]["first"].alias("first"), x["h"]["last"].alias("last"), x["s"]["start"].alias("start"), x["s"]["end"].alias("end")),
+    )
+    listed = rest.where(F.size("hits") > 0).select("row_id", whole.alias("ranges"), "items").groupBy("row_id")
+    both = listed.agg(*[F.array_sort(F.flatten(F.collect_list(c))).alias(c) for c in ("ranges", "items")])
+
+    def step(done, x):
+        """Ordered ranges, those that share a word or border on each other as one; code points go with their words."""
+        last = F.element_at(done, -1)
+        wider = F.struct(
+            last["first"].alias("first"), F.greatest(x["last"], last["last"]).alias("last"), last["start"].alias("start"), F.greatest(x["end"], last["end"]).alias("end")
+        )
+        return F.when((F.size(done) > 0) & (x["first"] <= last["last"] + 1), F.concat(F.slice(done, 1, F.size(done) - 1), F.array(wider))).otherwise(F.concat(done, F.array(x)))
+
+    united = staging.table(both.select("row_id", F.aggregate("ranges", F.slice("ranges", 1, 0), step).alias("ranges"), F.array_sort(F.array_distinct("items")).alias("items")), "united")
+    part = lambda a, b: F.transform("ranges", lambda x: F.struct(x[a].alias(a), x[b].alias(b)))
+    both = united.select("row_id", part("first", "last").alias("hits"), "items", part("start", "end").alias("spans"))
     named = first.select("row_id", *[f"k{n}" for n in range(carry)], "doc_id", "n_words")
     joined = named.join(both, "row_id", "left")
     return joined.withColumns({c: F.coalesce(c, F.array().cast(both.schema[c].dataType)) for c in ("hits", "items", "spans")})

@@ -34,33 +34,44 @@ from densesql.plans.staging import Staging
 BITS, SEED, SHINGLE, RADIUS = 64, 42, 3, 2
 
 
-def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
-    """Unsigned 64-bit SimHash of a text's word shingles."""
+def shingle_hashes(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
+    """The hash of every word shingle of a text, repeats included, as big-endian unsigned integers."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return 0
+        return np.empty(0, dtype=">u8")
     runs = map(b" ".join, zip(*(words[k:] for k in range(shingle)), strict=False)) if len(words) >= shingle else [b" ".join(words)]
-    hashes = np.fromiter(map(xxh64_intdigest, runs, repeat(SEED)), dtype=">u8")
+    return np.fromiter(map(xxh64_intdigest, runs, repeat(SEED)), dtype=">u8")
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The unsigned fingerprint of shingle hashes: the bits set in over half of them."""
+    if not len(hashes):
+        return 0
     ones = np.zeros(BITS, dtype=np.int64)
     for k in range(0, len(hashes), 1 << 16):
         ones += np.unpackbits(hashes[k : k + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
     return int(np.packbits(2 * ones > len(hashes)).view(">u8")[0])
 
 
+def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
+    """Unsigned 64-bit SimHash of a text's word shingles."""
+    return majority(shingle_hashes(text, shingle))
+
+
 def masks(radius: int = RADIUS) -> list[int]:
     """The covering masks, one per table, bit 0 lowest."""
     vectors = (1 << (radius + 1)) - 1
     return [sum(1 << i for i in range(BITS) if ((i % vectors + 1) & v).bit_count() % 2) for v in range(1, vectors + 1)]
 
 
-def _signed(x: int) -> int:
+def signed(x: int) -> int:
     return x - (1 << BITS) if x >> (BITS - 1) else x
 
 
 def _flips(free: int, half: int) -> list[int]:
     """Every way to flip up to ``half`` of the free positions, none included."""
     at = [i for i in range(BITS) if free >> i & 1]
-    return [_signed(sum(1 << i for i in chosen)) for n in range(half + 1) for chosen in combinations(at, n)]
+    return [signed(sum(1 << i for i in chosen)) for n in range(half + 1) for chosen in combinations(at, n)]
 
 
 def links(prints: DataFrame, fp: str, radius: int = RADIUS) -> DataFrame:
@@ -68,7 +79,7 @@ def links(prints: DataFrame, fp: str, radius: int = RADIUS) -> DataFrame:
     if radius < 2 or radius % 2:
         raise ValueError("the radius must be even and at least 2")
     full = (1 << BITS) - 1
-    tables = F.array(*[F.struct(F.lit(k).alias("k"), F.lit(_signed(m)).alias("m")) for k, m in enumerate(masks(radius))])
+    tables = F.array(*[F.struct(F.lit(k).alias("k"), F.lit(signed(m)).alias("m")) for k, m in enumerate(masks(radius))])
     keyed = prints.select(F.col(fp).alias("fp"), F.inline(tables)).select("fp", "k", F.col("fp").bitwiseAND(F.col("m")).alias("key"))
     crowded = keyed.groupBy("k", "key").agg(F.min("fp").alias("lo"), F.max("fp").alias("hi")).where("lo != hi").select("k", "key")
     company = keyed.join(crowded, ["k", "key"]).groupBy("fp").agg(F.sort_array(F.collect_set("k")).alias("tables"))
@@ -88,7 +99,7 @@ def _grouped(docs: DataFrame, radius: int, shingle: int, keep: tuple[str, ...] =
     staging = Staging(docs.sparkSession, "simhash")
 
     def make() -> Callable:
-        return lambda ids, texts: [(i, _signed(fingerprint(t, shingle))) for i, t in zip(ids, texts, strict=True)]
+        return lambda ids, texts: [(i, signed(fingerprint(t, shingle))) for i, t in zip(ids, texts, strict=True)]
 
     printed = staging.table(map_rows(docs, ["doc_id", "text"], "doc_id long, fp long", make, keep), "printed", row_id="row_id")
     first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_id")).alias("first")

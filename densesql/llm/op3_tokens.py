@@ -29,8 +29,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densesql.llm.common import arrow_schema, documents, small_batches
-from densesql.plans.staging import Staging
+from densesql.llm.common import arrow_schema, documents, small_batches, trimmed
+from densesql.plans.staging import Staging, shuffles_released
 
 TOKENIZER, END_ID = "word_bpe_49k.json", 2
 #: Longest code; ids between checkpoints; ids a segment aims at.
@@ -40,7 +40,7 @@ REMEMBERED = 600_000
 #: Marks that are split off behind a letter (none that special tokens contain), and words encoded together.
 MARKS, JOINED = ".,;:!?*#$%&", 64
 #: Bytes of text encoded together, and distinct pieces that Python holds at once.
-GATHERED_BYTES, DISTINCT = 20 << 20, 1 << 15
+GATHERED_BYTES, DISTINCT = 14 << 20, 1 << 15
 
 ENCODED = "doc_id long, n_tokens long, ids binary"
 SEGMENTS = "part int, seq int, ahead long, doc_ids array<long>, n_tokens array<long>, n_ids long, checkpoints array<long>, payload binary"
@@ -115,16 +115,16 @@ class WordEncoder:
         texts = pc.fill_null(texts, "")
         for blank in "\n\t":
             texts = pc.replace_substring(texts, blank, " ")
-        lists = pc.split_pattern(texts, " ")
-        coded = lists.flatten().dictionary_encode()
+        n_texts, lists = len(texts), pc.split_pattern(texts, " ")
+        coded, ends = lists.flatten().dictionary_encode(), np.array(lists.offsets)
+        del texts, lists  # the largest arrays, done with before the ids are put together
         words = coded.dictionary
         cuts = (self._ids_of(words.slice(k, DISTINCT).to_pylist()) for k in range(0, max(1, len(words)), DISTINCT))
         found = pa.concat_arrays([pa.array(ids, pa.large_binary()) for ids in cuts]).take(coded.indices)
         offsets = np.frombuffer(found.buffers()[1], dtype=np.int64)[found.offset :][: len(found) + 1]
-        ends = np.asarray(lists.offsets)
         at = (offsets[ends - ends[0]] - offsets[0]).astype(np.int64)
         data = found.buffers()[2].slice(int(offsets[0])) if found.buffers()[2] else pa.py_buffer(b"")
-        return pa.Array.from_buffers(pa.large_binary(), len(texts), [None, pa.py_buffer(at), data])
+        return pa.Array.from_buffers(pa.large_binary(), n_texts, [None, pa.py_buffer(at), data])
 
     def _ids_of(self, pieces: list[str]) -> list[bytes]:
         split = list(map(self._parts, pieces))
@@ -171,7 +171,7 @@ def encode_documents(docs: DataFrame, tokenizer: str) -> DataFrame:
             pa.default_memory_pool().release_unused()
 
     small_batches(docs.sparkSession)
-    return docs.select("doc_id", "text").mapInArrow(run, ENCODED)
+    return docs.select("doc_id", "text").mapInArrow(trimmed(run), ENCODED)
 
 
 # --- the code ---------------------------------------------------------------------------
@@ -278,7 +278,7 @@ def count_ids(encoded: DataFrame, end_id: int = END_ID, n_ids: int = 1 << 16, ma
         used = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(total[used])], names=["id", "n"])
 
-    found = encoded.select("ids").coalesce(max_tasks).mapInArrow(run, "id int, n long").groupBy("id").agg(F.sum("n").alias("n")).toPandas()
+    found = encoded.select("ids").coalesce(max_tasks).mapInArrow(trimmed(run), "id int, n long").groupBy("id").agg(F.sum("n").alias("n")).toPandas()
     counts = np.zeros(n_ids, dtype=np.int64)
     counts[found["id"].to_numpy(dtype=np.int64)] = found["n"].to_numpy(dtype=np.int64)
     return counts
@@ -322,7 +322,8 @@ def write_token_files(encoded: DataFrame, path: str, end_id: int = END_ID, max_b
 
     keys = [F.col("doc_id").asc_nulls_first(), "n_tokens", "row_id"]
     ordered = encoded.repartitionByRange(*keys).sortWithinPartitions(*keys).select("doc_id", "ids")
-    ordered.mapInArrow(run, SEGMENTS).write.mode("overwrite").parquet(f"{path}/segments")
+    with shuffles_released(spark):
+        ordered.mapInArrow(trimmed(run), SEGMENTS).write.mode("overwrite").parquet(f"{path}/segments")
     code = spark.createDataFrame([(max_bits, bytearray(lengths.tobytes()))], "max_bits int, lengths binary")
     code.coalesce(1).write.mode("overwrite").parquet(f"{path}/code")
 
@@ -349,7 +350,7 @@ def read_token_files(spark: SparkSession, path: str) -> DataFrame:
                 cols = (row["doc_ids"], start, sizes, crcs)
                 yield pa.RecordBatch.from_arrays([pa.array(v, type=f.type) for v, f in zip(cols, schema, strict=True)], schema=schema)
 
-    return segments.mapInArrow(run, READ)
+    return segments.mapInArrow(trimmed(run), READ)
 
 
 def token_files(docs: DataFrame, tokenizer: str | None = None, end_id: int = END_ID) -> DataFrame:

@@ -33,7 +33,10 @@ def _group(source: Column) -> Column:
 
 
 def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST_EPOCHS, share: float = 1.0) -> DataFrame:
-    """(grp, source_size, target) from (grp, source_size): one row a source."""
+    """(grp, source_size, target) from (grp, source_size): one row a source.
+
+    Its windows run over all sources in one task: they grow with the number of sources, not of documents.
+    """
     everything = Window.partitionBy()
     place = F.row_number().over(Window.orderBy("grp")) - 1
     weight = F.element_at(F.array(*map(F.lit, weights)), (place % len(weights) + 1).cast("int")).cast("long")
@@ -65,8 +68,8 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST_EP
     """(doc_id, key, size, source_size, target, taken, *keep) for every document."""
     staging = Staging(docs.sparkSession, "mix")
     rows = staging.table(sized(docs, keep), "sized")
-    targets = source_targets(rows.groupBy("grp").agg(F.sum("size").alias("source_size")), weights, most, share)
-    ranked = prefix_within_groups(rows, "grp", "uniform", ["key", "size"], "size", "words_before", "place")
+    targets = staging.table(source_targets(rows.groupBy("grp").agg(F.sum("size").alias("source_size")), weights, most, share), "targets")
+    ranked = prefix_within_groups(rows, staging, "grp", "uniform", ["key", "size"], "size", "words_before", "place")
     budget = F.round("target").cast("long")
     epochs = F.when(F.col("source_size") > 0, F.floor(budget / F.col("source_size"))).otherwise(0)
     rest = budget - epochs * F.col("source_size")

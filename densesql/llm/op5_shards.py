@@ -25,6 +25,8 @@ from densesql.plans.ranking import prefix_within_groups, uniform31
 from densesql.plans.staging import Staging
 
 SHARDS, CELLS, SEED = 24, 256, 20
+#: Standard deviations to either side that an inverted law is summed over.
+TAILS = 12
 
 
 def shard_sizes(rows: int, shards: int) -> np.ndarray:
@@ -47,16 +49,33 @@ def communication_matrix(cell_rows: list[int], shards: int, seed: int = SEED) ->
 
 
 def _hypergeometric(rng: np.random.Generator, good: int, bad: int, drawn: int) -> int:
-    """One draw; beyond the generator's range the normal limit, kept within the support."""
+    """One draw: the number of good ones among ``drawn`` of ``good + bad``, at any size."""
     low, high = max(0, drawn - bad), min(good, drawn)
     if low == high:
         return low
-    if good + bad < 10**9:
+    if good + bad < 10**9:  # the generator's own range
         return int(rng.hypergeometric(good, bad, drawn))
+    return by_inversion(rng, good, bad, drawn)
+
+
+def by_inversion(rng: np.random.Generator, good: int, bad: int, drawn: int) -> int:
+    """One hypergeometric draw by inverting the exact law around its mode.
+
+    Neighbouring probabilities have a rational ratio, so weights relative to the mode need no
+    factorials.  They are summed over TAILS standard deviations to either side; what lies
+    beyond is less than the resolution of the uniform number that is inverted.
+    """
     total = good + bad
-    mean = drawn * good / total
-    spread = (mean * (bad / total) * ((total - drawn) / (total - 1))) ** 0.5
-    return int(min(high, max(low, round(rng.normal(mean, spread)))))
+    low, high = max(0, drawn - bad), min(good, drawn)
+    mode = (drawn + 1) * (good + 1) // (total + 2)
+    spread = (drawn * (good / total) * (bad / total) * ((total - drawn) / (total - 1))) ** 0.5
+    reach = int(TAILS * spread) + TAILS * TAILS
+    first, last = max(low, mode - reach), min(high, mode + reach)
+    k = np.arange(first, last, dtype=np.float64)
+    steps = np.log(good - k) + np.log(drawn - k) - np.log(k + 1) - np.log(bad - drawn + k + 1)
+    weights = np.concatenate([[0.0], np.cumsum(steps)])
+    chances = np.cumsum(np.exp(weights - weights.max()))
+    return first + int(np.searchsorted(chances, rng.random() * chances[-1], side="right"))
 
 
 def assign_shards(docs: DataFrame, shards: int = SHARDS, cells: int = CELLS, seed: int = SEED) -> DataFrame:
@@ -72,12 +91,12 @@ def assign_shards(docs: DataFrame, shards: int = SHARDS, cells: int = CELLS, see
     ids = sorted(counts)
     ends = np.cumsum(communication_matrix([counts[c] for c in ids], shards, seed), axis=1).tolist()
     table = spark.createDataFrame([(c, e) for c, e in zip(ids, ends, strict=True)], "c long, ends array<long>")
-    permuted = prefix_within_groups(rows, "cell", "u1", ["row_id"], "one", "ahead", "place")
+    permuted = prefix_within_groups(rows, staging, "cell", "u1", ["row_id"], "one", "ahead", "place")
     dealt = permuted.join(F.broadcast(table), F.col("cell") == F.col("c"))  # cells x shards numbers
     shard = F.size(F.filter("ends", lambda e: e <= F.col("place")))
     sent = dealt.select("row_id", "doc_id", "size", "text_crc32", "one", shard.alias("shard"), uniform31(F.col("row_id"), seed=seed + 2).alias("u2"))
     received = staging.table(sent, "received")
-    return prefix_within_groups(received, "shard", "u2", ["row_id"], "one", "before", "slot").select(
+    return prefix_within_groups(received, staging, "shard", "u2", ["row_id"], "one", "before", "slot").select(
         "row_id", "doc_id", "size", "text_crc32", "shard", "slot"
     )
 

@@ -151,7 +151,7 @@ def test_covering_links_lose_no_pair(spark, radius):
     prints = {c ^ sum(1 << b for b in rng.sample(range(64), rng.randrange(0, 5))) for c in centres for _ in range(20)} | {rng.getrandbits(64) for _ in range(40)}
     for m in op2_simhash.masks(radius):
         assert 0 < m < 1 << 64
-    signed = [(op2_simhash._signed(p),) for p in prints]
+    signed = [(op2_simhash.signed(p),) for p in prints]
     edges = op2_simhash.links(spark.createDataFrame(signed, "fp long"), "fp", radius).collect()
     want = brute_components(list(range(len(prints))), list(prints), radius)
     root = {p: p for (p,) in signed}
