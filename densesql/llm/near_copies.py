@@ -39,6 +39,8 @@ SEED, SHINGLE = 42, 5
 FIFTHS = 4
 #: Hash classes of shingles whose counts give rarity.
 CLASSES = 1 << 16
+#: Bits of a set's bitmap, a power of two: two bitmaps differ in no more bits than their sets in members.
+BITMAP = 2048
 #: Rounds in which a set meets one other per shingle, after the round of fingerprints.
 ROUNDS = 1
 
@@ -80,6 +82,14 @@ def _fits(other: str) -> Column:
     return (5 * F.least(n, m) >= FIFTHS * F.greatest(n, m)) & (room >= _least(n, m))
 
 
+def _likely(pairs: DataFrame, distinct: DataFrame) -> DataFrame:
+    """(u, v): the pairs whose bitmaps differ in no more bits than similar sets differ in members."""
+    marks = [distinct.select(F.col("sid").alias(x), F.col("n").alias(f"n{x}"), F.col("bits").alias(f"b{x}")) for x in "uv"]
+    both = pairs.join(marks[0], "u").join(marks[1], "v")
+    apart = F.aggregate(F.zip_with("bu", "bv", lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda n, x: n + x)
+    return both.where(apart <= F.col("nu") + F.col("nv") - 2 * _least(F.col("nu"), F.col("nv"))).select("u", "v")
+
+
 def _verify(pairs: DataFrame, texts: DataFrame, size: int) -> DataFrame:
     """(u, v): the pairs whose sets are similar indeed; ``texts`` has (sid, text), one row a set."""
     ids = pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct()
@@ -106,15 +116,15 @@ def _close_pairs(distinct: DataFrame, staging: Staging) -> DataFrame:
 def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int = ROUNDS) -> tuple[DataFrame, DataFrame]:
     """(sid, first) of every distinct set, and (node, root) of those with a near copy.
 
-    ``printed`` has (row_id, doc_id, text, sid, fp, n, prefix).
+    ``printed`` has (row_id, doc_id, text, sid, fp, n, prefix, bits).
     """
     first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_id")).alias("first")
-    whole = [F.first(c).alias(c) for c in ("fp", "n", "prefix")]  # equal sets may differ in repeats, so in fp: any one will do
+    whole = [F.first(c).alias(c) for c in ("fp", "n", "prefix", "bits")]  # equal sets may differ in repeats, so in fp: any one will do
     distinct = staging.table(printed.groupBy("sid").agg(first, *whole), "distinct")
     entries = distinct.select("sid", "n", F.posexplode("prefix").alias("i", "w"))
     company = entries.withColumn("size", F.count(F.lit(1)).over(Window.partitionBy("w"))).where("size > 1").drop("size")
     shared = staging.table(company, "shared")
-    close = staging.table(_close_pairs(distinct.where("n > 0"), staging), "close")
+    close = staging.table(_likely(_close_pairs(distinct.where("n > 0"), staging), distinct), "close")
     needed = shared.select("sid").union(close.select(F.explode(F.array("u", "v")))).distinct()
     ids = distinct.join(needed, "sid", "left_semi").select("sid", "first.row_id")
     texts = staging.table(printed.select("row_id", "text").join(ids, "row_id").select("sid", "text"), "texts")
@@ -131,7 +141,8 @@ def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int =
             left = rooted.join(several, "w", "left_semi")
             met = left.join(left.select("w", *[F.col(x).alias(f"e{x}") for x in ("sid", "n", "i", "root")]), "w").where("root < eroot")
         pairs = met.where(_fits("e") & (F.col("root") != F.col("eroot"))).select(F.least("sid", "esid").alias("u"), F.greatest("sid", "esid").alias("v"))
-        new = staging.table(_verify(staging.table(pairs.distinct(), f"pairs-{k}"), texts, size), f"similar-{k}")
+        likely = staging.table(_likely(pairs.distinct(), distinct), f"pairs-{k}")
+        new = staging.table(_verify(likely, texts, size), f"similar-{k}")
         found = found.union(new)
         roots = connected_components(found, Staging(printed.sparkSession, f"copies-{k}"))
     return distinct.select("sid", "first"), roots
@@ -146,17 +157,19 @@ def keep_one(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
     def make() -> Callable:
         table = np.frombuffer(levels, dtype=np.uint8)
 
-        def one(text: str | None) -> tuple[int, int, int, list[int]]:
+        def one(text: str | None) -> tuple:
             hashes = shingle_hashes(text, size)
             own = np.unique(hashes.astype(np.uint64))
             n = len(own)
             order = np.lexsort((own, table[(own % CLASSES).astype(np.int64)]))[: n + FIFTHS * -n // 5 + 1 if n else 0]
             sid = xxh64_intdigest(own.tobytes(), SEED)
-            return signed(sid), signed(majority(hashes)), n, own[order].view(np.int64).tolist()
+            bits = np.zeros(BITMAP, dtype=np.uint8)
+            bits[(own >> np.uint64(64 - BITMAP.bit_length() + 1)).astype(np.int64)] = 1
+            return signed(sid), signed(majority(hashes)), n, own[order].view(np.int64).tolist(), np.packbits(bits).view(np.int64).tolist()
 
         return lambda ids, texts: [(i, *one(t)) for i, t in zip(ids, texts, strict=True)]
 
-    printed = staging.table(map_rows(own, ["doc_id", "text"], "doc_id long, sid long, fp long, n int, prefix array<long>", make, tuple(names)), "printed", row_id="row_id")
+    printed = staging.table(map_rows(own, ["doc_id", "text"], "doc_id long, sid long, fp long, n int, prefix array<long>, bits array<long>", make, tuple(names)), "printed", row_id="row_id")
     text = printed.withColumn("text", F.col(f"k{docs.columns.index('text')}"))
     distinct, roots = similar_sets(text, staging, size)
     rooted = distinct.join(roots, distinct["sid"] == roots["node"], "left").withColumn("group", F.coalesce("root", "sid"))
