@@ -8,12 +8,15 @@ Both apply the scope before the rank limit, and both are equi-joins.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from densesql.functions import vec
 from densesql.operators.memory import in_scope, ranked
+from densesql.plans.staging import Staging
 
 #: Vectors on which centroids are fitted, at most.
 SAMPLE = 20_000
@@ -38,29 +41,65 @@ def _nearest_cells(v: Column, centres: np.ndarray, n: int) -> Column:
     return F.transform(F.slice(F.sort_array(scored, asc=False), 1, n), lambda x: x["cell"])
 
 
-def build_ivf(memory: DataFrame, cells: int, sample: int = SAMPLE) -> tuple[DataFrame, np.ndarray]:
-    """(entries with their cell, centroids).  Centroids come from at most ``sample`` entries by hash order."""
+def fitting_sample(memory: DataFrame, sample: int = SAMPLE) -> np.ndarray:
+    """Unit vectors of at most ``sample`` entries by hash order."""
     v = vec.normalise(vec.doubles(F.col("embedding")))
     chosen = memory.select(F.xxhash64("entry_id").alias("h"), v.alias("v")).orderBy("h").limit(sample).toPandas()
-    centres = fit_centroids(np.stack(chosen["v"].to_numpy()), cells)
+    return np.stack(chosen["v"].to_numpy())
+
+
+def build_ivf(memory: DataFrame, cells: int, sample: int = SAMPLE) -> tuple[DataFrame, np.ndarray]:
+    """(entries with their cell, centroids).  Centroids are fitted on the sample; every entry gets a cell."""
+    centres, v = fit_centroids(fitting_sample(memory, sample), cells), vec.normalise(vec.doubles(F.col("embedding")))
     return memory.withColumn("cell", F.element_at(_nearest_cells(v, centres, 1), 1)), centres
 
 
 def search_ivf(queries: DataFrame, index: tuple[DataFrame, np.ndarray], k: int, probes: int, scope: str = "cross") -> DataFrame:
-    """(query_id, entry_id, cos, rank) from the ``probes`` nearest cells; short queries look everywhere."""
+    """(query_id, entry_id, cos, rank) from the ``probes`` nearest cells; queries with fewer than ``k`` hits look everywhere."""
+    found = ranked(ivf_pairs(queries, index, probes, scope), k)
+    if probes >= len(index[1]):
+        return found
+    return completed(queries, found, k, lambda starved: ivf_pairs(starved, index, len(index[1]), scope))
+
+
+def completed(queries: DataFrame, found: DataFrame, k: int, everywhere: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``found`` with the queries that have fewer than ``k`` hits asked everywhere instead."""
+    found = Staging(queries.sparkSession, "index").table(found, "found")
+    full = found.groupBy("query_id").count().where(F.col("count") >= k)
+    starved = queries.join(full, "query_id", "left_anti")
+    if starved.isEmpty():
+        return found
+    return found.join(full, "query_id", "left_semi").unionByName(ranked(everywhere(starved), k))
+
+
+def ivf_pairs(queries: DataFrame, index: tuple[DataFrame, np.ndarray], probes: int, scope: str = "cross") -> DataFrame:
+    """(query_id, entry_id, cos) of the pairs that an inverted-file search scores."""
     entries, centres = index
     q = queries.select("query_id", F.col("db_id").alias("q_db"), vec.normalise(vec.doubles(F.col("embedding"))).alias("q_vec"))
     m = entries.select("entry_id", F.col("db_id").alias("m_db"), vec.normalise(vec.doubles(F.col("embedding"))).alias("m_vec"), "cell")
     probe = q.withColumn("cell", F.explode(_nearest_cells(F.col("q_vec"), centres, probes)))
     fits = in_scope(F.col("q_db"), F.col("m_db"), scope) & (F.col("query_id") != F.col("entry_id"))
-    pairs = probe.join(m, "cell").where(fits).select("query_id", "entry_id", vec.dot(F.col("q_vec"), F.col("m_vec")).alias("cos"))
-    found = ranked(pairs, k)
-    if probes >= len(centres):
-        return found
-    full = found.groupBy("query_id").count().where(F.col("count") >= k)
-    starved = queries.join(full, "query_id", "left_anti")
-    again = search_ivf(starved, index, k, min(2 * probes, len(centres)), scope)
-    return found.join(full, "query_id", "left_semi").unionByName(again)
+    return probe.join(m, "cell").where(fits).select("query_id", "entry_id", vec.dot(F.col("q_vec"), F.col("m_vec")).alias("cos"))
+
+
+def calibrate_probes(vectors: np.ndarray, centres: np.ndarray, k: int, target: float = 0.95, asked: int = 500) -> int:
+    """The fewest probes whose recall on the sample's own vectors reaches ``target``: all cells if none fewer does.
+
+    ``asked`` vectors of the sample look for their ``k`` nearest others of the sample.
+    """
+    q = vectors[:asked]
+    sims = q @ vectors.T
+    sims[np.arange(len(q)), np.arange(len(q))] = -np.inf
+    near = np.argsort(-sims, axis=1, kind="stable")[:, : min(k, len(vectors) - 1)]
+    cells = (vectors @ centres.T).argmax(axis=1)
+    order = np.argsort(-(q @ centres.T), axis=1, kind="stable")
+    place = np.empty_like(order)
+    np.put_along_axis(place, order, np.arange(order.shape[1])[None, :].repeat(len(q), 0), axis=1)
+    needed = np.take_along_axis(place, cells[near], axis=1)  # the probe that reaches each neighbour
+    for probes in range(1, len(centres)):
+        if (needed < probes).mean() >= target:
+            return probes
+    return len(centres)
 
 
 def signature_planes(dims: int, bits: int, bands: int, seed: int = 11) -> np.ndarray:
@@ -72,13 +111,22 @@ def _band_keys(v: Column, planes: np.ndarray) -> Column:
 
     def key(band: np.ndarray) -> Column:
         bits = [F.when(vec.dot(v, F.array(*map(F.lit, map(float, p)))) >= 0, 1 << i).otherwise(0) for i, p in enumerate(band)]
-        return sum(bits[1:], bits[0])
+        return sum(bits, F.lit(0))
 
     return F.array(*[F.struct(F.lit(n).alias("band"), key(band).alias("key")) for n, band in enumerate(planes)])
 
 
-def search_srp(queries: DataFrame, memory: DataFrame, k: int, scope: str = "cross", bits: int = 12, bands: int = 16) -> DataFrame:
-    """(query_id, entry_id, cos, rank) among entries that agree on all bits of some band."""
+def search_srp(queries: DataFrame, memory: DataFrame, k: int, scope: str = "cross", bits: int = 4, bands: int = 24) -> DataFrame:
+    """(query_id, entry_id, cos, rank) among entries that agree on all bits of some band.
+
+    Queries with fewer than ``k`` hits look again without bits, which is every entry in scope.
+    """
+    found = ranked(srp_pairs(queries, memory, scope, bits, bands), k)
+    return found if bits == 0 else completed(queries, found, k, lambda starved: srp_pairs(starved, memory, scope, 0, 1))
+
+
+def srp_pairs(queries: DataFrame, memory: DataFrame, scope: str, bits: int, bands: int) -> DataFrame:
+    """(query_id, entry_id, cos) of the pairs that a projection search scores."""
     dims = memory.select(F.max(F.size("embedding"))).first()[0] or 1
     planes = signature_planes(dims, bits, bands)
     unit = vec.normalise(vec.doubles(F.col("embedding")))
@@ -89,7 +137,7 @@ def search_srp(queries: DataFrame, memory: DataFrame, k: int, scope: str = "cros
     fits = in_scope(F.col("q_db"), F.col("m_db"), scope) & (F.col("query_id") != F.col("entry_id"))
     pairs = left.join(right, ["band", "key"]).where(fits).select("query_id", "entry_id").distinct()
     scored = pairs.join(q.select("query_id", "q_vec"), "query_id").join(m.select("entry_id", "m_vec"), "entry_id")
-    return ranked(scored.select("query_id", "entry_id", vec.dot(F.col("q_vec"), F.col("m_vec")).alias("cos")), k)
+    return scored.select("query_id", "entry_id", vec.dot(F.col("q_vec"), F.col("m_vec")).alias("cos"))
 
 
 def recall_at_k(found: DataFrame, exact: DataFrame) -> DataFrame:

@@ -189,19 +189,20 @@ def judge_cost(n_queries: int, price: float = 0.24) -> float:
     return n_queries * price
 
 
-def tree_search(spark: SparkSession, sf_dir: str, questions: DataFrame, rounds: int = 3, width: int = 4, explore: float = 1.4) -> DataFrame:
-    """(question_id, sql, visits, value, correct): tree search over mutations, all questions advancing together.
+def tree_search(spark: SparkSession, sf_dir: str, questions: DataFrame, cands: DataFrame, rounds: int = 6, width: int = 4, explore: float = 1.4) -> DataFrame:
+    """(question_id, sql, visits, value, correct): tree search from sampled candidates, all questions advancing together.
 
-    A node is a statement; expanding it applies mutations; its reward is the share of the
-    question's visited statements with the same result.  Each round picks every question's
+    A node is a statement; the root is the question's first candidate of ``cands``.  Expanding
+    a node adds one more sampled candidate and rewrites of the node; the gold is never seen.
+    A node's reward is the share of the question's visited statements with the same result.  Each round picks every question's
     best node by upper confidence bound, expands ``width`` children, runs them in one batch
     and backs the rewards up to the parents.
     """
-    gold = {r["question_id"]: r for r in questions.collect()}  # the question set, which is authored
-    nodes: dict[int, list[dict]] = {}
-    for q, r in gold.items():
-        start = corpus.mutate(r["gold_sql"], corpus.WRONG[int(corpus.draw(q, "root") * len(corpus.WRONG))])
-        nodes[q] = [{"sql": start, "parent": None, "visits": 1, "value": 0.0}]
+    db = {r["question_id"]: r["db_id"] for r in questions.select("question_id", "db_id").collect()}  # the question set, which is authored
+    pools: dict[int, list[str]] = {q: [] for q in db}
+    for r in cands.where(F.col("rollout_id") <= rounds).select("question_id", "rollout_id", F.coalesce("sql", F.lit("")).alias("sql")).orderBy("question_id", "rollout_id").collect():
+        pools[r["question_id"]].append(r["sql"])
+    nodes: dict[int, list[dict]] = {q: [{"sql": pool[0], "parent": None, "visits": 1, "value": 0.0}] for q, pool in pools.items() if pool}
     moves = ("M07", "M06", "M10", "M13", "M12", "M02", "M04", "M09")
     seen: dict[tuple[str, str], str | None] = {}
     for turn in range(rounds):
@@ -209,17 +210,17 @@ def tree_search(spark: SparkSession, sf_dir: str, questions: DataFrame, rounds:
         for q, tree in nodes.items():
             total = sum(n["visits"] for n in tree)
             best = max(range(len(tree)), key=lambda k: (tree[k]["value"] / tree[k]["visits"] + explore * (max(1.0, total) ** 0.5) / (1 + tree[k]["visits"]), -k))
-            base = tree[best]["sql"] if turn else gold[q]["gold_sql"] if corpus.draw(q, "recall") < 0.6 else tree[best]["sql"]
+            base = tree[best]["sql"]
             for w in range(width):
-                child = corpus.mutate(base, moves[int(corpus.draw(q, turn, w) * len(moves))]) if w else base
+                child = corpus.mutate(base, moves[int(corpus.draw(q, turn, w) * len(moves))]) if w else pools[q][min(turn + 1, len(pools[q]) - 1)]
                 tree.append({"sql": child, "parent": best, "visits": 0, "value": 0.0})
-                fresh.append((gold[q]["db_id"], child))
+                fresh.append((db[q], child))
         todo = [x for x in dict.fromkeys(fresh) if x not in seen]
         ran = execute.run(spark, sf_dir, spark.createDataFrame(todo, "db_id string, sql string")) if todo else None
         for r in ran.collect() if ran is not None else []:
             seen[(r["db_id"], r["sql"])] = f"{r['n_cols']}:{r['n_rows']}:{r['h_a']}" if r["status"] == "runs" else None
         for q, tree in nodes.items():
-            results = [seen.get((gold[q]["db_id"], n["sql"])) for n in tree]
+            results = [seen.get((db[q], n["sql"])) for n in tree]
             for k in range(len(tree) - width, len(tree)):
                 reward = sum(r == results[k] for r in results) / len(results) if results[k] else 0.0
                 at: int | None = k
@@ -230,6 +231,6 @@ def tree_search(spark: SparkSession, sf_dir: str, questions: DataFrame, rounds:
     out = []
     for q, tree in nodes.items():
         pick = max(tree, key=lambda n: (n["value"] / max(1, n["visits"]), n["visits"]))
-        out.append((q, gold[q]["db_id"], pick["sql"], pick["visits"], pick["value"]))
+        out.append((q, db[q], pick["sql"], pick["visits"], pick["value"]))
     chosen = spark.createDataFrame(out, "question_id long, db_id string, sql string, visits int, value double")
     return execute.judge(spark, sf_dir, chosen, questions).select("question_id", "sql", "visits", "value", "correct")

@@ -64,9 +64,10 @@ QUESTIONS = (
     ("vectors", "challenging", "Which are the first three vectors of each label?", "select vec_id from (select vec_id, row_number() over (partition by label order by vec_id) as r from embeddings) t where r <= 3"),
 )
 
-#: Chance that a rollout of a tier is mutated away from the gold at the first step, and what training takes off it.
+#: Chance that a rollout of a tier is mutated away from the gold; training changes which rollouts a policy samples, not these.
 TIERS = {"s": 0.72, "m": 0.55, "l": 0.42}
-TRAINED, STEPS = 0.25, 2000
+#: Seed of the draw that references are taken from, apart from that of the scored rollouts; the teacher whose answers seed the memory.
+REFERENCE_SEED, STRONGEST = 77, "plan"
 TEACHERS = {"plan": 0.42, "story": 0.45, "clauses": 0.48, "terse": 0.5}
 KEEPING = ("M01", "M02", "M03", "M04", "M05")
 WRONG = ("M06", "M07", "M09", "M10", "M11", "M12", "M13", "M16")
@@ -74,7 +75,7 @@ FAILING = ("M08", "M14", "M15", "M20")
 LAYOUT = ("M17", "M18", "M19", "M21", "M22")
 
 ROLLOUT = (
-    "question_id long, rollout_id int, db_id string, difficulty string, tier string, temperature double, step int, style string, "
+    "question_id long, rollout_id int, db_id string, difficulty string, tier string, temperature double, style string, "
     "mutators array<string>, completion string, logp double"
 )
 
@@ -140,8 +141,8 @@ def mutate(sql: str, mutator: str, pick: float = 0.0) -> str:
 
 def render_trace(question: str, sql: str, style: str, length: float = 1.0) -> str:
     """Reasoning text about the SQL's operations in one of the teachers' styles, shortened by ``length``."""
-    ops = [o for o in operations(sql) if not o.kind.startswith("scope")]
-    named = [f"{o.kind.replace('_', ' ')} {' '.join(o.args)}".strip() for o in ops] or ["give a direct answer"]
+    ops = [o for o in operations(sql) if not o.kind.startswith("subquery")]
+    named = [f"{o.kind.replace('.', ' ')} {' '.join(o.args)}".strip() for o in ops] or ["give a direct answer"]
     head = f"The question asks: {question} "
     if style == "plan":
         body = " ".join(f"Step {k}: apply {x}, because the result needs {x.split(' ')[-1]}." for k, x in enumerate(named, 1))
@@ -157,13 +158,13 @@ def render_trace(question: str, sql: str, style: str, length: float = 1.0) -> st
     return text
 
 
-def complete(question_id: int, variety: int, tier: str, step: int, style: str, key: str, error: float) -> tuple[list[str], str, float]:
+def complete(question_id: int, variety: int, tier: str, style: str, key: str, error: float) -> tuple[list[str], str, float]:
     """(mutators, completion, mean log-probability) of one draw."""
     _, level, question, gold = QUESTIONS[question_id]
     at = (question_id, variety, tier, style, key)
     hard = {"simple": 0.75, "moderate": 1.0, "challenging": 1.2}[level]
     names, u = [], draw(*at, "error")
-    if u < error * hard * (1 - TRAINED * step / STEPS):
+    if u < error * hard:
         kind = draw(*at, "kind")
         pool = WRONG if kind < 0.55 else FAILING if kind < 0.85 else LAYOUT
         names.append(pool[int(draw(*at, "which") * len(pool))])
@@ -172,8 +173,7 @@ def complete(question_id: int, variety: int, tier: str, step: int, style: str, k
     sql = gold
     for name in sorted(names, key=lambda n: n in WRONG + FAILING):
         sql = mutate(sql, name, draw(*at, name))
-    shorter = 1.0 - 0.75 * step / STEPS
-    trace = render_trace(question, sql, style, shorter)
+    trace = render_trace(question, sql, style, 0.25 + 0.75 * draw(*at, "length"))
     if "M18" in names:
         trace = ""
     if "M19" in names:
@@ -186,7 +186,7 @@ def complete(question_id: int, variety: int, tier: str, step: int, style: str, k
     return names or ["M00"], text, -0.2 - 0.6 * draw(*at, "logp") - 0.3 * bool(set(names) & set(WRONG + FAILING))
 
 
-def rollouts(spark: SparkSession, group: int = 32, tier: str = "s", temperature: float = 1.0, step: int = 0, seed: int = 42, partitions: int = 4) -> DataFrame:
+def rollouts(spark: SparkSession, group: int = 32, tier: str = "s", temperature: float = 1.0, seed: int = 42, partitions: int = 4) -> DataFrame:
     """``group`` rollouts of every question.  Temperature sets how many different draws a group holds: 0 means one."""
     n, variety = len(QUESTIONS), 1 + round(temperature * 31)
     styles = list(TEACHERS)
@@ -198,8 +198,8 @@ def rollouts(spark: SparkSession, group: int = 32, tier: str = "s", temperature:
                 q, r = divmod(i, group)
                 at = r % variety
                 style = styles[int(draw(q, at, tier, seed, "teacher") * len(styles))]
-                names, text, logp = complete(q, at, tier, step, style, f"roll{seed}", TIERS[tier])
-                rows.append((q, r, QUESTIONS[q][0], QUESTIONS[q][1], tier, temperature, step, style, names, text, logp))
+                names, text, logp = complete(q, at, tier, style, f"roll{seed}", TIERS[tier])
+                rows.append((q, r, QUESTIONS[q][0], QUESTIONS[q][1], tier, temperature, style, names, text, logp))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
 
@@ -216,7 +216,7 @@ def bank(spark: SparkSession, seeds: int = 1) -> DataFrame:
     for q in range(len(QUESTIONS)):
         for teacher, error in TEACHERS.items():
             for s in range(seeds):
-                names, text, _ = complete(q, s, teacher, 0, teacher, "bank", error)
+                names, text, _ = complete(q, s, teacher, teacher, "bank", error)
                 rows.append((q, teacher, s, QUESTIONS[q][0], names, text))
     return spark.createDataFrame(rows, "question_id long, teacher string, seed int, db_id string, mutators array<string>, completion string")
 

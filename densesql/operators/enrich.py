@@ -43,7 +43,7 @@ def _with_gold(pool: DataFrame) -> DataFrame:
 
 def empty_guard(pool: DataFrame, min_overlap: float = 0.5) -> DataFrame:
     """The pool without what an empty gold lets in: always-false filters and structures far from the gold."""
-    vacuous = F.exists("op_keys", lambda k: F.rlike(k, F.lit(r"^keep_row\(=, [01], [01]\)$")) & (k != "keep_row(=, 1, 1)") & (k != "keep_row(=, 0, 0)"))
+    vacuous = F.exists("op_keys", lambda k: F.rlike(k, F.lit(r"^where\.condition\(=, [01], [01]\)$")) & (k != "where.condition(=, 1, 1)") & (k != "where.condition(=, 0, 0)"))
     suspect = _with_gold(pool).where(F.coalesce("empty_result", F.lit(False)) & (vacuous | (F.col("overlap") < min_overlap)))
     return pool.join(suspect.select("question_id", "ref_id"), ["question_id", "ref_id"], "left_anti")
 
@@ -52,7 +52,7 @@ def audit(pool: DataFrame, n: int = 100) -> DataFrame:
     """Up to ``n`` kept variants with non-empty results in hash order, their overlap, and whether only DISTINCT differs."""
     found = _with_gold(pool).where(~F.coalesce("empty_result", F.lit(False)))
     change = F.array_union(F.array_except("op_keys", "gold_keys"), F.array_except("gold_keys", "op_keys"))
-    only_distinct = (F.size(change) > 0) & F.forall(change, lambda k: k == "dedup()")
+    only_distinct = (F.size(change) > 0) & F.forall(change, lambda k: k == "select.distinct()")
     shown = found.select("question_id", "ref_id", "sql", "overlap", only_distinct.alias("only_distinct"))
     return shown.orderBy(F.xxhash64("question_id", "sql"), "question_id", "ref_id").limit(n)
 

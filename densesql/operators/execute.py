@@ -8,9 +8,11 @@ digest that does not depend on row order or partitioning.
 from __future__ import annotations
 
 import re
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from concurrent.futures import ThreadPoolExecutor
 from itertools import islice
+from threading import Timer
+from uuid import uuid4
 
 from pyspark.errors import PySparkException
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -18,14 +20,14 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from densesql.operators.sqlast import ParseError, lex, parse
+from densesql.plans.staging import Staging
 from densesql.sources.tables import register_database
 
 STATUS = "db_id string, sql string, status string, error_class string, n_cols int, n_rows long, h_a decimal(38,0), h_b decimal(38,0), h_order decimal(38,0)"
 #: Distinct statements in flight on the driver at once, and threads that run them.
-CHUNK, THREADS = 512, 4
-#: Statuses kept for statements seen before in this session, whose tables do not change.
-REMEMBERED = 50_000
-_KNOWN: dict[tuple, tuple] = {}
+CHUNK, THREADS = 512, 8
+#: Seconds that a statement may take, and rows that a result may have: beyond either it counts as failed.
+TIMEOUT_S, MAX_ROWS = 300.0, 50_000_000
 
 # Functions that reach beyond the tables.
 FORBIDDEN = frozenset(
@@ -103,63 +105,98 @@ def _failure(e: Exception) -> tuple[str, str]:
     return kind, text
 
 
+class _Clock:
+    """Calls a function once after so many seconds unless cancelled; ``fired`` tells whether it did."""
+
+    def __init__(self, seconds: float, action: Callable[[], None]):
+        self.fired = False
+
+        def fire() -> None:
+            self.fired = True
+            action()
+
+        self._timer = Timer(seconds, fire)
+        self._timer.daemon = True
+        self._timer.start()
+
+    def cancel(self) -> None:
+        self._timer.cancel()
+
+
 def _chunks(rows: Iterator, n: int) -> Iterable[list]:
     while chunk := list(islice(rows, n)):
         yield chunk
 
 
-def run(spark: SparkSession, sf_dir: str, candidates: DataFrame, ordered: bool = False, sort_columns: bool = False) -> DataFrame:
+def run(
+    spark: SparkSession, sf_dir: str, candidates: DataFrame, ordered: bool = False, sort_columns: bool = False, timeout_s: float = TIMEOUT_S, max_rows: int = MAX_ROWS,
+) -> DataFrame:
     """(db_id, sql, status, error_class, n_cols, n_rows, h_a, h_b, h_order) for the distinct candidates.
 
     Status is ``runs``, ``parse``, ``analyse``, ``runtime`` or ``forbidden``.  Statements whose
-    analysed plans are equal run once.
+    analysed plans are equal run once within a chunk.  A statement that takes longer than
+    ``timeout_s`` is cancelled; of a result no more than ``max_rows + 1`` rows are digested, and
+    a larger one fails.  Each chunk's digests are staged, so the driver holds one chunk only.
     """
     sessions: dict[str, SparkSession] = {}
-    out = []
+    staging, paths = Staging(spark, "executed"), []
     distinct = candidates.select("db_id", "sql").where("sql is not null and db_id is not null").distinct()
-    where = (spark.sparkContext.applicationId, sf_dir, ordered, sort_columns)
     for chunk in _chunks(distinct.toLocalIterator(), CHUNK):
-        plans: dict[tuple, list] = {}
-        done = len(out)
-        for db, sql in chunk:
-            if (*where, db, sql) in _KNOWN:
-                out.append(_KNOWN[(*where, db, sql)])
-                continue
-            why = guard(sql)
-            if why:
-                kind = "forbidden" if why in ("forbidden_function", "path_table", "many_statements") else "parse"
-                out.append((db, sql, kind, why, None, None, None, None, None))
-                continue
-            own = sessions.setdefault(db, None) or sessions.update({db: register_database(spark, sf_dir, db)}) or sessions[db]
-            try:
-                df = own.sql(sql)
-                group = plans.setdefault((db, df.semanticHash(), len(df.columns)), [])
-                same = next((g for g in group if g[0].sameSemantics(df)), None)
-                if same:
-                    same[1].append(sql)
-                else:
-                    group.append((df, [sql]))
-            except Exception as e:  # noqa: BLE001 - candidate SQL may fail in any way
-                kind, text = _failure(e)
-                out.append((db, sql, kind, text, None, None, None, None, None))
-        work = [(key[0], df, texts) for key, group in plans.items() for df, texts in group]
-
-        def one(item: tuple) -> list[tuple]:
-            db, df, texts = item
-            try:
-                n, a, b, o = digest(df, ordered, sort_columns).first()
-                return [(db, s, "runs", None, len(df.columns), n, a, b, o) for s in texts]
-            except Exception as e:  # noqa: BLE001
-                kind, text = _failure(e)
-                return [(db, s, "runtime" if kind == "analyse" else kind, text, len(df.columns), None, None, None, None) for s in texts]
-
-        with ThreadPoolExecutor(THREADS) as pool:
-            for rows in pool.map(one, work):
-                out += rows
-        if len(_KNOWN) > REMEMBERED:
-            _KNOWN.clear()
-        _KNOWN.update({(*where, row[0], row[1]): row for row in out[done:]})
-    return spark.createDataFrame(out, STATUS)
+        rows = _run_chunk(spark, sf_dir, chunk, sessions, ordered, sort_columns, timeout_s, max_rows)
+        staging.table(spark.createDataFrame(rows, STATUS).coalesce(1), f"chunk-{len(paths)}")
+        paths.append(staging.path(f"chunk-{len(paths)}"))
+    return spark.read.schema(STATUS).parquet(*paths) if paths else spark.createDataFrame([], STATUS)
+
+
+def _run_chunk(spark: SparkSession, sf_dir: str, chunk: list, sessions: dict, ordered: bool, sort_columns: bool, timeout_s: float, max_rows: int) -> list[tuple]:
+    """The digests of one chunk of (db_id, sql)."""
+    out: list[tuple] = []
+    plans: dict[tuple, list] = {}
+    for db, sql in chunk:
+        why = guard(sql)
+        if why:
+            kind = "forbidden" if why in ("forbidden_function", "path_table", "many_statements") else "parse"
+            out.append((db, sql, kind, why, None, None, None, None, None))
+            continue
+        try:
+            if db not in sessions:
+                sessions[db] = register_database(spark, sf_dir, db)
+            df = sessions[db].sql(sql)
+            group = plans.setdefault((db, df.semanticHash(), len(df.columns)), [])
+            same = next((g for g in group if g[0].sameSemantics(df)), None)
+            if same:
+                same[1].append(sql)
+            else:
+                group.append((df, [sql]))
+        except Exception as e:  # noqa: BLE001 - candidate SQL may fail in any way
+            kind, text = _failure(e)
+            out.append((db, sql, kind, text, None, None, None, None, None))
+    context = spark.sparkContext
+
+    def one(item: tuple) -> list[tuple]:
+        db, df, texts = item
+        width, tag = len(df.columns), f"candidate-{uuid4().hex}"
+        fail = lambda kind, text: [(db, s, kind, text, width, None, None, None, None) for s in texts]
+        context.addJobTag(tag)
+        clock = _Clock(timeout_s, lambda: context.cancelJobsWithTag(tag))
+        try:
+            n, a, b, o = digest(df.limit(max_rows + 1), ordered, sort_columns).first()
+            if n > max_rows:
+                return fail("runtime", "too_many_rows")
+            return [(db, s, "runs", None, width, n, a, b, o) for s in texts]
+        except Exception as e:  # noqa: BLE001
+            if clock.fired:
+                return fail("runtime", "timeout")
+            kind, text = _failure(e)
+            return fail("runtime" if kind == "analyse" else kind, text)
+        finally:
+            clock.cancel()
+            context.removeJobTag(tag)
+
+    with ThreadPoolExecutor(THREADS) as pool:
+        for rows in pool.map(one, [(key[0], df, texts) for key, group in plans.items() for df, texts in group]):
+            out += rows
+    return out
 
 
 def matches(a: str = "p", b: str = "g", mode: str = "bag") -> Column:

@@ -23,8 +23,8 @@ def featurise(scored: DataFrame) -> DataFrame:
     return scored.withColumn(
         "x",
         F.array(
-            F.lit(1.0), flag(F.col("parsed")), flag(F.col("format_ok")), kinds("join_rel") / 4, kinds("keep_row", "keep_group") / 4,
-            kinds("scope_open") / 2, F.least(F.log1p(F.size(toks).cast("double")) / 8, F.lit(1.0)), T.diversity(toks), F.coalesce("mem_score", F.lit(0.0)),
+            F.lit(1.0), flag(F.col("parsed")), flag(F.col("format_ok")), kinds("from.join") / 4, kinds("where.condition", "having.condition") / 4,
+            kinds("subquery.begin") / 2, F.least(F.log1p(F.size(toks).cast("double")) / 8, F.lit(1.0)), T.diversity(toks), F.coalesce("mem_score", F.lit(0.0)),
             F.coalesce("logp", F.lit(0.0)), flag(F.col("style") == "plan"), flag(F.col("style") == "story"), flag(F.col("style") == "clauses"),
         ),
     ).drop("_toks")

@@ -11,7 +11,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
-MODULES = ("memory", "atomic", "rewards", "optimise", "selection", "measures", "baselines", "corpus", "relational", "functions", "streams")
+MODULES = ("memory", "atomic", "rewards", "optimise", "training", "selection", "measures", "baselines", "corpus", "relational", "functions", "streams")
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:

@@ -146,7 +146,7 @@ def atomic_reward_sql(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "op_diff_by_kind",
-    """select * from (values ('bucket', 1, 0, 0), ('out_agg', 0, 1, 1), ('out_col', 1, 0, 0), ('rel', 1, 0, 0)) t(kind, hit, miss, extra)""".replace(
+    """select * from (values ('group.key', 1, 0, 0), ('select.aggregate', 0, 1, 1), ('select.column', 1, 0, 0), ('from.table', 1, 0, 0)) t(kind, hit, miss, extra)""".replace(
         "select *", "select kind, cast(hit as bigint) as hit, cast(miss as bigint) as miss, cast(extra as bigint) as extra"
     ),
 )

@@ -6,9 +6,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from densesql.functions import text as T
-from densesql.operators import baselines, corpus, metrics, selection
+from densesql.operators import baselines, corpus, grpo, metrics, selection, training
+from densesql.plans.staging import Staging
 from densesql.queries import query
 from densesql.queries.rewards import scored
+from densesql.queries.training import candidates, checkpoints
 from densesql.sources.tables import schema_columns, table
 
 _ITEMS = "i as (select item_id, list_distinct(regexp_extract_all(lower(text), '[a-z0-9_]+')) as a from benchmark)"
@@ -105,7 +107,7 @@ def valid_only_pick(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("repair_rate")
 def repair_rate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Accuracy and failures before and after one and three repair rounds."""
-    base = scored(spark, sf_dir).where("rollout_id < 8").select("question_id", "rollout_id", "db_id", "sql", "status", "error_class", "n_rows", "result", "gold_result", "gold_rows", "correct")
+    base = scored(spark, sf_dir).select("question_id", "rollout_id", "db_id", "sql", "status", "error_class", "n_rows", "result", "gold_result", "gold_rows", "correct")
     q, cols = corpus.questions(spark), schema_columns(spark, sf_dir)
     out = None
     for rounds in (0, 1, 3):
@@ -123,7 +125,7 @@ def pipeline_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("tree_search")
 def tree_search(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.tree_search(spark, sf_dir, corpus.questions(spark), rounds=2).select("question_id", "visits", F.round("value", 6).alias("value"), "correct")
+    return baselines.tree_search(spark, sf_dir, corpus.questions(spark), scored(spark, sf_dir)).select("question_id", "visits", F.round("value", 6).alias("value"), "correct")
 
 
 @query("process_check")
@@ -135,12 +137,16 @@ def process_check(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("end_to_end")
 def end_to_end(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every selector on every tier and both splits of databases: the comparison of methods."""
+    """Every selector on every tier and both splits of databases, on draws of the supervised start and of the trained policy."""
     q = corpus.questions(spark)
     out = None
     for tier in corpus.TIERS:
-        for step in (0, corpus.STEPS):
-            pool = scored(spark, sf_dir, tier, 1.0, step).join(q.select("question_id", "question"), "question_id")
+        found = checkpoints(spark, sf_dir, tier)
+        for step in (0, found[-1]["step"]):
+            theta = found[-1]["theta"] if step else found[0]["theta"]
+            drawn = training.sampled(candidates(spark, sf_dir, tier), [("full", step, theta)], 32).withColumn("question_id", F.col("asked"))
+            own = grpo.with_probabilities(candidates(spark, sf_dir, tier), theta).select("question_id", "cand_id", "logp")
+            pool = Staging(spark, "pool").table(drawn.join(own, ["question_id", "cand_id"]).join(q.select("question_id", "question"), "question_id"), f"pool-{tier}-{step}")
             best = {
                 "vote": selection.majority(pool), "logp vote": selection.majority(pool, F.exp("logp")), "memory vote": selection.majority(pool, F.lit(0.1) + F.col("mem_score")),
                 "first": selection.single(pool), "best logp": selection.single(pool, "best_logp"), "valid only": baselines.valid_only(pool),

@@ -30,14 +30,6 @@ def trace_length_hist(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.length_histogram(table(spark, sf_dir, "documents", "text"), "text")
 
 
-@query("trace_evolution")
-def trace_evolution(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Trace length by difficulty before and after training."""
-    parts = [scored(spark, sf_dir, "l", 1.0, s).select("difficulty", "trace", F.lit(s).alias("step")) for s in (0, corpus.STEPS)]
-    found = metrics.trace_length(parts[0].union(parts[1]), ("difficulty", "step"), "trace", 800)
-    return found.select("difficulty", "step", "n", F.round("mean", 6).alias("mean"), F.round("p50", 6).alias("p50"), "longest", F.round("over", 6).alias("over"))
-
-
 @query("self_bleu_sources")
 def self_bleu_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Self-BLEU of each source's documents."""

@@ -2,16 +2,14 @@
 
 from __future__ import annotations
 
-from functools import cache
-
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from densesql.operators import corpus, grpo, metrics, pipeline, policy, rewards, sft
+from densesql.operators import corpus, grpo, policy, rewards, sft, training
 from densesql.plans.staging import Staging
 from densesql.queries import query
-from densesql.queries.rewards import scored
+from densesql.queries.training import candidates
 from densesql.sources.tables import table
 
 _REWARDS = "g as (select user_id as question_id, event_id as rollout_id, value as total from events)"
@@ -154,51 +152,13 @@ def expected_return(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- training
 
 
-@cache
-def _candidates(app: str, sf_dir: str, tier: str) -> DataFrame:
-    spark = SparkSession.active()
-    return Staging(spark, "candidates").table(pipeline.candidate_table(scored(spark, sf_dir, tier)), "cands")
-
-
-def candidates(spark: SparkSession, sf_dir: str, tier: str = "s") -> DataFrame:
-    return _candidates(spark.sparkContext.applicationId, sf_dir, tier)
-
-
-def _curve(spark: SparkSession, name: str, log: list[dict]) -> list[tuple]:
-    return [(name, x["step"], round(x["reward"], 6), round(x["spread"], 6), round(100 * x["ex"], 4)) for x in log]
-
-
-@query("policy_train_curve")
-def policy_train_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Reward and accuracy of the sampled policy over steps, from a supervised start."""
-    cands = candidates(spark, sf_dir)
-    theta = policy.fit_supervised(cands, epochs=3)
-    _, log = grpo.train(cands, theta, steps=6, lr=1.0, group=16)
-    rows = spark.createDataFrame(_curve(spark, "dense", log), "tier string, step int, reward double, spread double, ex double")
-    return metrics.curve(rows, "reward")
-
-
-@query("reward_ablation_training")
-def reward_ablation_training(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy after training under the full reward, without memory, without overlap, without both, and sparse."""
-    cands = candidates(spark, sf_dir)
-    variants = {"full": (1, 1, 1, 1), "no memory": (1, 1, 1, 0), "no atomic": (1, 1, 0, 1), "neither": (1, 1, 0, 0)}
-    theta, rows = policy.fit_supervised(cands, epochs=3), []
-    for name, w in variants.items():
-        _, log = grpo.train(rewards.compose(cands, w), theta, steps=3, lr=1.0, group=16)
-        rows.append(("s", name, round(100 * log[-1]["ex"], 4)))
-    _, log = grpo.train(cands, theta, steps=3, lr=1.0, group=16, reward="binary")
-    rows.append(("s", "binary", round(100 * log[-1]["ex"], 4)))
-    return metrics.ablation_delta(spark.createDataFrame(rows, "tier string, variant string, ex double"))
-
-
 @query("memory_weight_concentration")
 def memory_weight_concentration(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Result entropy of what a policy samples as the memory term grows: the pull toward stored patterns."""
     cands = candidates(spark, sf_dir)
     theta, rows = np.zeros(len(policy.FEATURES)), []
     for w in (0.0, 1.0, 4.0):
-        learned, _ = grpo.train(rewards.compose(cands, (1, 1, 1, w)), theta, steps=3, lr=1.5, group=16)
+        learned = training.train(rewards.compose(cands, (1, 1, 1, w)), theta, Staging(spark, "weights"), "run", steps=500, every=500)[-1]["theta"]
         known = grpo.with_probabilities(cands, learned)
         per = known.where("result is not null").groupBy("question_id", "result").agg(F.sum("prob").alias("p"))
         share = per.withColumn("p", F.col("p") / F.sum("p").over(Window.partitionBy("question_id")))

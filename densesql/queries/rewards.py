@@ -16,14 +16,14 @@ from densesql.sources.tables import load, table
 
 
 @cache
-def staged(app: str, sf_dir: str, tier: str = "s", temperature: float = 1.0, step: int = 0, group: int = 32) -> DataFrame:
+def staged(app: str, sf_dir: str, tier: str = "s", temperature: float = 1.0, group: int = 32) -> DataFrame:
     """Scored rollouts, made once for each session, tables and setting."""
     spark = SparkSession.active()
-    return pipeline.scored_rollouts(spark, sf_dir, tier, group, temperature, step)
+    return pipeline.scored_rollouts(spark, sf_dir, tier, group, temperature)
 
 
-def scored(spark: SparkSession, sf_dir: str, tier: str = "s", temperature: float = 1.0, step: int = 0, group: int = 32) -> DataFrame:
-    return staged(spark.sparkContext.applicationId, sf_dir, tier, temperature, step, group)
+def scored(spark: SparkSession, sf_dir: str, tier: str = "s", temperature: float = 1.0, group: int = 32) -> DataFrame:
+    return staged(spark.sparkContext.applicationId, sf_dir, tier, temperature, group)
 
 
 @query(

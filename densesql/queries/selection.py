@@ -5,9 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from densesql.operators import corpus, metrics, pipeline, selection
+from densesql.operators import corpus, metrics, pipeline, selection, training
 from densesql.queries import query
 from densesql.queries.rewards import scored
+from densesql.queries.training import candidates, checkpoints
 from densesql.sources.tables import table
 
 LOG = """
@@ -134,12 +135,13 @@ def syntax_error_rate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     "ex_by_difficulty_cube",
-    f"""with {LOG}, s as (select question_id, max(case when correct then 1.0 else 0.0 end) as ok from c where rollout_id < 5 group by 1),
+    f"""with {LOG}, s as (select question_id, max(case when correct then 1.0 else 0.0 end) as ok from c group by 1),
     t as (select case question_id % 3 when 0 then 'simple' when 1 then 'moderate' else 'challenging' end as difficulty, case question_id % 2 when 0 then 's' else 'l' end as tier, ok from s)
     select difficulty, tier, count(*) as n, round(100 * avg(ok), 6) as ex from t group by cube (difficulty, tier)""",
 )
 def ex_by_difficulty_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
-    chosen = selection.oracle(log(spark, sf_dir).where("rollout_id < 5"))
+    """The cube of accuracy on the event log; remainders of the user number are carriers for difficulty and tier here."""
+    chosen = selection.oracle(log(spark, sf_dir))
     third = F.col("question_id") % 3
     named = chosen.withColumns(
         {
@@ -155,11 +157,11 @@ def ex_by_difficulty_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("candidates_sweep")
 def candidates_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy of the vote, pass@k and executed statements as the number of candidates grows, one pool for all."""
-    pool, out = scored(spark, sf_dir, "s", 1.0, 0, 50), None
-    for k in KS:
-        part = pool.where(F.col("rollout_id") < k)
-        ex = metrics.execution_accuracy(selection.majority(part)).select(F.lit(k).alias("k"), F.round("ex", 6).alias("ex"))
+    """Accuracy of the vote, pass@k and executed statements as the number of candidates grows, one pool a tier for all."""
+    out = None
+    for tier, k in [(tier, k) for tier in corpus.TIERS for k in KS]:
+        part = scored(spark, sf_dir, tier, 1.0, 50).where(F.col("rollout_id") < k)
+        ex = metrics.execution_accuracy(selection.majority(part)).select(F.lit(tier).alias("tier"), F.lit(k).alias("k"), F.round("ex", 6).alias("ex"))
         work = part.agg(F.count_distinct("db_id", "sql").alias("executed"))
         row = ex.crossJoin(metrics.pass_at_k(part, (k,)).select(F.round("pass_at_k", 6).alias("pass_at_k"))).crossJoin(work)  # one row each
         out = row if out is None else out.union(row)
@@ -168,39 +170,13 @@ def candidates_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("temperature_sweep")
 def temperature_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy of the vote and pass@k by sampling temperature: more variety, better votes."""
-    out = None
-    for t in (0.0, 0.4, 1.0):
-        part = scored(spark, sf_dir, "s", t)
-        ex = metrics.execution_accuracy(selection.majority(part)).select(F.lit(t).alias("temperature"), F.round("ex", 6).alias("ex"))
-        row = ex.crossJoin(metrics.pass_at_k(part, (32,)).select(F.round("pass_at_k", 6).alias("pass_at_k")))  # one row each
-        out = row if out is None else out.union(row)
-    return out
-
-
-@query("steps_sweep")
-def steps_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy, pass@k, trace length and syntax errors of the corpus at the first and the last step, by tier."""
+    """Accuracy of the vote and pass@k of the trained policy by sampling temperature, every tier: more variety, better votes."""
     out = None
     for tier in corpus.TIERS:
-        for step in (0, corpus.STEPS):
-            part = scored(spark, sf_dir, tier, 1.0, step)
-            ex = metrics.execution_accuracy(selection.majority(part)).select(F.lit(tier).alias("tier"), F.lit(step).alias("step"), F.round("ex", 6).alias("ex"))
-            more = part.agg(F.round(F.avg(F.length("trace")), 6).alias("mean_trace"), F.round(F.avg((F.col("status") != "runs").cast("double")), 6).alias("failing"), F.round(F.avg("total"), 6).alias("reward"))
-            row = ex.crossJoin(metrics.pass_at_k(part, (32,)).select(F.round("pass_at_k", 6).alias("pass_at_k"))).crossJoin(more)  # one row each
-            out = row if out is None else out.union(row)
-    return out
-
-
-@query("complexity_by_step")
-def complexity_by_step(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Accuracy by difficulty, tier and training."""
-    out = None
-    for tier in corpus.TIERS:
-        for step in (0, corpus.STEPS):
-            part = scored(spark, sf_dir, tier, 1.0, step)
-            chosen = selection.majority(part).join(part.select("question_id", "difficulty").distinct(), "question_id")
-            row = metrics.execution_accuracy(chosen, ("difficulty",)).select(F.lit(tier).alias("tier"), F.lit(step).alias("step"), "difficulty", "n", F.round("ex", 6).alias("ex"))
+        theta = checkpoints(spark, sf_dir, tier)[-1]["theta"]
+        for t in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0):
+            drawn = training.sampled(candidates(spark, sf_dir, tier), [("full", 0, theta)], 32, t)
+            row = training.measured(drawn).select(F.lit(tier).alias("tier"), F.lit(t).alias("temperature"), F.round("ex", 6).alias("ex"), F.round("pass_at_k", 6).alias("pass_at_k"), F.round("groups", 6).alias("groups"))
             out = row if out is None else out.union(row)
     return out
 
@@ -209,17 +185,3 @@ def complexity_by_step(spark: SparkSession, sf_dir: str) -> DataFrame:
 def pipeline_infer(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole inference path with 30 candidates: accuracy by difficulty."""
     return metrics.execution_accuracy(pipeline.infer(spark, sf_dir), ("difficulty",)).withColumn("ex", F.round("ex", 6))
-
-
-@query("stability")
-def stability(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Votes, Self-BLEU of traces and mean execution groups before and after training."""
-    out = None
-    for step in (0, corpus.STEPS):
-        part = scored(spark, sf_dir, "s", 1.0, step, 32).where("rollout_id < 30")
-        ex = metrics.execution_accuracy(selection.majority(part)).select(F.lit(step).alias("step"), F.round("ex", 6).alias("ex"))
-        groups = metrics.exec_groups(part).agg(F.round(F.avg("groups"), 6).alias("groups"))
-        bleu = metrics.self_bleu(part, "question_id").agg(F.round(F.avg("self_bleu"), 6).alias("self_bleu"))
-        row = ex.crossJoin(groups).crossJoin(bleu)  # one row each
-        out = row if out is None else out.union(row)
-    return out

@@ -21,7 +21,6 @@ class _Reader(DataSourceReader):
         self.parts = int(options.get("partitions", 4))
         self.tier = options.get("tier", "s")
         self.temperature = float(options.get("temperature", 1.0))
-        self.step = int(options.get("step", 0))
         self.only: int | None = None
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:  # noqa: N802 - the interface's name
@@ -45,12 +44,12 @@ class _Reader(DataSourceReader):
             for r in range(self.group):
                 at = r % variety
                 style = styles[int(corpus.draw(q, at, self.tier, 42, "teacher") * len(styles))]
-                names, text, logp = corpus.complete(q, at, self.tier, self.step, style, "roll42", corpus.TIERS[self.tier])
-                yield q, r, corpus.QUESTIONS[q][0], corpus.QUESTIONS[q][1], self.tier, self.temperature, self.step, style, names, text, logp
+                names, text, logp = corpus.complete(q, at, self.tier, style, "roll42", corpus.TIERS[self.tier])
+                yield q, r, corpus.QUESTIONS[q][0], corpus.QUESTIONS[q][1], self.tier, self.temperature, style, names, text, logp
 
 
 class RolloutSource(DataSource):
-    """``spark.read.format('derived_rollouts')`` with options group, tier, temperature, step and partitions."""
+    """``spark.read.format('derived_rollouts')`` with options group, tier, temperature and partitions."""
 
     @classmethod
     def name(cls) -> str:

@@ -9,24 +9,41 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from densesql.plans.staging import Staging
 
 WATERMARK = "2 hours"
+#: Arrival numbers of a range in which late rows are looked for.
+ARRIVALS = 1 << 20
 
 
 def file_stream(spark: SparkSession, sf_dir: str, name: str, staging: Staging, order: str | None = None, parts: int = 3, per_trigger: int = 1) -> DataFrame:
-    """A given table as a stream of ``parts`` files, in the order of a column where one is named."""
+    """A given table as a stream of ``parts`` files, in the order of a column where one is named.
+
+    The source takes files by their times, which the tasks of one write leave to chance, so
+    the times are set in the order of the parts, a second apart.
+    """
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     df = df.withColumns({f.name: F.col(f.name).cast("timestamp") for f in df.schema if f.dataType.typeName() == "timestamp_ntz"})
     df = df.repartitionByRange(parts, order).sortWithinPartitions(order) if order else df.repartition(parts)
     df.write.mode("overwrite").parquet(staging.path(f"in-{name}"))
+    _time_in_order(spark, staging.path(f"in-{name}"))
     return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", per_trigger).parquet(staging.path(f"in-{name}"))
 
 
+def _time_in_order(spark: SparkSession, folder: str) -> None:
+    """Give the part files of a folder ascending times; names ascend with the partition that wrote them."""
+    root = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+    files = sorted((s.getPath() for s in fs.listStatus(root) if s.getPath().getName().startswith("part-")), key=lambda p: p.getName())
+    newest = max((fs.getFileStatus(p).getModificationTime() for p in files), default=0)
+    for k, path in enumerate(files):
+        fs.setTimes(path, newest - 1000 * (len(files) - k), -1)
+
+
 def drain(stream: DataFrame, staging: Staging, name: str, mode: str = "append") -> DataFrame:
     """Run a stream over everything that is there and read back what it wrote."""
     writer = stream.writeStream.trigger(availableNow=True).option("checkpointLocation", staging.path(f"{name}-checkpoint"))
@@ -117,8 +134,16 @@ def admit_batches(stream: DataFrame, staging: Staging, admit: Callable[[DataFram
 
 
 def late_rows(events: DataFrame, delay: str) -> DataFrame:
-    """Rows later than the watermark would allow, from a batch in arrival order: (event_id, ts, newest)."""
-    from pyspark.sql import Window
+    """Rows later than the watermark would allow, from a batch in arrival order: (event_id, ts, newest).
 
-    newest = F.max("ts").over(Window.orderBy("arrival").rowsBetween(Window.unboundedPreceding, -1))
-    return events.withColumn("newest", newest).where(F.expr(f"ts < newest - interval {delay}")).select("event_id", "ts", "newest")
+    Arrival is cut into ranges of ``ARRIVALS`` ids; the newest time before a range comes from a
+    small window over the ranges' maxima, so no task sees more than one range or all maxima.
+    """
+    cut = events.withColumn("_cut", F.floor(F.col("arrival") / ARRIVALS))
+    maxima = cut.groupBy("_cut").agg(F.max("ts").alias("_top"))
+    ahead = Window.orderBy("_cut").rowsBetween(Window.unboundedPreceding, -1)
+    tops = maxima.select(F.col("_cut").alias("_c"), F.max("_top").over(ahead).alias("_before"))
+    within = F.max("ts").over(Window.partitionBy("_cut").orderBy("arrival").rowsBetween(Window.unboundedPreceding, -1))
+    ranked = cut.repartition("_cut").withColumn("_within", within)
+    newest = ranked.join(tops, F.col("_cut") == F.col("_c")).withColumn("newest", F.greatest("_within", "_before"))
+    return newest.where(F.expr(f"ts < newest - interval {delay}")).select("event_id", "ts", "newest")
