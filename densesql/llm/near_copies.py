@@ -124,7 +124,8 @@ def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int =
     entries = distinct.select("sid", "n", F.posexplode("prefix").alias("i", "w"))
     company = entries.withColumn("size", F.count(F.lit(1)).over(Window.partitionBy("w"))).where("size > 1").drop("size")
     shared = staging.table(company, "shared")
-    close = staging.table(_likely(_close_pairs(distinct.where("n > 0"), staging), distinct), "close")
+    near = staging.table(_close_pairs(distinct.where("n > 0"), staging), "near")
+    close = staging.table(_likely(near, distinct), "close")
     needed = shared.select("sid").union(close.select(F.explode(F.array("u", "v")))).distinct()
     ids = distinct.join(needed, "sid", "left_semi").select("sid", "first.row_id")
     texts = staging.table(printed.select("row_id", "text").join(ids, "row_id").select("sid", "text"), "texts")
@@ -138,10 +139,11 @@ def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int =
             met = flat.select("*", *[F.col("e")[x].alias(f"e{x}") for x in ("sid", "n", "i", "root")])
         else:
             several = rooted.groupBy("w").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo != hi").select("w")
-            left = rooted.join(several, "w", "left_semi")
+            left = staging.table(rooted.join(several, "w", "left_semi"), "left")  # a pass of its own, whose shuffles end with it
             met = left.join(left.select("w", *[F.col(x).alias(f"e{x}") for x in ("sid", "n", "i", "root")]), "w").where("root < eroot")
         pairs = met.where(_fits("e") & (F.col("root") != F.col("eroot"))).select(F.least("sid", "esid").alias("u"), F.greatest("sid", "esid").alias("v"))
-        likely = staging.table(_likely(pairs.distinct(), distinct), f"pairs-{k}")
+        pairs = staging.table(pairs.distinct(), f"met-{k}")
+        likely = staging.table(_likely(pairs, distinct), f"pairs-{k}")
         new = staging.table(_verify(likely, texts, size), f"similar-{k}")
         found = found.union(new)
         roots = connected_components(found, Staging(printed.sparkSession, f"copies-{k}"))
