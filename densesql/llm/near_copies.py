@@ -41,6 +41,8 @@ FIFTHS = 4
 CLASSES = 1 << 16
 #: Bits of a set's bitmap, a power of two: two bitmaps differ in no more bits than their sets in members.
 BITMAP = 2048
+#: Shingles of candidate pairs that are compared in one pass; more of them go in PASSES passes, whose shuffles end one by one.
+ONE_PASS, PASSES = 8 << 20, 8
 #: Rounds in which a set meets one other per shingle, after the round of fingerprints.
 ROUNDS = 1
 
@@ -103,6 +105,18 @@ def _verify(pairs: DataFrame, texts: DataFrame, size: int) -> DataFrame:
     return both.where(5 * F.col("same") >= FIFTHS * (F.size("mu") + F.size("mv") - F.col("same"))).select("u", "v")
 
 
+def _verified(pairs: DataFrame, distinct: DataFrame, texts: DataFrame, size: int, staging: Staging, name: str) -> DataFrame:
+    """``_verify`` of staged pairs, staged; the number of passes changes what is on disk at once and nothing else."""
+    carried = pairs.join(distinct.select(F.col("sid").alias("u"), "n"), "u").agg(F.sum("n")).first()[0] or 0
+    passes = PASSES if carried > ONE_PASS else 1
+    found = None
+    for k in range(passes):
+        part = pairs.where(F.pmod(F.xxhash64("u", "v"), F.lit(passes)) == k)
+        new = staging.table(_verify(part, texts, size), f"{name}-{k}")
+        found = new if found is None else found.union(new)
+    return found
+
+
 def _close_pairs(distinct: DataFrame, staging: Staging) -> DataFrame:
     """(u, v): sets of equal fingerprints, and one set each of fingerprints that the covering tables link."""
     by_fp = staging.table(distinct.groupBy("fp").agg(F.min("sid").alias("low")), "prints")
@@ -129,7 +143,7 @@ def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int =
     needed = shared.select("sid").union(close.select(F.explode(F.array("u", "v")))).distinct()
     ids = distinct.join(needed, "sid", "left_semi").select("sid", "first.row_id")
     texts = staging.table(printed.select("row_id", "text").join(ids, "row_id").select("sid", "text"), "texts")
-    found = staging.table(_verify(close, texts, size), "similar")
+    found = _verified(close, distinct, texts, size, staging, "similar")
     roots = connected_components(found, Staging(printed.sparkSession, "copies"))
     for k in range(rounds + 1):
         rooted = shared.join(roots, shared["sid"] == roots["node"], "left").select("sid", "n", "i", "w", F.coalesce("root", "sid").alias("root"))
@@ -144,7 +158,7 @@ def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int =
         pairs = met.where(_fits("e") & (F.col("root") != F.col("eroot"))).select(F.least("sid", "esid").alias("u"), F.greatest("sid", "esid").alias("v"))
         pairs = staging.table(pairs.distinct(), f"met-{k}")
         likely = staging.table(_likely(pairs, distinct), f"pairs-{k}")
-        new = staging.table(_verify(likely, texts, size), f"similar-{k}")
+        new = _verified(likely, distinct, texts, size, staging, f"similar-{k}")
         found = found.union(new)
         roots = connected_components(found, Staging(printed.sparkSession, f"copies-{k}"))
     return distinct.select("sid", "first"), roots
