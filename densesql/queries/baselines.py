@@ -59,36 +59,24 @@ def medoid_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _PREFER = """
-c as (select source as question_id, doc_id as rollout_id, quality = 1 as correct, -n_chars / 1000.0 as logp from documents join labels using (doc_id) where n_chars < 600),
+c as (select source as question_id, doc_id as rollout_id, quality = 1 as correct, -n_chars / 1000.0 as logp from documents join labels using (doc_id)),
 p as (select g.question_id, g.rollout_id as chosen, b.rollout_id as rejected, g.logp - b.logp as margin from c g join c b on g.question_id = b.question_id and g.correct and not b.correct)
 """
 
 
-def _labelled(spark: SparkSession, sf_dir: str, rows: str = "true") -> DataFrame:
-    docs = table(spark, sf_dir, "documents", "doc_id", "source", "n_chars").where(rows).join(table(spark, sf_dir, "labels"), "doc_id")
+def _labelled(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "source", "n_chars").join(table(spark, sf_dir, "labels"), "doc_id")
     return docs.select(F.col("source").alias("question_id"), F.col("doc_id").alias("rollout_id"), (F.col("quality") == 1).alias("correct"), (-F.col("n_chars") / 1000.0).alias("logp"))
 
 
 @query("preference_pairs", f"with {_PREFER} select question_id, chosen, rejected, round(margin, 6) as margin from p")
 def preference_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Labelled documents under 600 characters only, as its SQL has it; ``preference_pairs_whole`` takes all."""
-    return baselines.preference_pairs(_labelled(spark, sf_dir, "n_chars < 600")).withColumn("margin", F.round("margin", 6))
-
-
-@query("preference_loss", f"with {_PREFER} select count(*) as n, round(avg(ln(1 + exp(-0.1 * margin))), 6) as loss from p")
-def preference_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Over the pairs of ``preference_pairs``; ``preference_loss_whole`` takes all."""
-    return baselines.preference_loss(baselines.preference_pairs(_labelled(spark, sf_dir, "n_chars < 600"))).withColumn("loss", F.round("loss", 6))
-
-
-@query("preference_pairs_whole")
-def preference_pairs_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All labelled documents of a source as chosen and rejected; every pair is kept."""
     return baselines.preference_pairs(_labelled(spark, sf_dir)).withColumn("margin", F.round("margin", 6))
 
 
-@query("preference_loss_whole")
-def preference_loss_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+@query("preference_loss", f"with {_PREFER} select count(*) as n, round(avg(ln(1 + exp(-0.1 * margin))), 6) as loss from p")
+def preference_loss(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The loss over all those pairs, which are never written out."""
     return baselines.preference_loss_whole(_labelled(spark, sf_dir)).withColumn("loss", F.round("loss", 6))
 

@@ -18,9 +18,9 @@ def test_preferences_keep_every_pair(spark):
     assert (row["n"], row["loss"]) == (len(margins), pytest.approx(sum(math.log1p(math.exp(-0.1 * m)) for m in margins) / len(margins)))
 
 
-def test_whole_preference_queries_take_every_labelled_document(spark, sf_dir):
+def test_preference_queries_take_every_labelled_document(spark, sf_dir):
     queries = contract.queries()
     docs, labels = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "labels"))
     sizes = docs.join(labels, "doc_id").groupBy("source").agg(F.count_if(F.expr("quality = 1")).alias("a"), F.count_if(F.expr("quality != 1")).alias("b"))
     want = sizes.agg(F.sum(F.col("a") * F.col("b"))).first()[0]
-    assert queries["preference_pairs_whole"](spark, sf_dir).count() == queries["preference_loss_whole"](spark, sf_dir).first()["n"] == want
+    assert queries["preference_pairs"](spark, sf_dir).count() == queries["preference_loss"](spark, sf_dir).first()["n"] == want
