@@ -1,21 +1,26 @@
 """Quality rules with risk-controlled thresholds.
 
 Base rules reject very short texts and texts that mostly repeat themselves.  Further
-rules measure a text in thousandths (marks, capitals, repeated words, repeated lines)
-and reject from a cutoff up.  Cutoffs come from the labelled documents alone: for each
-stratum (language) and rule, candidates are tested from the mildest down with the exact
-binomial law, at most ``alpha`` of the stratum's good documents being rejected, and the
-first failure ends the sequence, which needs no further correction.  Across strata and
-rules the error ``delta`` is divided by their number.  Of the certified cutoffs the
-mildest one that catches as many bad labelled documents as the strictest is taken; a
-stratum with too few labels to certify anything gets no cutoff.
-
-Labels are joined to all documents and counted per value (a thousand values at most a
-stratum and rule).  A doc_id whose labels disagree, or without a label, does not count.
+rules measure a text in thousandths (marks, capitals, repeated words, repeated lines).
+A text's severity is the largest of the four, each at a fixed weight, and the method
+rejects from a cutoff of severity up, so one cutoff stands for all rules together.
+Cutoffs come from the labelled documents alone: for each stratum (language) they are
+tested from the strictest down with the exact binomial law, at most ``alpha`` of the
+stratum's good documents being rejected by any rule, and the first failure ends the
+sequence, which needs no further correction.  Across strata the error ``delta`` is
+divided by their number.  All certified cutoffs hold at once, so any may be chosen: the
+one that catches the most bad labelled documents less the good ones, the mildest at a
+tie.  A stratum with too few labels to certify anything gets no cutoff.
+
+The guarantee is on good documents that pass the base rule, which is given and has no
+parameter; what it rejects is not the method's to limit.  A doc_id counts once, by the
+highest severity of its rows, so repeated rows add nothing to the law's sample.  Labels
+are joined to all documents and counted per value of severity.  A doc_id whose labels
+disagree, or without a label, does not count.
 
 Defined results: a null or empty text has no words and fails the base rule; a null
 language is a stratum of its own; a null doc_id has no label; repeated rows give one
-result row each (and count as often, where labelled); other columns are ignored.
+result row each; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,7 +31,7 @@ from collections.abc import Callable
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from densesql.llm.common import documents, map_rows, numbered
@@ -39,10 +44,11 @@ SPACES = " \t\n\x0b\x0c\r"
 #: Marks that running text seldom has.
 MARKS = "".join(c for c in string.punctuation if c not in ".,'-").encode()
 CAPITALS = string.ascii_uppercase.encode()
-RULES = ("marks", "capitals", "repeats", "lines")
+#: The rules and the weight of each in a text's severity.
+RULES = {"marks": 4, "capitals": 2, "repeats": 1, "lines": 1}
 
-#: False rejection allowed to each rule in a stratum, and the chance that any bound fails.
-ALPHA, DELTA = 0.005, 0.05
+#: False rejection allowed to all rules together in a stratum, and the chance that any bound fails.
+ALPHA, DELTA = 0.02, 0.05
 #: Up to so many strata the cutoffs are broadcast; beyond that they are joined.
 BROADCAST_STRATA = 10_000
 
@@ -138,44 +144,41 @@ def most_rejections(n: int, alpha: float, delta: float) -> int:
 
 
 def pick_cutoff(values: np.ndarray, good: np.ndarray, bad: np.ndarray, alpha: float, delta: float) -> int | None:
-    """The cutoff for one stratum and rule from label counts by value; None if none is certified."""
+    """The cutoff for one stratum from label counts by value; None if none is certified or worth it."""
     allowed = most_rejections(int(good.sum()), alpha, delta)
     order = np.argsort(-values, kind="stable")
-    values, good, bad = values[order], good[order], bad[order]
-    certified = (np.cumsum(good) <= allowed) & (values > 0)
-    caught = certified & (bad > 0)
-    return int(values[caught].min()) if caught.any() else None
+    values, good, bad = values[order], np.cumsum(good[order]), np.cumsum(bad[order])
+    certified = (good <= allowed) & (values > 0)
+    worth = np.where(certified, bad - good, 0)
+    return int(values[worth.argmax()]) if worth.size and worth.max() > 0 else None
+
+
+def severity() -> Column:
+    return F.greatest(*[F.col(rule) * weight for rule, weight in RULES.items()])
 
 
 def cutoffs(rows: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> DataFrame:
-    """(stratum, cut_marks, cut_capitals, ...) with null where nothing is certified."""
+    """(stratum, cut) with null where nothing is certified."""
     agreed = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("lo"), F.max("quality").alias("hi"))
     agreed = agreed.where("lo = hi").select("doc_id", F.col("lo").alias("quality"))
-    each = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), F.col(r).alias("value")) for r in RULES])).alias("m")
-    held = rows.where("not base_failed").select("doc_id", "stratum", *RULES).join(agreed, "doc_id").select("stratum", "quality", each)
-    counts = held.groupBy("stratum", "m.rule", "m.value").agg(F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("quality") != 1).alias("bad"))
-    strata = max(1, counts.select("stratum").distinct().count())
-    share = delta / (strata * len(RULES))
+    held = rows.where("not base_failed").select("doc_id", "stratum", severity().alias("value")).join(agreed, "doc_id")
+    once = held.groupBy("stratum", "doc_id", "quality").agg(F.max("value").alias("value"))
+    counts = once.groupBy("stratum", "value").agg(F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("quality") != 1).alias("bad"))
+    share = delta / max(1, rows.select("stratum").distinct().count())
 
     def choose(pdf: pd.DataFrame) -> pd.DataFrame:
-        out = {"stratum": [pdf["stratum"].iloc[0]]}
-        for rule in RULES:
-            part = pdf[pdf["rule"] == rule]
-            cut = pick_cutoff(part["value"].to_numpy(), part["good"].to_numpy(), part["bad"].to_numpy(), alpha, share)
-            out[f"cut_{rule}"] = pd.Series([cut], dtype="Int32")
-        return pd.DataFrame(out)
+        cut = pick_cutoff(pdf["value"].to_numpy(), pdf["good"].to_numpy(), pdf["bad"].to_numpy(), alpha, share)
+        return pd.DataFrame({"stratum": [pdf["stratum"].iloc[0]], "cut": pd.Series([cut], dtype="Int32")})
 
-    schema = "stratum string, " + ", ".join(f"cut_{r} int" for r in RULES)
-    return counts.groupBy("stratum").applyInPandas(choose, schema)
+    return counts.groupBy("stratum").applyInPandas(choose, "stratum string, cut int")
 
 
 def judge(rows: DataFrame, labels: DataFrame, staging: Staging, alpha: float = ALPHA, delta: float = DELTA) -> DataFrame:
     """``rows`` (staged, from ``measured``) with a boolean column ``kept``."""
     cuts = staging.table(cutoffs(rows, labels, alpha, delta).withColumnRenamed("stratum", "cut_stratum"), "cuts")
     cuts = F.broadcast(cuts) if cuts.count() <= BROADCAST_STRATA else cuts
-    over = [F.coalesce(F.col(r) >= F.col(f"cut_{r}"), F.lit(False)) for r in RULES]
     joined = rows.join(cuts, F.col("stratum") == F.col("cut_stratum"), "left")
-    return joined.withColumn("kept", ~(F.col("base_failed") | over[0] | over[1] | over[2] | over[3])).select(*rows.columns, "kept")
+    return joined.withColumn("kept", ~(F.col("base_failed") | F.coalesce(severity() >= F.col("cut"), F.lit(False)))).select(*rows.columns, "kept")
 
 
 def quality(docs: DataFrame, labels: DataFrame, stratum: str = "lang", alpha: float = ALPHA, delta: float = DELTA) -> DataFrame:

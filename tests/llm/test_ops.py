@@ -528,6 +528,32 @@ def test_quality_cutoffs_on_labels(spark):
     assert got.where("kept != (doc_id % 9 != 0)").count() == 0
 
 
+def test_quality_bounds_the_union_of_rules_on_distinct_documents(spark):
+    """Every rule alone would be within alpha; together they are not, and repeats of a row do not buy power."""
+    names = list(op9_quality.RULES)
+    base = {"n_words": 50, "word_chars": 250, "n_symbols": 0, "n_dup_lines": 0, "n_repeat_words": 0, "base_failed": False}
+
+    def table(values):
+        return spark.createDataFrame([(k, "0en", *base.values(), *v) for k, v in enumerate(values)], op9_quality.MEASURED)
+
+    def one(rule, value):
+        return [value // op9_quality.RULES[r] if r == rule else 0 for r in names]
+
+    good = [one(names[k % 4], 400) if k < 40 else one(names[0], 0) for k in range(1500)]  # 10 of each rule, 2.7 % together
+    bad = [one(names[k % 4], 400) for k in range(60)]
+    rows = table(good + bad)
+    labels = rows.selectExpr("doc_id", "cast(doc_id < 1500 as int) as quality")
+    assert op9_quality.most_rejections(1500, 0.02, 0.05) >= 10
+    assert [r["cut"] for r in op9_quality.cutoffs(rows, labels, 0.02).collect()] == [None]
+    few = table([one(names[0], 0)] * 60 + bad)
+    labels = few.selectExpr("doc_id", "cast(doc_id < 60 as int) as quality")
+    often = few.unionAll(few).unionAll(few).unionAll(few)
+    assert [r["cut"] for r in op9_quality.cutoffs(often, labels, 0.02).collect()] == [None]
+    many = table([one(names[0], 0)] * 400 + bad)
+    labels = many.selectExpr("doc_id", "cast(doc_id < 400 as int) as quality")
+    assert [r["cut"] for r in op9_quality.cutoffs(many, labels, 0.02).collect()] == [400]
+
+
 # --- benchmark
 
 
