@@ -43,6 +43,8 @@ CLASSES = 1 << 16
 BITMAP = 2048
 #: Shingles of candidate pairs that are compared in one pass; more of them go in PASSES passes, whose shuffles end one by one.
 ONE_PASS, PASSES = 8 << 20, 8
+#: Up to so many pairs (16 bytes each) their ids are broadcast; beyond that they are joined.
+FEW_PAIRS = 1 << 20
 #: Rounds in which a set meets one other per shingle, after the round of fingerprints.
 ROUNDS = 1
 
@@ -92,9 +94,13 @@ def _likely(pairs: DataFrame, distinct: DataFrame) -> DataFrame:
     return both.where(apart <= F.col("nu") + F.col("nv") - 2 * _least(F.col("nu"), F.col("nv"))).select("u", "v")
 
 
-def _verify(pairs: DataFrame, texts: DataFrame, size: int) -> DataFrame:
-    """(u, v): the pairs whose sets are similar indeed; ``texts`` has (sid, text), one row a set."""
+def _verify(pairs: DataFrame, texts: DataFrame, size: int, few: bool) -> DataFrame:
+    """(u, v): the pairs whose sets are similar indeed; ``texts`` has (sid, text), one row a set.
+
+    Where the pairs are ``few`` their ids go to the texts, which then are not shuffled.
+    """
     ids = pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct()
+    ids = F.broadcast(ids) if few else ids
 
     def make() -> Callable:
         return lambda sids, given: [(s, shingles(t, size).view(np.int64).tolist()) for s, t in zip(sids, given, strict=True)]
@@ -107,12 +113,12 @@ def _verify(pairs: DataFrame, texts: DataFrame, size: int) -> DataFrame:
 
 def _verified(pairs: DataFrame, distinct: DataFrame, texts: DataFrame, size: int, staging: Staging, name: str) -> DataFrame:
     """``_verify`` of staged pairs, staged; the number of passes changes what is on disk at once and nothing else."""
-    carried = pairs.join(distinct.select(F.col("sid").alias("u"), "n"), "u").agg(F.sum("n")).first()[0] or 0
-    passes = PASSES if carried > ONE_PASS else 1
+    count, carried = pairs.join(distinct.select(F.col("sid").alias("u"), "n"), "u").agg(F.count("n"), F.sum("n")).first()
+    passes = PASSES if (carried or 0) > ONE_PASS else 1
     found = None
     for k in range(passes):
         part = pairs.where(F.pmod(F.xxhash64("u", "v"), F.lit(passes)) == k)
-        new = staging.table(_verify(part, texts, size), f"{name}-{k}")
+        new = staging.table(_verify(part, texts, size, count <= FEW_PAIRS), f"{name}-{k}")
         found = new if found is None else found.union(new)
     return found
 

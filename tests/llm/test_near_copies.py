@@ -3,6 +3,8 @@
 import random
 
 import corpus_pipeline
+import pytest
+from densesql.llm import near_copies
 
 
 def brute_stays(given):
@@ -27,7 +29,11 @@ def brute_stays(given):
     return sorted(min(ids) for ids in groups.values())
 
 
-def test_stage_finds_planted_near_copies(spark, sf_dir):
+@pytest.mark.parametrize("few, one_pass", [(near_copies.FEW_PAIRS, near_copies.ONE_PASS), (0, 0)])
+def test_stage_finds_planted_near_copies(spark, sf_dir, monkeypatch, few, one_pass):
+    """The same rows stay whether ids are broadcast or joined, in one pass or in several."""
+    monkeypatch.setattr(near_copies, "FEW_PAIRS", few)
+    monkeypatch.setattr(near_copies, "ONE_PASS", one_pass)
     rng, given = random.Random(5), [(0, None), (1, " \n"), (2, "a few words"), (3, "A few  words"), (4, "a few others")]
     for base in range(12):  # copies with 0 to 8 of 200 words changed: similarities from 1 to about 0.67
         words = [f"w{rng.randrange(500)}" for _ in range(200)]
