@@ -6,9 +6,10 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from densesql.operators import corpus, grpo, policy, rewards, sft, training
+from densesql.operators import corpus, grpo, metrics, policy, rewards, sft, training
 from densesql.plans.staging import Staging
 from densesql.queries import query
+from densesql.queries.rewards import scored
 from densesql.queries.training import candidates
 from densesql.sources.tables import table
 
