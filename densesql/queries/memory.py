@@ -317,7 +317,7 @@ def ann_srp_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
 def mem_text_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Memory reward of hashed documents against the verified ones of other sources."""
     docs = table(spark, sf_dir, "documents", "doc_id", "source", "text")
-    encoded = embed.encode(docs, "doc_id", "text", dims=128, keep=("source",))
+    encoded = Staging(spark, "traces").table(embed.encode(docs, "doc_id", "text", dims=128, keep=("source",)), "encoded")
     labels = table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select("doc_id")
     store = encoded.join(labels, "doc_id", "left_semi").select(F.col("doc_id").alias("entry_id"), F.col("source").alias("db_id"), "embedding")
     asked = encoded.select(F.col("doc_id").alias("query_id"), F.col("source").alias("db_id"), "embedding")
