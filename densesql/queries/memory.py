@@ -295,10 +295,12 @@ def _recall(spark: SparkSession, sf_dir: str, index: str, clustered: bool) -> Da
         probes = ann.calibrate_probes(ann.fitting_sample(m), centres, 10, 0.97)
         pairs = staging.table(ann.ivf_pairs(q, built, probes, "mixed"), "pairs")
         found = ann.completed(q, ann.ranked(pairs, 10), 10, lambda starved: ann.ivf_pairs(starved, built, len(centres), "mixed"))
+        scored = pairs.agg(F.count(F.lit(1)).alias("n"))
     else:
-        pairs = staging.table(ann.srp_pairs(q, m, "mixed", 4, 24), "pairs")
-        found = ann.completed(q, ann.ranked(pairs, 10), 10, lambda starved: ann.srp_pairs(starved, m, "mixed", 0, 1))
-    share = pairs.agg((F.count(F.lit(1)) / F.lit(max(1, q.count() * m.count()))).alias("scored"))
+        best = staging.table(ann.srp_best(q, m, 10, "mixed", 4, 24), "best")
+        found = ann.completed(q, best.drop("scored"), 10, lambda starved: ann.srp_best(starved, m, 10, "mixed", 0, 1).drop("rank", "scored"))
+        scored = best.where("rank = 1").agg(F.coalesce(F.sum("scored"), F.lit(0)).alias("n"))
+    share = scored.select((F.col("n") / F.lit(max(1, q.count() * m.count()))).alias("scored"))
     recall = ann.recall_at_k(found, exact).crossJoin(share)  # one row each
     return recall.select(F.lit(index).alias("index"), F.lit("clustered" if clustered else "given").alias("vectors"), "k", "n_queries", F.round("recall", 6).alias("recall"), F.round("scored", 6).alias("scored"))
 
