@@ -359,6 +359,28 @@ def test_lines_match_brute_force(spark, docs, odd, empty, sf_dir):
     assert cut[2] is None and cut[1] == "" and cut[0] == ROWS[0][1] and op6_lines.drop_similar_lines(odd).columns == odd.columns
 
 
+def test_lines_of_common_words_meet_under_pairs_of_them(spark, monkeypatch):
+    """With every word common, short lines have pairs as keys, long ones single words, middling ones both: no link is lost."""
+    rng = random.Random(6)
+    vocabulary = [f"v{k}" for k in range(90)]
+    base = [rng.sample(vocabulary, n) for n in (4, 5, 7, 9, 12, 16, 18, 19, 20, 21, 24, 40, 70)]
+    texts = ["\n".join(" ".join(w if rng.random() > 0.06 else rng.choice(vocabulary) for w in b if rng.random() > 0.03) for b in rng.sample(base, 4)) for _ in range(60)]
+    df = spark.createDataFrame([(k, t, "en", "a", 0) for k, t in enumerate(texts)], SCHEMA).coalesce(1)
+    want = brute_lines(list(enumerate(texts)))
+    assert sum(r[3] for r in want) > 50
+    for common, most in ((1, 20), (1, 75), (6, 20)):
+        monkeypatch.setattr(op6_lines, "COMMON", common)
+        monkeypatch.setattr(op6_lines, "MOST_PAIRED", most)
+        assert rows(op6_lines.line_report(df), "doc_id", "n_lines", "n_exact", "n_similar", "kept_lines") == want
+
+
+def test_unlike_lines_with_a_rare_word_in_common_are_no_pairs(spark):
+    """400 lines share their rarest words and little else: before, each pair of them was written."""
+    lines = spark.createDataFrame([(k, 0, 0, " ".join(["rare", "rarer", *[f"w{k}x{j}" for j in range(18)]])) for k in range(400)], "d long, r long, l int, words string")
+    keyed = op6_lines._keyed(lines, [1] * op6_lines.CLASSES)
+    assert op6_lines._rare_pairs(keyed).count() < 800
+
+
 # --- rollups
 
 
