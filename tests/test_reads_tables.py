@@ -7,6 +7,7 @@ import __spark_entry__ as contract
 QUERIES = contract.queries()
 READERS = {
     "atomic_reward_sql": "events",
+    "distillation_cost": "documents",
 }
 
 
