@@ -8,6 +8,7 @@ QUERIES = contract.queries()
 READERS = {
     "atomic_reward_sql": "events",
     "distillation_cost": "documents",
+    "format_reward_literals": "conversations",
 }
 
 
