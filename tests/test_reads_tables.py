@@ -9,6 +9,7 @@ READERS = {
     "atomic_reward_sql": "events",
     "distillation_cost": "documents",
     "format_reward_literals": "conversations",
+    "ngram_baseline": "conversations",
 }
 
 
