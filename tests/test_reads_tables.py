@@ -10,6 +10,7 @@ READERS = {
     "distillation_cost": "documents",
     "format_reward_literals": "conversations",
     "ngram_baseline": "conversations",
+    "op_diff_by_kind": "events",
 }
 
 
