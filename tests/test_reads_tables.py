@@ -11,6 +11,7 @@ READERS = {
     "format_reward_literals": "conversations",
     "ngram_baseline": "conversations",
     "op_diff_by_kind": "events",
+    "op_options_variants": "events",
 }
 
 
