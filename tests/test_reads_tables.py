@@ -12,6 +12,7 @@ READERS = {
     "ngram_baseline": "conversations",
     "op_diff_by_kind": "events",
     "op_options_variants": "events",
+    "op_vocabulary": "events",
 }
 
 
