@@ -13,6 +13,7 @@ READERS = {
     "op_diff_by_kind": "events",
     "op_options_variants": "events",
     "op_vocabulary": "events",
+    "prompts": "conversations",
 }
 
 
