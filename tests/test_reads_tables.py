@@ -14,6 +14,7 @@ READERS = {
     "op_options_variants": "events",
     "op_vocabulary": "events",
     "prompts": "conversations",
+    "reward_separation": "lineitem",
 }
 
 
