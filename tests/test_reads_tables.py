@@ -15,6 +15,7 @@ READERS = {
     "op_vocabulary": "events",
     "prompts": "conversations",
     "reward_separation": "lineitem",
+    "reward_total": "lineitem",
 }
 
 
