@@ -11,8 +11,12 @@ shingle under length and position filters and what is left is verified on whole
 
 Equal sets count once from the start.  Groups under a shingle are not expanded at first:
 in a round each set meets only the next one of its group in a shuffled order, which
-joins most of a large group of near copies.  At the end every pair that shares a prefix
-shingle and is still in different components is compared, so none is missed.
+joins most of a large group of near copies, and rounds go on while they do.  At the end
+every pair that shares a prefix shingle and is still in different components is compared,
+so none is missed.  A short sketch in each entry drops most pairs of unlike sets inside
+that join, before they are written.
+
+Texts are not shuffled: rows are picked from the staged table by bitmaps of their ids.
 
 Defined results: a text of fewer words than a shingle is one shingle, a null or blank one
 has the empty set, and both are near copies of equal sets only; null doc_ids come last;
@@ -32,6 +36,7 @@ from xxhash import xxh64_intdigest
 from densesql.llm.common import bounded, map_rows, numbered, small_batches, trimmed
 from densesql.llm.op2_simhash import links, majority, shingle_hashes, signed
 from densesql.plans.components import connected_components
+from densesql.plans.rowset import picked
 from densesql.plans.staging import Staging
 
 SEED, SHINGLE = 42, 5
@@ -43,10 +48,16 @@ CLASSES = 1 << 16
 BITMAP = 2048
 #: Shingles of candidate pairs that are compared in one pass; more of them go in PASSES passes, whose shuffles end one by one.
 ONE_PASS, PASSES = 8 << 20, 8
-#: Up to so many pairs (16 bytes each) their ids are broadcast; beyond that they are joined.
-FEW_PAIRS = 1 << 20
-#: Rounds in which a set meets one other per shingle, after the round of fingerprints.
-ROUNDS = 1
+#: Up to so many pairs their rows are picked by a broadcast bitmap of row ids, about a bit a row; beyond that ids are joined.
+FEW_PAIRS = 1 << 26
+#: Most rounds in which a set meets one other per shingle, after the round of fingerprints.
+ROUNDS = 6
+#: Another round follows one that left at most this share of the pairs still apart, if these are more than the entries.
+WORTH = 0.8
+#: At the end of two components so many pairs are compared first, then as many again, then all that are left if they are still apart.
+WAVES = (1, 8, None)
+#: Longs of an entry's sketch, in which two sets differ in no more bits than in members.
+SKETCH = 4
 
 
 def shingles(text: str | None, size: int = SHINGLE) -> np.ndarray:
@@ -83,7 +94,8 @@ def _fits(other: str) -> Column:
     """Whether two prefix entries, the second with a prefix to its names, may belong to similar sets."""
     n, m = F.col("n"), F.col(f"{other}n")
     room = F.least(n - F.col("i"), m - F.col(f"{other}i"))
-    return (5 * F.least(n, m) >= FIFTHS * F.greatest(n, m)) & (room >= _least(n, m))
+    apart = sum((F.bit_count(F.col(f"s{k}").bitwiseXOR(F.col(f"{other}s{k}"))) for k in range(SKETCH)), F.lit(0))
+    return (5 * F.least(n, m) >= FIFTHS * F.greatest(n, m)) & (room >= _least(n, m)) & (apart <= n + m - 2 * _least(n, m))
 
 
 def _likely(pairs: DataFrame, distinct: DataFrame) -> DataFrame:
@@ -95,17 +107,17 @@ def _likely(pairs: DataFrame, distinct: DataFrame) -> DataFrame:
 
 
 def _verify(pairs: DataFrame, texts: DataFrame, size: int, few: bool) -> DataFrame:
-    """(u, v): the pairs whose sets are similar indeed; ``texts`` has (sid, text), one row a set.
+    """(u, v): the pairs whose sets are similar indeed; ``texts`` has (row_id, text), a set's id being one of its rows'.
 
-    Where the pairs are ``few`` their ids go to the texts, which then are not shuffled.
+    Where the pairs are ``few`` a bitmap of their rows goes to the texts, which then are not shuffled.
     """
-    ids = pairs.select(F.explode(F.array("u", "v")).alias("sid")).distinct()
-    ids = F.broadcast(ids) if few else ids
+    ids = pairs.select(F.explode(F.array("u", "v")).alias("row_id"))
+    wanted = picked(texts, ids, "row_id") if few else texts.join(ids.distinct(), "row_id", "left_semi")
 
     def make() -> Callable:
         return lambda sids, given: [(s, shingles(t, size).view(np.int64).tolist()) for s, t in zip(sids, given, strict=True)]
 
-    sets = map_rows(texts.join(ids, "sid", "left_semi"), ["sid", "text"], "sid long, m array<long>", make)
+    sets = map_rows(wanted, ["row_id", "text"], "sid long, m array<long>", make)
     left, right = (sets.select(F.col("sid").alias(x), F.col("m").alias(f"m{x}")) for x in "uv")
     both = pairs.join(left, "u").join(right, "v").withColumn("same", F.size(F.array_intersect("mu", "mv")))
     return both.where(5 * F.col("same") >= FIFTHS * (F.size("mu") + F.size("mv") - F.col("same"))).select("u", "v")
@@ -133,40 +145,75 @@ def _close_pairs(distinct: DataFrame, staging: Staging) -> DataFrame:
     return both.select(F.least("sid", "low").alias("u"), F.greatest("sid", "low").alias("v")).distinct()
 
 
+def _between(pairs: DataFrame, roots: DataFrame) -> DataFrame:
+    """(u, v, lo, hi): the pairs of different components, with these in order."""
+    ends = [roots.select(F.col("node").alias(x), F.col("root").alias(f"r{x}")) for x in "uv"]
+    both = pairs.join(ends[0], "u", "left").join(ends[1], "v", "left").select("u", "v", F.coalesce("ru", "u").alias("ru"), F.coalesce("rv", "v").alias("rv"))
+    return both.where("ru != rv").select("u", "v", F.least("ru", "rv").alias("lo"), F.greatest("ru", "rv").alias("hi"))
+
+
+def _wave(pairs: DataFrame, roots: DataFrame, most: int, staging: Staging, name: str) -> tuple[DataFrame, DataFrame]:
+    """Up to ``most`` pairs of every two components, and all other pairs."""
+    order = Window.partitionBy("lo", "hi").orderBy(F.xxhash64("u", "v"))
+    ranked = staging.table(_between(pairs, roots).select("u", "v", F.row_number().over(order).alias("k")), name)
+    return ranked.where(F.col("k") <= most).select("u", "v"), ranked.where(F.col("k") > most).select("u", "v")
+
+
+def _apart(left: DataFrame) -> tuple[int, float]:
+    """Entries, and pairs of entries under the same shingle in different components."""
+    counts = left.groupBy("w", "root").agg(F.count(F.lit(1)).alias("c")).groupBy("w").agg(F.sum("c").alias("n"), F.sum(F.col("c").cast("double") * F.col("c")).alias("q"))
+    n, pairs = counts.agg(F.sum("n"), F.sum(F.col("n").cast("double") * F.col("n") - F.col("q"))).first()
+    return n or 0, (pairs or 0.0) / 2
+
+
 def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int = ROUNDS) -> tuple[DataFrame, DataFrame]:
-    """(sid, first) of every distinct set, and (node, root) of those with a near copy.
+    """(sid, first) of every distinct set, and (node, root) of those with a near copy; a set's id is its first row's.
 
-    ``printed`` has (row_id, doc_id, text, sid, fp, n, prefix, bits).
+    ``printed`` has (row_id, doc_id, text, sid, fp, n, prefix, bits, s0, s1, ...).
     """
+    marks = [f"s{k}" for k in range(SKETCH)]
     first = F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "row_id")).alias("first")
-    whole = [F.first(c).alias(c) for c in ("fp", "n", "prefix", "bits")]  # equal sets may differ in repeats, so in fp: any one will do
-    distinct = staging.table(printed.groupBy("sid").agg(first, *whole), "distinct")
-    entries = distinct.select("sid", "n", F.posexplode("prefix").alias("i", "w"))
+    whole = [F.first(c).alias(c) for c in ("fp", "n", "prefix", "bits", *marks)]  # equal sets may differ in repeats, so in fp: any one will do
+    folded = printed.groupBy("sid").agg(first, *whole)
+    distinct = staging.table(folded.withColumn("sid", F.col("first.row_id")), "distinct")
+    entries = distinct.select("sid", "n", *marks, F.posexplode("prefix").alias("i", "w"))
     company = entries.withColumn("size", F.count(F.lit(1)).over(Window.partitionBy("w"))).where("size > 1").drop("size")
     shared = staging.table(company, "shared")
     near = staging.table(_close_pairs(distinct.where("n > 0"), staging), "near")
     close = staging.table(_likely(near, distinct), "close")
-    needed = shared.select("sid").union(close.select(F.explode(F.array("u", "v")))).distinct()
-    ids = distinct.join(needed, "sid", "left_semi").select("sid", "first.row_id")
-    texts = staging.table(printed.select("row_id", "text").join(ids, "row_id").select("sid", "text"), "texts")
+    texts = printed.select("row_id", "text")
     found = _verified(close, distinct, texts, size, staging, "similar")
     roots = connected_components(found, Staging(printed.sparkSession, "copies"))
+    names, before, name = ["sid", "n", "i", *marks, "root"], None, "shared"
     for k in range(rounds + 1):
-        rooted = shared.join(roots, shared["sid"] == roots["node"], "left").select("sid", "n", "i", "w", F.coalesce("root", "sid").alias("root"))
-        if k < rounds:
-            order = Window.partitionBy("w").orderBy(F.xxhash64(F.lit(k), "w", "sid"))
-            flat = rooted.withColumn("e", F.lead(F.struct("sid", "n", "i", "root")).over(order)).where("e is not null")
-            met = flat.select("*", *[F.col("e")[x].alias(f"e{x}") for x in ("sid", "n", "i", "root")])
+        rooted = shared.drop("root").join(roots, shared["sid"] == roots["node"], "left").select("w", *names[:-1], F.coalesce("root", "sid").alias("root"))
+        whole_group = Window.partitionBy("w")
+        mixed = rooted.withColumns({"lo": F.min("root").over(whole_group), "hi": F.max("root").over(whole_group)}).where("lo != hi").drop("lo", "hi")
+        shared = staging.table(mixed, f"left-{k}")
+        staging.drop(name)
+        name = f"left-{k}"
+        n, apart = _apart(shared)
+        last = k == rounds or apart <= n or (before is not None and apart > WORTH * before)
+        before = apart
+        if last:
+            met = shared.join(shared.select("w", *[F.col(x).alias(f"e{x}") for x in names]), "w").where("root < eroot")
         else:
-            several = rooted.groupBy("w").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo != hi").select("w")
-            left = staging.table(rooted.join(several, "w", "left_semi"), "left")  # a pass of its own, whose shuffles end with it
-            met = left.join(left.select("w", *[F.col(x).alias(f"e{x}") for x in ("sid", "n", "i", "root")]), "w").where("root < eroot")
-        pairs = met.where(_fits("e") & (F.col("root") != F.col("eroot"))).select(F.least("sid", "esid").alias("u"), F.greatest("sid", "esid").alias("v"))
+            order = Window.partitionBy("w").orderBy("n" if k % 2 else F.lit(0), F.xxhash64(F.lit(k), "w", "sid"))
+            flat = shared.withColumn("e", F.lead(F.struct(*names)).over(order)).where("e is not null and e.root != root")
+            met = flat.select("*", *[F.col("e")[x].alias(f"e{x}") for x in names])
+        pairs = met.where(_fits("e")).select(F.least("sid", "esid").alias("u"), F.greatest("sid", "esid").alias("v"))
         pairs = staging.table(pairs.distinct(), f"met-{k}")
         likely = staging.table(_likely(pairs, distinct), f"pairs-{k}")
-        new = _verified(likely, distinct, texts, size, staging, f"similar-{k}")
-        found = found.union(new)
-        roots = connected_components(found, Staging(printed.sparkSession, f"copies-{k}"))
+        staging.drop(f"met-{k}")
+        waves = WAVES if last else (None,)
+        for wave, most in enumerate(waves):
+            taken, rest = (likely, None) if most is None else _wave(likely, roots, most, staging, f"wave-{wave}")
+            found = found.union(_verified(taken, distinct, texts, size, staging, f"similar-{k}-{wave}"))
+            roots = connected_components(found, Staging(printed.sparkSession, f"copies-{k}-{wave}"))
+            likely = rest if rest is None else staging.table(_between(rest, roots).select("u", "v"), f"rest-{wave}")
+        if last:
+            break
+    staging.drop(name)
     return distinct.select("sid", "first"), roots
 
 
@@ -187,13 +234,16 @@ def keep_one(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
             sid = xxh64_intdigest(own.tobytes(), SEED)
             bits = np.zeros(BITMAP, dtype=np.uint8)
             bits[(own >> np.uint64(64 - BITMAP.bit_length() + 1)).astype(np.int64)] = 1
-            return signed(sid), signed(majority(hashes)), n, own[order].view(np.int64).tolist(), np.packbits(bits).view(np.int64).tolist()
+            folded = np.bincount((own % np.uint64(64 * SKETCH)).astype(np.int64), minlength=64 * SKETCH).astype(np.uint8) & 1
+            return signed(sid), signed(majority(hashes)), n, own[order].view(np.int64).tolist(), np.packbits(bits).view(np.int64).tolist(), *np.packbits(folded).view(np.int64).tolist()
 
         return lambda ids, texts: [(i, *one(t)) for i, t in zip(ids, texts, strict=True)]
 
-    printed = staging.table(map_rows(own, ["doc_id", "text"], "doc_id long, sid long, fp long, n int, prefix array<long>, bits array<long>", make, tuple(names)), "printed", row_id="row_id")
+    schema = "doc_id long, sid long, fp long, n int, prefix array<long>, bits array<long>" + "".join(f", s{k} long" for k in range(SKETCH))
+    printed = staging.table(map_rows(own, ["doc_id", "text"], schema, make, tuple(names)), "printed", row_id="row_id")
     text = printed.withColumn("text", F.col(f"k{docs.columns.index('text')}"))
     distinct, roots = similar_sets(text, staging, size)
     rooted = distinct.join(roots, distinct["sid"] == roots["node"], "left").withColumn("group", F.coalesce("root", "sid"))
-    stays = rooted.groupBy("group").agg(F.min("first").alias("first")).select("first.row_id")
-    return printed.join(stays, "row_id", "left_semi").select(*[f"k{n}" for n in range(len(names))]).toDF(*docs.columns)
+    stays = staging.table(rooted.groupBy("group").agg(F.min("first").alias("first")).select("first.row_id"), "stays")
+    staging.drop("distinct")
+    return picked(printed, stays, "row_id").select(*[f"k{n}" for n in range(len(names))]).toDF(*docs.columns)

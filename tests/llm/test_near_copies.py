@@ -47,3 +47,22 @@ def test_stage_finds_planted_near_copies(spark, sf_dir, monkeypatch, few, one_pa
     rng.shuffle(given)
     df = spark.createDataFrame(given, "doc_id long, text string").repartition(3)
     assert sorted(r["doc_id"] for r in corpus_pipeline.near_duplicates(spark, df, sf_dir).collect()) == brute_stays(given)
+
+
+def test_unlike_sets_under_common_shingles_are_not_written(spark, monkeypatch):
+    """Texts that share only a common passage are told apart by their sketches inside the join."""
+    rng, common = random.Random(7), " ".join(f"c{k}" for k in range(30))
+    given = [(k, f"{common} " + " ".join(f"u{rng.randrange(10**9)}" for _ in range(120))) for k in range(80)]
+    given.append((80, given[3][1] + " more"))
+    written, table = {}, near_copies.Staging.table
+
+    def counted(self, df, name, row_id=None):
+        out = table(self, df, name, row_id)
+        written[name] = out.count()
+        return out
+
+    monkeypatch.setattr(near_copies, "CLASSES", 1)  # one class of rarity, so that the passage is in the prefixes
+    monkeypatch.setattr(near_copies.Staging, "table", counted)
+    df = spark.createDataFrame(given, "doc_id long, text string").repartition(3)
+    assert sorted(r["doc_id"] for r in near_copies.keep_one(df).collect()) == list(range(80))
+    assert written["shared"] > 80 and sum(n for name, n in written.items() if name.startswith("met-")) <= 2
