@@ -3,48 +3,121 @@
 The exact join orders each set's members by rarity, keeps the prefix in which any
 similar set must share a member, joins on that member under length and position
 filters, and verifies.  The approximate one takes its candidates from MinHash bands.
+
+Equal sets are folded first and expanded at the end, so that copies meet once.  Rarity
+comes from counts of members in hash classes, a table of fixed size: any one order keeps
+the join exact, and no member is shuffled for it.  A sketch, in which two sets differ in
+no more bits than in members, drops most unlike pairs inside the join, before they are
+written.  Entries and compared sets go in passes of bounded size, whose shuffles end one
+by one; whole sets are picked from the staged table by bitmaps of their row ids.
+Defined results: null members do not count, and an empty set has no pair.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from densesql.plans.rowset import picked
+from densesql.plans.staging import Staging
+
+#: Hash classes of members whose counts give rarity.
+CLASSES = 1 << 16
+#: Longs of a set's sketch.
+SKETCH = 4
+#: Prefix entries of one pass, and members of the sets that one pass compares.
+ENTRIES, COMPARED = 8 << 20, 16 << 20
+
+
+def _levels(hashed: DataFrame) -> list[int]:
+    """A number for each hash class of members: higher for commoner ones."""
+    found = hashed.select(F.explode("h").alias("h")).groupBy(F.pmod("h", F.lit(CLASSES)).alias("c")).count()
+    out = [0] * CLASSES
+    for c, n in found.collect():  # as many rows as there are hash classes
+        out[c] = n
+    return out
+
+
+def _sketch(members: Column, k: int) -> Column:
+    """The k-th long of a set's sketch: of each bit the parity of the members that fall on it."""
+    own = F.filter(members, lambda x: F.pmod(F.shiftright(x, 6), F.lit(SKETCH)) == k)
+    return F.aggregate(own, F.lit(0).cast("long"), lambda s, x: s.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), x.bitwiseAND(F.lit(63)).cast("int"))))
+
 
-def ordered_sets(df: DataFrame, key: str, items: str) -> DataFrame:
-    """(key, members): hashed members, rarest first; counts are joined by member."""
-    each = df.select(key, F.explode(F.array_distinct(items)).alias("w"))
-    counts = each.groupBy("w").agg(F.count(F.lit(1)).alias("df"))
-    ranked = each.join(counts, "w").select(key, F.struct("df", F.xxhash64("w").alias("h")).alias("m"))
-    return ranked.groupBy(key).agg(F.transform(F.array_sort(F.collect_list("m")), lambda m: m["h"]).alias("members"))
+def _folded(df: DataFrame, key: str, items: str, staging: Staging, rarest_first: bool) -> tuple[DataFrame, DataFrame]:
+    """(row_id, n, members, s0, s1, ...) of one row for each set that is not empty, and (member, rep): every row's key and its set's row."""
+    hashed = df.select(key, F.transform(F.array_distinct(F.array_compact(items)), lambda w: F.xxhash64(w)).alias("h"))
+    if rarest_first:
+        table = F.split(F.lit(",".join(map(str, _levels(hashed)))), ",").cast("array<long>")  # folded to a constant by the optimizer
+        ranked = F.transform("h", lambda h: F.struct(F.get(table, F.pmod(h, F.lit(CLASSES)).cast("int")).alias("level"), h.alias("h")))
+        members = F.transform(F.sort_array(ranked), lambda e: e["h"])
+    else:
+        members = F.sort_array("h")
+    sets = hashed.select(F.col(key).alias("member"), members.alias("members")).withColumn("n", F.size("members")).where("n > 0")
+    same = {"a": F.xxhash64(F.lit(1), "members"), "b": F.xxhash64(F.lit(2), "members")}
+    staged = staging.table(sets.withColumns({f"s{k}": _sketch(F.col("members"), k) for k in range(SKETCH)} | same), "sets", row_id="row_id")
+    reps = staged.groupBy("a", "b").agg(F.min("row_id").alias("rep"))
+    classes = staging.table(staged.select("member", "a", "b").join(reps, ["a", "b"]).select("member", "rep"), "classes")
+    return picked(staged.drop("member", "a", "b"), classes.select(F.col("rep").alias("row_id")), "row_id"), classes
+
+
+def _likely(entries: DataFrame, on: list[str], t: float, fits: Column) -> DataFrame:
+    """(u, v): rows that meet in an entry and may be similar by their sizes, sketches and ``fits``."""
+    names = [c for c in entries.columns if c not in on]
+    a, b = (entries.select(*on, *[F.col(c).alias(f"{side}{c}") for c in names]) for side in ("u_", "v_"))
+    apart = sum((F.bit_count(F.col(f"u_s{k}").bitwiseXOR(F.col(f"v_s{k}"))) for k in range(SKETCH)), F.lit(0))
+    near = (F.least("u_n", "v_n") >= F.greatest("u_n", "v_n") * t - 1e-9) & (apart <= (F.col("u_n") + F.col("v_n")) * ((1 - t) / (1 + t)) + 1e-9)
+    met = a.join(b.hint("merge"), on).where((F.col("u_row_id") < F.col("v_row_id")) & near & fits)
+    return met.select(F.col("u_row_id").alias("u"), F.col("v_row_id").alias("v")).distinct()
+
+
+def _pairs(entries: DataFrame, count: int, on: list[str], sets: DataFrame, classes: DataFrame, t: float, staging: Staging, fits: Column) -> DataFrame:
+    """(left_id, right_id, overlap) of the pairs that meet and reach ``t``, and of all equal ones."""
+    passes = max(1, -(-count // ENTRIES))
+    found = None
+    for k in range(passes):
+        part = staging.table(_likely(entries.where(F.pmod(F.xxhash64(*on), F.lit(passes)) == k), on, t, fits), f"likely-{k}")
+        found = part if found is None else found.union(part)
+    likely = staging.table(found.distinct(), "likely") if passes > 1 else found
+    carried = likely.join(sets.select(F.col("row_id").alias("u"), "n"), "u").agg(F.sum("n")).first()[0] or 0
+    passes = max(1, -(-carried // COMPARED))
+    scored = None
+    for k in range(passes):
+        part = staging.table(_verify(likely.where(F.pmod(F.xxhash64("u", "v"), F.lit(passes)) == k), sets, t), f"scored-{k}")
+        scored = part if scored is None else scored.union(part)
+    left, right = (classes.select(F.col("member").alias(f"{x}_id"), F.col("rep").alias(x)) for x in "uv")
+    unlike = scored.join(left, "u").join(right, "v").select("u_id", "v_id", "overlap")
+    equal = left.join(right, F.col("u") == F.col("v")).where("u_id < v_id").select("u_id", "v_id", F.lit(1.0).alias("overlap"))
+    return unlike.union(equal).select(F.least("u_id", "v_id").alias("left_id"), F.greatest("u_id", "v_id").alias("right_id"), "overlap")
 
 
 def prefix_join(df: DataFrame, key: str, items: str, t: float) -> DataFrame:
     """(left_id, right_id, overlap) for all pairs of different keys with overlap of at least ``t``, left before right."""
-    sets = ordered_sets(df, key, items).withColumn("n", F.size("members"))
+    staging = Staging(df.sparkSession, "prefix-join")
+    sets, classes = _folded(df, key, items, staging, rarest_first=True)
     short = F.col("n") - F.ceil(F.col("n") * t - 1e-9).cast("int") + 1
-    prefix = sets.select(key, "n", F.posexplode(F.slice("members", 1, short)).alias("i", "w"))
-    a, b = (prefix.select(F.col(key).alias(f"{s}_id"), F.col("n").alias(f"{s}_n"), F.col("i").alias(f"{s}_i"), "w") for s in ("left", "right"))
-    least = F.ceil((F.col("left_n") + F.col("right_n")) * (t / (1 + t)) - 1e-9)
-    room = F.least(F.col("left_n") - F.col("left_i"), F.col("right_n") - F.col("right_i"))
-    fits = (F.least("left_n", "right_n") >= F.greatest("left_n", "right_n") * t - 1e-9) & (room >= least) & (F.col("left_id") < F.col("right_id"))
-    return _verify(a.join(b, "w").where(fits).select("left_id", "right_id").distinct(), sets, key, t)
-
-
-def _verify(pairs: DataFrame, sets: DataFrame, key: str, t: float) -> DataFrame:
-    left = sets.select(F.col(key).alias("left_id"), F.col("members").alias("a"))
-    right = sets.select(F.col(key).alias("right_id"), F.col("members").alias("b"))
-    both = pairs.join(left, "left_id").join(right, "right_id")
-    same = F.size(F.array_intersect("a", "b"))
-    scored = both.select("left_id", "right_id", (same / (F.size("a") + F.size("b") - same)).alias("overlap"))
+    marks = [f"s{k}" for k in range(SKETCH)]
+    entries = sets.select("row_id", "n", *marks, F.posexplode(F.slice("members", 1, short)).alias("i", "w"))
+    least = F.ceil((F.col("u_n") + F.col("v_n")) * (t / (1 + t)) - 1e-9)
+    room = F.least(F.col("u_n") - F.col("u_i"), F.col("v_n") - F.col("v_i"))
+    return _pairs(entries, sets.agg(F.sum(short)).first()[0] or 0, ["w"], sets, classes, t, staging, room >= least)
+
+
+def _verify(pairs: DataFrame, sets: DataFrame, t: float) -> DataFrame:
+    wanted = picked(sets.select("row_id", "members"), pairs.select(F.explode(F.array("u", "v")).alias("row_id")), "row_id")
+    left, right = (wanted.select(F.col("row_id").alias(x), F.col("members").alias(f"m{x}")) for x in "uv")
+    both = pairs.join(left, "u").join(right, "v")
+    same = F.size(F.array_intersect("mu", "mv"))
+    scored = both.select("u", "v", (same / (F.size("mu") + F.size("mv") - same)).alias("overlap"))
     return scored.where(F.col("overlap") >= t - 1e-9)
 
 
 def minhash_join(df: DataFrame, key: str, items: str, t: float, bands: int = 16, rows: int = 4) -> DataFrame:
     """As ``prefix_join``, over pairs that agree in some band of MinHash values."""
-    sets = df.select(key, F.transform(F.array_distinct(items), lambda w: F.xxhash64(w)).alias("members")).where(F.size("members") > 0)
+    staging = Staging(df.sparkSession, "minhash-join")
+    sets, classes = _folded(df, key, items, staging, rarest_first=False)
     low = lambda s: F.array_min(F.transform("members", lambda h: F.xxhash64(F.lit(s), h)))
     keys = F.array(*[F.struct(F.lit(b).alias("band"), F.xxhash64(*[low(b * rows + r) for r in range(rows)]).alias("h")) for b in range(bands)])
-    banded = sets.select(key, F.inline(keys))
-    a, b = (banded.select(F.col(key).alias(f"{s}_id"), "band", "h") for s in ("left", "right"))
-    return _verify(a.join(b, ["band", "h"]).where("left_id < right_id").select("left_id", "right_id").distinct(), sets, key, t)
+    marks = [f"s{k}" for k in range(SKETCH)]
+    banded = staging.table(sets.select("row_id", "n", *marks, keys.alias("keys")), "banded")
+    return _pairs(banded.select("row_id", "n", *marks, F.inline("keys")), banded.count() * bands, ["band", "h"], sets, classes, t, staging, F.lit(True))
