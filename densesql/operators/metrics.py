@@ -12,6 +12,9 @@ from pyspark.sql import functions as F
 from densesql.functions.text import ngrams, tokens
 from densesql.plans.staging import Staging
 
+#: Words of one pass of Self-BLEU, which shuffles as many n-grams of one size.
+BLEU_PASS = 48 << 20
+
 
 def execution_accuracy(selected: DataFrame, by: tuple[str, ...] = (), cube: bool = False) -> DataFrame:
     """(by..., n, ex) in per cent; ``cube`` adds every subtotal."""
@@ -159,21 +162,39 @@ def _nearest_sizes(rows: DataFrame, by: str) -> DataFrame:
     return near.select(by, "c", F.when(F.col("n") > 1, F.col("c")).when(lower, F.col("low")).otherwise(F.coalesce("high", "c")).alias("r"))
 
 
+def _clipped(rows: DataFrame, n: int, k: int, passes: int) -> DataFrame:
+    """(_id, h): the n-grams of each text that its group's others hold, by the k-th of so many parts of their hashes.
+
+    One shuffle, by the two hashes of group and n-gram, serves the counts and the order among a group's texts.
+    """
+    hashed = F.transform(ngrams(F.col("_toks"), n), lambda g: F.struct(F.xxhash64(F.lit(1), "_by", g).alias("g"), F.xxhash64(F.lit(2), "_by", g).alias("h")))
+    each = rows.select("_id", F.inline(F.filter(hashed, lambda g: F.pmod(g["g"], F.lit(passes)) == k)))
+    grams = each.repartition("g", "h").groupBy("g", "h", "_id").agg(F.count(F.lit(1)).alias("x"))
+    w = Window.partitionBy("g", "h").orderBy(F.desc("x"), "_id")
+    whole = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    tops = grams.withColumns({"at": F.row_number().over(w), "top": F.first("x").over(whole), "second": F.nth_value("x", 2).over(whole)})
+    others = F.when(F.col("at") == 1, F.col("second")).otherwise(F.col("top"))
+    return tops.where("second is not null").groupBy("_id").agg(F.sum(F.least("x", others)).alias("h"))
+
+
 def self_bleu(traces: DataFrame, by: str, text: str = "trace", order: int = 4, smooth: float = 0.1) -> DataFrame:
     """(by, k, self_bleu): the mean BLEU of each text against all others of its group, of any size.
 
-    As in ``self_bleu_of`` the two largest counts of every n-gram of a group are enough.
+    As in ``self_bleu_of`` the two largest counts of every n-gram of a group are enough.  Two
+    hashes stand for an n-gram.  N-grams go in passes by size and hash, whose shuffles end one
+    by one: their number changes what is on disk at once and nothing else.
     """
+    staging = Staging(traces.sparkSession, "self-bleu")
     words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"(?U)[\s\x1c-\x1f]+"), lambda w: w != "")
-    rows = Staging(traces.sparkSession, "self-bleu").table(traces.select(F.col(by).alias("_by"), words.alias("_toks")), "rows", row_id="_id")
+    rows = staging.table(traces.select(F.col(by).alias("_by"), words.alias("_toks")), "rows", row_id="_id")
     rows = rows.withColumn("c", F.size("_toks"))
-    runs = F.array(*[F.struct(F.lit(n).alias("n"), ngrams(F.col("_toks"), n).alias("gs")) for n in range(1, order + 1)])
-    grams = rows.select("_by", "_id", F.inline(runs)).select("_by", "_id", "n", F.explode("gs").alias("g")).groupBy("_by", "_id", "n", "g").agg(F.count(F.lit(1)).alias("x"))
-    w = Window.partitionBy("_by", "n", "g").orderBy(F.desc("x"), "_id")
-    whole = w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    tops = grams.withColumns({"at": F.row_number().over(w), "top": F.first("x").over(whole), "second": F.nth_value("x", 2).over(whole)})
-    others = F.when(F.col("at") == 1, F.coalesce("second", F.lit(0))).otherwise(F.col("top"))
-    hits = tops.groupBy("_id").agg(*[F.sum(F.when(F.col("n") == n, F.least("x", others)).otherwise(0)).alias(f"h{n}") for n in range(1, order + 1)])
+    passes = max(1, -(-(rows.agg(F.sum("c")).first()[0] or 0) // BLEU_PASS))
+    hits = None
+    for n in range(1, order + 1):
+        for k in range(passes):
+            new = staging.table(_clipped(rows, n, k, passes), f"hits-{n}-{k}").select("_id", F.lit(n).alias("n"), "h")
+            hits = new if hits is None else hits.union(new)
+    hits = hits.groupBy("_id").agg(*[F.sum(F.when(F.col("n") == n, F.col("h")).otherwise(0)).alias(f"h{n}") for n in range(1, order + 1)])
     near = _nearest_sizes(rows, "_by").select(F.col("_by").alias("_b"), F.col("c").alias("_c"), "r")
     each = rows.drop("_toks").join(hits, "_id", "left").join(near, F.col("_by").eqNullSafe(F.col("_b")) & (F.col("c") == F.col("_c")))
     logs = [F.log(F.when(F.col(f"h{n}") > 0, F.col(f"h{n}").cast("double")).otherwise(smooth) / F.greatest(F.lit(1), F.col("c") - (n - 1))) for n in range(1, order + 1)]
