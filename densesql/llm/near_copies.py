@@ -44,8 +44,8 @@ SEED, SHINGLE = 42, 5
 FIFTHS = 4
 #: Hash classes of shingles whose counts give rarity.
 CLASSES = 1 << 16
-#: Bits of a set's bitmap, a power of two: two bitmaps differ in no more bits than their sets in members.
-BITMAP = 2048
+#: Least bits of a set's bitmap, and bits for each member, rounded up to a power of two: two bitmaps of one length differ in no more bits than their sets in members.
+BITMAP, A_MEMBER = 2048, 2
 #: Shingles of candidate pairs that are compared in one pass; more of them go in PASSES passes, whose shuffles end one by one.
 ONE_PASS, PASSES = 8 << 20, 8
 #: Up to so many pairs their rows are picked by a broadcast bitmap of row ids, about a bit a row; beyond that ids are joined.
@@ -56,6 +56,8 @@ ROUNDS = 6
 WORTH = 0.8
 #: At the end of two components so many pairs are compared first, then as many again, then all that are left if they are still apart.
 WAVES = (1, 8, None)
+#: In the rounds before, each set's likeliest pair is compared first, then those left of sets still apart.
+NEAREST = ("nearest", None)
 #: Longs of an entry's sketch, in which two sets differ in no more bits than in members.
 SKETCH = 4
 
@@ -98,12 +100,30 @@ def _fits(other: str) -> Column:
     return (5 * F.least(n, m) >= FIFTHS * F.greatest(n, m)) & (room >= _least(n, m)) & (apart <= n + m - 2 * _least(n, m))
 
 
+def bitmap(hashes: np.ndarray) -> list[int]:
+    """The parities of a set's members by hash class, as signed longs; classes grow with the set, so that unlike long sets differ in enough of them."""
+    size = max(BITMAP, 1 << max(0, A_MEMBER * len(hashes) - 1).bit_length())
+    odd = np.bincount((hashes % np.uint64(size)).astype(np.int64), minlength=size).astype(np.uint8) & 1
+    return np.packbits(odd).view(np.int64).tolist()
+
+
 def _likely(pairs: DataFrame, distinct: DataFrame) -> DataFrame:
-    """(u, v): the pairs whose bitmaps differ in no more bits than similar sets differ in members."""
+    """(u, v, apart): the pairs whose bitmaps differ in no more bits than similar sets differ in members.
+
+    Similar sets have bitmaps of one length or of twice the other's, whose halves are then laid over each other.
+    """
     marks = [distinct.select(F.col("sid").alias(x), F.col("n").alias(f"n{x}"), F.col("bits").alias(f"b{x}")) for x in "uv"]
     both = pairs.join(marks[0], "u").join(marks[1], "v")
-    apart = F.aggregate(F.zip_with("bu", "bv", lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda n, x: n + x)
-    return both.where(apart <= F.col("nu") + F.col("nv") - 2 * _least(F.col("nu"), F.col("nv"))).select("u", "v")
+
+    def halved(long: str, short: str) -> Column:
+        half = F.expr(f"cast(size({long}) div 2 as int)")
+        over = F.zip_with(F.slice(long, F.lit(1), half), F.slice(long, half + 1, half), lambda a, b: a.bitwiseXOR(b))
+        return F.when(F.size(long) > F.size(short), over).otherwise(F.col(long))
+
+    differ = F.zip_with(halved("bu", "bv"), halved("bv", "bu"), lambda a, b: F.bit_count(F.coalesce(a, F.lit(0).cast("long")).bitwiseXOR(F.coalesce(b, F.lit(0).cast("long")))))
+    apart = F.aggregate(differ, F.lit(0), lambda n, x: n + x)
+    close = both.select("u", "v", "nu", "nv", F.explode(F.array(apart)).alias("apart"))
+    return close.where(F.col("apart") <= F.col("nu") + F.col("nv") - 2 * _least(F.col("nu"), F.col("nv"))).select("u", "v", "apart")
 
 
 def _verify(pairs: DataFrame, texts: DataFrame, size: int, few: bool) -> DataFrame:
@@ -129,7 +149,7 @@ def _verified(pairs: DataFrame, distinct: DataFrame, texts: DataFrame, size: int
     passes = PASSES if (carried or 0) > ONE_PASS else 1
     found = None
     for k in range(passes):
-        part = pairs.where(F.pmod(F.xxhash64("u", "v"), F.lit(passes)) == k)
+        part = pairs.select("u", "v").where(F.pmod(F.xxhash64("u"), F.lit(passes)) == k)
         new = staging.table(_verify(part, texts, size, count <= FEW_PAIRS), f"{name}-{k}")
         found = new if found is None else found.union(new)
     return found
@@ -159,6 +179,13 @@ def _wave(pairs: DataFrame, roots: DataFrame, most: int, staging: Staging, name:
     return ranked.where(F.col("k") <= most).select("u", "v"), ranked.where(F.col("k") > most).select("u", "v")
 
 
+def _nearest(pairs: DataFrame, staging: Staging, name: str) -> tuple[DataFrame, DataFrame]:
+    """Of each set the pair whose bitmaps differ least, and all other pairs."""
+    ends = pairs.select(F.explode(F.array("u", "v")).alias("node"), F.struct("apart", F.xxhash64("u", "v").alias("h"), "u", "v").alias("p"))
+    first = staging.table(ends.groupBy("node").agg(F.min("p").alias("p")).select("p.u", "p.v").distinct(), name)
+    return first, pairs.join(first, ["u", "v"], "left_anti").select("u", "v")
+
+
 def _apart(left: DataFrame) -> tuple[int, float]:
     """Entries, and pairs of entries under the same shingle in different components."""
     counts = left.groupBy("w", "root").agg(F.count(F.lit(1)).alias("c")).groupBy("w").agg(F.sum("c").alias("n"), F.sum(F.col("c").cast("double") * F.col("c")).alias("q"))
@@ -205,12 +232,16 @@ def similar_sets(printed: DataFrame, staging: Staging, size: int, rounds: int =
         pairs = staging.table(pairs.distinct(), f"met-{k}")
         likely = staging.table(_likely(pairs, distinct), f"pairs-{k}")
         staging.drop(f"met-{k}")
-        waves = WAVES if last else (None,)
-        for wave, most in enumerate(waves):
-            taken, rest = (likely, None) if most is None else _wave(likely, roots, most, staging, f"wave-{wave}")
+        for wave, most in enumerate(WAVES if last else NEAREST):
+            if most is None:
+                taken, rest = likely, None
+            elif last:
+                taken, rest = _wave(likely, roots, most, staging, f"wave-{wave}")
+            else:
+                taken, rest = _nearest(likely, staging, f"nearest-{k}")
             found = found.union(_verified(taken, distinct, texts, size, staging, f"similar-{k}-{wave}"))
             roots = connected_components(found, Staging(printed.sparkSession, f"copies-{k}-{wave}"))
-            likely = rest if rest is None else staging.table(_between(rest, roots).select("u", "v"), f"rest-{wave}")
+            likely = rest if rest is None else staging.table(_between(rest, roots).select("u", "v"), f"rest-{k}-{wave}")
         if last:
             break
     staging.drop(name)
@@ -232,10 +263,8 @@ def keep_one(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
             n = len(own)
             order = np.lexsort((own, table[(own % CLASSES).astype(np.int64)]))[: n + FIFTHS * -n // 5 + 1 if n else 0]
             sid = xxh64_intdigest(own.tobytes(), SEED)
-            bits = np.zeros(BITMAP, dtype=np.uint8)
-            bits[(own >> np.uint64(64 - BITMAP.bit_length() + 1)).astype(np.int64)] = 1
             folded = np.bincount((own % np.uint64(64 * SKETCH)).astype(np.int64), minlength=64 * SKETCH).astype(np.uint8) & 1
-            return signed(sid), signed(majority(hashes)), n, own[order].view(np.int64).tolist(), np.packbits(bits).view(np.int64).tolist(), *np.packbits(folded).view(np.int64).tolist()
+            return signed(sid), signed(majority(hashes)), n, own[order].view(np.int64).tolist(), bitmap(own), *np.packbits(folded).view(np.int64).tolist()
 
         return lambda ids, texts: [(i, *one(t)) for i, t in zip(ids, texts, strict=True)]
 

@@ -66,3 +66,24 @@ def test_unlike_sets_under_common_shingles_are_not_written(spark, monkeypatch):
     df = spark.createDataFrame(given, "doc_id long, text string").repartition(3)
     assert sorted(r["doc_id"] for r in near_copies.keep_one(df).collect()) == list(range(80))
     assert written["shared"] > 80 and sum(n for name, n in written.items() if name.startswith("met-")) <= 2
+
+
+def test_unlike_long_texts_are_not_compared(spark, monkeypatch):
+    """Bitmaps grow with the sets: long texts that share two fifths are told apart without their words, near copies of other lengths are not."""
+    rng, counts, table = random.Random(11), {}, near_copies.Staging.table
+    words = lambda n: [f"w{rng.randrange(10**9)}" for _ in range(n)]
+    shared, long = words(2400), words(1030)
+    given = [(k, " ".join(shared + words(1600))) for k in range(6)]
+    given += [(6, " ".join(long)), (7, " ".join(long[:900]))]  # bitmaps of 4096 and 2048 bits, of 8192 the others
+    assert [len(near_copies.bitmap(near_copies.shingles(t))) for _, t in given[5:]] == [128, 64, 32]
+
+    def counted(self, df, name, row_id=None):
+        out = table(self, df, name, row_id)
+        counts[name] = out.count()
+        return out
+
+    monkeypatch.setattr(near_copies, "CLASSES", 1)  # one class of rarity, so that shared shingles are in the prefixes
+    monkeypatch.setattr(near_copies.Staging, "table", counted)
+    df = spark.createDataFrame(given, "doc_id long, text string").repartition(3)
+    assert sorted(r["doc_id"] for r in near_copies.keep_one(df).collect()) == list(range(7))
+    assert sum(n for name, n in counts.items() if name.startswith("pairs-")) == 1
