@@ -31,38 +31,64 @@ def group_advantages(rewards: np.ndarray, eps: float = grpo.EPS) -> np.ndarray:
 
 
 def softmax(logits: np.ndarray) -> np.ndarray:
-    e = np.exp(logits - logits.max())
-    return e / e.sum()
+    """Along the last axis; a logit of minus infinity has probability 0."""
+    e = np.exp(logits - logits.max(axis=-1, keepdims=True))
+    return e / e.sum(axis=-1, keepdims=True)
 
 
-def clipped_step(
-    theta: np.ndarray, start: np.ndarray, features: list[np.ndarray], rewards: list[np.ndarray], rng: np.random.Generator, group: int, lr: float,
+def padded(parts: list[np.ndarray], fill: float = 0.0) -> np.ndarray:
+    """Arrays of unequal length as one, filled up at their ends."""
+    out = np.full((len(parts), max(map(len, parts)), *parts[0].shape[1:]), fill)
+    for k, part in enumerate(parts):
+        out[k, : len(part)] = part
+    return out
+
+
+def batch_step(
+    theta: np.ndarray, start: np.ndarray, x: np.ndarray, rewards: np.ndarray, sizes: np.ndarray, rng: np.random.Generator, group: int, lr: float,
     temperature: float, clip: float, beta: float, inner: int,
-) -> tuple[np.ndarray, list[np.ndarray]]:
+) -> tuple[np.ndarray, np.ndarray]:
     """One step over a batch of questions: (new weights, drawn candidates by question).
 
+    ``x`` (questions, candidates, features) and ``rewards`` are padded; ``sizes`` has the candidates of each.
     The gradient of the clipped ratio is zero for draws whose ratio has left the band on the
     side their advantage pushes; ``beta`` weighs the penalty for leaving the ``start`` policy.
     """
-    old = [softmax(x @ theta / temperature) for x in features]
-    drawn = [rng.choice(len(p), size=group, p=p) for p in old]
-    gains = group_advantages(np.stack([r[d] for r, d in zip(rewards, drawn, strict=True)]))
-    first = [softmax(x @ start / temperature) for x in features] if beta else None
+    absent = np.arange(x.shape[1]) >= sizes[:, None]
+    rows = np.arange(len(x))[:, None]
+
+    def policy(weights: np.ndarray) -> np.ndarray:
+        return softmax(np.where(absent, -np.inf, x @ weights / temperature))
+
+    old = policy(theta)
+    upto = old.cumsum(axis=1)
+    drawn = ((upto / upto[:, -1:])[:, None, :] <= rng.random((len(x), group))[:, :, None]).sum(axis=2)
+    gains, seen = group_advantages(rewards[rows, drawn]), x[rows, drawn]
+    first = policy(start) if beta else None
     for _ in range(inner):
-        slope = np.zeros_like(theta)
-        for k, x in enumerate(features):
-            p = softmax(x @ theta / temperature)
-            ratio = p[drawn[k]] / old[k][drawn[k]]
-            live = np.where(gains[k] > 0, ratio <= 1 + clip, ratio >= 1 - clip)
-            away = (x[drawn[k]] - p @ x) / temperature
-            slope += ((live * gains[k] * ratio)[:, None] * away).mean(axis=0)
-            if beta:
-                lean = np.log(p) - np.log(first[k])
-                slope -= beta * ((p * (lean - p @ lean))[:, None] * x).sum(axis=0) / temperature
-        theta = theta + lr * slope / len(features)
+        p = policy(theta)
+        ratio = p[rows, drawn] / old[rows, drawn]
+        live = np.where(gains > 0, ratio <= 1 + clip, ratio >= 1 - clip)
+        pull = live * gains * ratio / group
+        mean_x = (p[:, None, :] @ x)[:, 0]
+        slope = (np.tensordot(pull, seen, 2) - pull.sum(axis=1) @ mean_x) / temperature
+        if beta:
+            lean = np.log(np.where(absent, 1.0, p)) - np.log(np.where(absent, 1.0, first))
+            slope -= beta * np.tensordot(p * (lean - (p * lean).sum(axis=1, keepdims=True)), x, 2) / temperature
+        theta = theta + lr * slope / len(x)
     return theta, drawn
 
 
+def clipped_step(
+    theta: np.ndarray, start: np.ndarray, features: list[np.ndarray], rewards: list[np.ndarray], rng: np.random.Generator, group: int, lr: float,
+    temperature: float, clip: float, beta: float, inner: int,
+) -> tuple[np.ndarray, list[np.ndarray]]:
+    """``batch_step`` on one array a question."""
+    sizes = np.array(list(map(len, features)))
+    theta, drawn = batch_step(theta, start, padded(features), padded(rewards), sizes, rng, group, lr, temperature, clip, beta, inner)
+    return theta, list(drawn)
+
+
 def train(
     cands: DataFrame, theta0: np.ndarray, staging: Staging, name: str, steps: int = 2000, batch: int = 32, every: int = 100, reward: str = "total", group: int = 32,
     lr: float = 0.05, temperature: float = 1.0, clip: float = 0.2, beta: float = 0.01, inner: int = 2, seed: int = 0, steps_per_job: int = 2000,
@@ -89,16 +115,17 @@ def train(
 
         def run(frames: Iterator[pd.DataFrame], begin: int = begin, end: int = end, at: list = at, origin: list = origin) -> Iterator[pd.DataFrame]:
             held = pd.concat(list(frames)).sort_values(["place", "cand_id"])
-            parts = {p: (np.stack(g["x"].to_numpy()), g["reward"].to_numpy(), g["correct"].to_numpy()) for p, g in held.groupby("place")}
+            places, sizes = np.unique(held["place"].to_numpy(), return_counts=True)
+            cuts = np.cumsum(sizes)[:-1]
+            x, reward, correct = (padded(np.split(v, cuts)) for v in (np.stack(held["x"].to_numpy()), held["reward"].to_numpy(), held["correct"].to_numpy()))
             own, start = np.array(at), np.array(origin)
             rows = []
             for step in range(begin, end):
-                chosen = [parts[(step * batch + k) % n] for k in range(min(batch, n))]
+                chosen = np.searchsorted(places, (step * batch + np.arange(min(batch, n))) % n)
                 rng = np.random.default_rng([seed, step])
-                own, drawn = clipped_step(own, start, [c[0] for c in chosen], [c[1] for c in chosen], rng, group, lr, temperature, clip, beta, inner)
+                own, drawn = batch_step(own, start, x[chosen], reward[chosen], sizes[chosen], rng, group, lr, temperature, clip, beta, inner)
                 if (step + 1) % every == 0 or step + 1 == end:
-                    got = np.concatenate([c[1][d] for c, d in zip(chosen, drawn, strict=True)])
-                    right = np.concatenate([c[2][d] for c, d in zip(chosen, drawn, strict=True)])
+                    got, right = (v[chosen[:, None], drawn] for v in (reward, correct))
                     rows.append((step + 1, own.tolist(), got.mean(), got.std(), right.mean()))
             yield pd.DataFrame(rows, columns=["step", "theta", "reward", "spread", "ex"])
 
